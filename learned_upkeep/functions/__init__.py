@@ -1,0 +1 @@
+"""Column expressions: hashing, bands, probability and loss formulas."""

@@ -1,0 +1 @@
+"""The methods: models, drift tests, updates, answers, measures."""

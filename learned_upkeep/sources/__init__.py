@@ -1,0 +1 @@
+"""Tables, fixtures and the registry of model versions."""
