@@ -1,0 +1 @@
+"""Insertions as a stream."""
