@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import materialise
-from .vocabulary import Encoder, vocabulary_path
+from .vocabulary import encoder, vocabulary_path
 from .words import blocks, per_document, texts_of
 
 CAPACITY = 2048
@@ -35,11 +35,11 @@ def pieces(docs: DataFrame, vocabulary: str, capacity: int = CAPACITY, end: int
     """(doc_id, piece, start, length, ids_crc32): each document's identifiers, cut only where longer than ``capacity``."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder = Encoder(vocabulary, end)
+        encode = encoder(vocabulary, end).encode
         for batch in blocks(batches):
             rows: list[tuple] = []
             for doc, text in zip(batch.column("doc_id").to_pylist(), texts_of(batch), strict=True):
-                ids = encoder.encode(text)
+                ids = encode(text)
                 for k, at in enumerate(range(0, len(ids), 4 * capacity)):
                     cut = ids[at : at + 4 * capacity]
                     rows.append((doc, k, at // 4, len(cut) // 4, zlib.crc32(cut)))

@@ -9,20 +9,32 @@ model, since they are one pre-token.  Identifiers are kept as little-endian uint
 from __future__ import annotations
 
 import re
+import sys
 import unicodedata
-from functools import cached_property
+from array import array
+from functools import cached_property, lru_cache
 
-import numpy as np
-
-#: Chunks that one worker remembers; the memory is cleared when it is full.
+#: Chunks that one worker remembers: half of them since the last change of generations, half before it.
 MEMORY = 1_000_000
 _BOUNDARY = re.compile(r"(?<=\S) (?=\S)")
 #: Letters with a tail of ASCII punctuation.
 _TAIL = re.compile(r"([^!-@\[-`{-~]+)([!-/:-@\[-`{-~]+)")
+#: Characters that Python takes for white space and the vocabularies don't.
+_SEPARATORS = re.compile("[\x1c-\x1f]")
+#: White space at an end of the text, or two in a row.
+_ODD = re.compile(r"\A[ \n]|[ \n]\Z|[ \n][ \n]")
 #: White space other than the space and the line feed.
 _RARE = re.compile("[\t\x0b\x0c\r\x1c-\x1f\x85\xa0  -     　]")
 
 
+def _packed(ids: list[int]) -> bytes:
+    """Little-endian uint32 bytes."""
+    a = array("I", ids)
+    if sys.byteorder == "big":
+        a.byteswap()
+    return a.tobytes()
+
+
 def vocabulary_path(name: str) -> str:
     import public_tokenizers
 
@@ -30,19 +42,29 @@ def vocabulary_path(name: str) -> str:
 
 
 class _Memory(dict):
-    """Identifiers of chunks, learnt when first asked for."""
+    """Identifiers of chunks, learnt when first asked for; chunks that a whole generation didn't ask for are forgotten."""
 
     def __init__(self, learn) -> None:
         super().__init__()
-        self.learn = learn
+        self.learn, self.older = learn, {}
 
     def __missing__(self, chunk: str) -> bytes:
-        if len(self) >= MEMORY:
+        if len(self) >= MEMORY // 2:
+            self.older = dict(self)
             self.clear()
-        self[chunk] = ids = self.learn(chunk)
+        ids = self.older.get(chunk)
+        if ids is None:
+            ids = self.learn(chunk)
+        self[chunk] = ids
         return ids
 
 
+@lru_cache(maxsize=4)
+def encoder(path: str, end: int = 0) -> Encoder:
+    """One encoder for all tasks of a worker process, so that its memory outlives a task."""
+    return Encoder(path, end)
+
+
 class Encoder:
     """Identifiers of whole texts as bytes; ``end`` is appended to each text."""
 
@@ -52,7 +74,7 @@ class Encoder:
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True  # their strings in a text are ordinary text
         self.model = self.tokenizer.model
-        self.end = np.uint32(end).astype("<u4").tobytes()
+        self.end = _packed([end])
         #: Vocabularies that drop white space and case read a chunk alike with and without its space.
         self.plain = self.tokenizer.normalizer is not None
         #: Pre-tokens of an ASCII chunk; the vocabularies differ in their digits.
@@ -84,23 +106,31 @@ class Encoder:
         return self._whole(space + chunk)
 
     def _tokens(self, word: str) -> bytes:
-        names = self._byte_names
-        return np.array([t.id for t in self.model.tokenize("".join([names[b] for b in word.encode()]))], "<u4").tobytes()
+        if word.isascii():  # printable characters stand for themselves
+            name = "Ġ" + word[1:] if word[0] == " " else word
+        else:
+            names = self._byte_names
+            name = "".join([names[b] for b in word.encode()])
+        return _packed([t.id for t in self.model.tokenize(name)])
 
     def _whole(self, text: str) -> bytes:
-        return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
+        return _packed(self.tokenizer.encode(text, add_special_tokens=False).ids)
 
     def encode(self, text: str) -> bytes:
         if not text:
             return self.end
-        if text[0] == " " or text[-1] == " " or "  " in text or " \n" in text or "\n " in text or _RARE.search(text):
+        if self.plain and not _SEPARATORS.search(text):
+            return b"".join(map(self.bare.__getitem__, text.split())) + self.end
+        if _ODD.search(text) or _RARE.search(text):
             at = [0, *[m.start() for m in _BOUNDARY.finditer(text)], len(text)]
             parts = [self._odd(text[a:b]) for a, b in zip(at, at[1:], strict=False)]
             return b"".join(parts) + self.end
-        first, _, rest = text.partition(" ")
-        if not rest:
-            return self.bare[first] + self.end
-        return self.bare[first] + b"".join(map(self.spaced.__getitem__, rest.split(" "))) + self.end
+        # single spaces and line feeds between other characters only: a line feed is a token of its own
+        bare, spaced, lines = self.bare.__getitem__, self.spaced.__getitem__, []
+        for line in text.split("\n"):
+            first, _, rest = line.partition(" ")
+            lines.append(bare(first) + b"".join(map(spaced, rest.split(" "))) if rest else bare(first))
+        return self.bare["\n"].join(lines) + self.end
 
     def _odd(self, part: str) -> bytes:
         return self.spaced[part[1:]] if part[0] == " " and len(part) > 1 and not part[1].isspace() else self.bare[part]
