@@ -1,14 +1,15 @@
 """Operator 4, quality rules by weak supervision.
 
 Rules vote good, vote bad or abstain on each document.  Expectation-maximisation over the counts of
-vote patterns (at most 3^rules rows, whatever the corpus) estimates how often each rule votes bad on
-good and on bad documents; a document's verdict is the posterior probability of its pattern, so one
+vote patterns (at most 2^rules rows, whatever the corpus) estimates how often each rule votes on good
+documents and on each kind of bad ones; a document's verdict is the posterior probability of its pattern, so one
 weak vote does not reject a document, as it would if all rules had to pass.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -23,6 +24,8 @@ SYMBOLS = b"#*$%&|<>"
 MIN_WORDS = 20
 COUNTS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines", "n_upper", "n_letters", "n_bangs", "n_same_next", "n_distinct")
 ITERATIONS = 200
+PRIOR_DOCUMENTS = 20.0
+MAX_FALSE_ALARM = 0.02
 #: A document is kept from this posterior probability of good quality on.
 KEEP = 0.5
 
@@ -81,15 +84,9 @@ def _ratio(a: str, b: str) -> Column:
     return F.coalesce(F.try_divide(F.col(a).cast("double"), F.col(b)), F.lit(0.0))
 
 
-def _rule(measure: Column, bad: Column, good: Column, sure: Column | None = None) -> Column:
-    vote = F.when(bad, F.lit(0)).when(good, F.lit(2)).otherwise(F.lit(1))
-    return vote if sure is None else F.when(sure, vote).otherwise(F.lit(1))
-
-
-def votes() -> dict[str, Column]:
-    """0 bad, 1 abstain, 2 good, for each rule."""
-    words = F.col("n_words") > 0
-    measures = {
+def _measures() -> dict[str, tuple[Column, float, float]]:
+    """Each measure with the mark above which a text looks bad and the one below which it looks good."""
+    return {
         "symbols": (_ratio("n_symbols", "n_words"), 0.3, 0.1),
         "capitals": (_ratio("n_upper", "n_letters"), 0.5, 0.2),
         "exclamations": (_ratio("n_bangs", "n_words"), 0.3, 0.1),
@@ -97,38 +94,57 @@ def votes() -> dict[str, Column]:
         "repeated_lines": (_ratio("n_dup_lines", "n_lines"), 0.5, 0.1),
         "stuttering": (_ratio("n_same_next", "n_words"), 0.2, 0.05),
     }
-    rules = {k: _rule(m, m > hi, m < lo, words) for k, (m, hi, lo) in measures.items()}
-    length = _ratio("word_chars", "n_words")
-    rules["word_length"] = _rule(length, (length < 2) | (length > 20), length.between(3, 14), words)
-    variety = _ratio("n_distinct", "n_words")
-    rules["variety"] = _rule(variety, variety < 0.1, variety > 0.3, F.col("n_words").between(MIN_WORDS, 20_000))
-    return rules
+
+
+def votes() -> dict[str, Column]:
+    """0 bad, 1 abstain, 2 good, for each rule.  A rule votes for one side only, or abstains."""
+    measures = _measures()
+    bad = {k: m > hi for k, (m, hi, _) in measures.items()}
+    length, variety = _ratio("word_chars", "n_words"), _ratio("n_distinct", "n_words")
+    bad["word_length"] = (length < 2) | (length > 20)
+    bad["variety"] = F.col("n_words").between(MIN_WORDS, 20_000) & (variety < 0.1)
+    calm = lambda *names: reduce(lambda a, b: a & b, [measures[n][0] < measures[n][2] for n in names])
+    good = {"plain": calm("symbols", "capitals", "exclamations") & length.between(3, 14), "fresh": calm("repeated_passages", "repeated_lines", "stuttering")}
+    some = F.col("n_words") > 0
+    out = {k: F.when(some & c, F.lit(0)).otherwise(F.lit(1)) for k, c in bad.items()}
+    return out | {k: F.when(some & c, F.lit(2)).otherwise(F.lit(1)) for k, c in good.items()}
 
 
 def fit(patterns: np.ndarray, weights: np.ndarray, iterations: int = ITERATIONS) -> dict:
-    """EM for two classes and rules that vote independently within a class.
+    """EM for a mixture of good documents and one kind of bad ones for each rule that votes bad.
 
     ``patterns`` has a row for each distinct pattern of votes (0 bad, 1 abstain, 2 good) and
-    ``weights`` its number of documents.  The priors say that rules seldom vote bad on good
-    documents; they also fix which class is which.  Returns posterior (of good), prior and, for each
-    rule, alarm (bad votes on bad documents) and false_alarm (on good ones).
+    ``weights`` its number of documents.  Rules cast their votes independently within a kind.  Bad
+    texts are bad in different ways, so each rule anchors a kind of its own; kinds may share rules.
+    Priors worth ``PRIOR_DOCUMENTS`` documents start from rules that are mostly right, and a rule
+    votes bad on at most ``MAX_FALSE_ALARM`` of the good documents, which fixes which kind is good.
+    Returns posterior (of good), prior, and cast: the share of votes by kind (row 0 good) and rule.
     """
-    bad, cast = (patterns == 0).astype(float), (patterns != 1).astype(float)
-    good = np.where(bad.any(axis=1), 0.1, 0.98)
-    w = weights.astype(float)
+    bad_rules = np.flatnonzero((patterns == 0).any(axis=0))
+    votes_cast = (patterns != 1).astype(float)
+    kinds, rules = 1 + bad_rules.size, patterns.shape[1]
+    start = np.where(np.isin(np.arange(rules), bad_rules), 0.05, 0.3) * np.ones((kinds, rules))
+    start[0] = np.where(np.isin(np.arange(rules), bad_rules), 0.005, 0.95)
+    start[np.arange(1, kinds), bad_rules] = 0.9
+    cast, share = start.copy(), np.array([0.9, *[0.1 / max(1, kinds - 1)] * (kinds - 1)]) if kinds > 1 else np.ones(1)
+    w, before = weights.astype(float), -np.inf
     for _ in range(iterations):
-        wg, wb = (w * good)[:, None], (w * (1 - good))[:, None]
-        false_alarm = ((wg * bad).sum(0) + 0.5) / ((wg * cast).sum(0) + 50)
-        alarm = ((wb * bad).sum(0) + 2) / ((wb * cast).sum(0) + 6)
-        alarm = np.maximum(alarm, 2 * false_alarm)  # a rule's bad vote never speaks for a document
-        prior = ((w * good).sum() + 8) / (w.sum() + 10)
-        log = lambda p: (bad * np.log(p) + (cast - bad) * np.log1p(-np.minimum(p, 1 - 1e-9))).sum(1)
-        margin = np.log(prior) + log(false_alarm) - np.log1p(-prior) - log(alarm)
-        new = 1 / (1 + np.exp(-np.clip(margin, -500, 500)))
-        done, good = np.abs(new - good).max(initial=0) < 1e-9, new
-        if done:
+        cast[0, bad_rules] = np.minimum(cast[0, bad_rules], MAX_FALSE_ALARM)
+        joint = np.log(share) + votes_cast @ np.log(cast).T + (1 - votes_cast) @ np.log1p(-cast).T
+        top = joint.max(axis=1, keepdims=True)
+        evidence = np.exp(joint - top)
+        post = evidence / evidence.sum(axis=1, keepdims=True)
+        mass = w @ post
+        share = (mass + 1) / (w.sum() + kinds)
+        cast = (((w[:, None] * post).T @ votes_cast) + PRIOR_DOCUMENTS * start) / (mass + PRIOR_DOCUMENTS)[:, None]
+        cast = np.clip(cast, 1e-6, 1 - 1e-6)
+        likelihood = float(w @ (top[:, 0] + np.log(evidence.sum(axis=1))))
+        if abs(likelihood - before) < 1e-9 * max(1.0, abs(likelihood)):
             break
-    return {"posterior": good, "prior": float(prior), "alarm": alarm, "false_alarm": false_alarm}
+        before = likelihood
+    # no vote against a document: it stays, however few rules vote for it
+    quality = np.where((patterns == 0).any(axis=1), post[:, 0], np.maximum(post[:, 0], KEEP))
+    return {"posterior": quality, "prior": float(share[0]), "cast": cast}
 
 
 def with_verdict(counted: DataFrame) -> DataFrame:
@@ -136,7 +152,7 @@ def with_verdict(counted: DataFrame) -> DataFrame:
     rules = votes()
     code = sum((v * F.lit(3**k) for k, v in enumerate(rules.values())), F.lit(0))
     coded = counted.withColumn("__pattern", code)
-    # one row for each pattern of votes: at most 3 ** len(rules) = 6561 rows
+    # one row for each pattern of votes: at most 2 ** len(rules) = 1024 rows, as a rule votes for one side only
     seen = coded.groupBy("__pattern").count().collect()
     spark = counted.sparkSession
     numbers = np.array([r["__pattern"] for r in seen], "int64")
