@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .vocabulary import Encoder
+from .vocabulary import encoder
 from .words import blocks, texts_of
 
 SCHEMA = "doc_id long, file_no int, start_in_file long, n_tokens long, ids array<int>"
@@ -40,9 +40,9 @@ def write_tokens(docs: DataFrame, path: str, vocabulary: str, end: int = 0, file
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder, start, part = Encoder(vocabulary, end), 0, TaskContext.get().partitionId()
+        encode, start, part = encoder(vocabulary, end).encode, 0, TaskContext.get().partitionId()
         for batch in blocks(batches):
-            encoded = [encoder.encode(t) for t in texts_of(batch)]
+            encoded = [encode(t) for t in texts_of(batch)]
             lengths = np.array([len(e) // 4 for e in encoded], "int64")
             ends = np.cumsum(lengths)
             ids = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], ends]), pa.int32()), pa.array(np.frombuffer(b"".join(encoded), "<i4")))
