@@ -100,7 +100,7 @@ def fit(component: Component, update: Update, start: Params | None = None, setti
     steps = max(1, -(-max(len(update.new), n_old) // settings.batch))
     history, best, waited = [], np.inf, 0
     for _ in range(settings.epochs):
-        take = lambda n: np.resize(rng.permutation(n), max(n, min(steps * settings.batch, max(len(update.new), n_old))))
+        take = lambda n: np.empty(0, int) if not n else np.resize(rng.permutation(n), max(n, min(steps * settings.batch, max(len(update.new), n_old))))
         news = np.array_split(take(len(update.new)), steps)
         olds = np.array_split(take(n_old), steps) if n_old else [None] * steps
         total = 0.0

@@ -40,11 +40,11 @@ class Upkeep:
         return stream.writeStream.foreachBatch(self).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
 
 
-def drift_curve(scored: DataFrame, window: str = "1 day", slide: str | None = None, late: str = "1 hour", key: str | None = None) -> DataFrame:
-    """Mean loss by event-time window; rows later than ``late`` behind the watermark are left out."""
+def drift_curve(scored: DataFrame, window: str = "1 day", slide: str | None = None, late: str | None = "1 hour", key: str | None = None) -> DataFrame:
+    """Mean loss by event-time window; rows later than ``late`` are left out.  None keeps a watermark that is set already."""
     w = F.window("ts", window, slide) if slide else F.window("ts", window)
     by = [w, *([F.col(key)] if key else [])]
-    out = scored.withWatermark("ts", late).groupBy(*by).agg(F.avg("loss").alias("mean_loss"), F.stddev_pop("loss").alias("std_loss"), F.count("*").alias("n"))
+    out = (scored.withWatermark("ts", late) if late else scored).groupBy(*by).agg(F.avg("loss").alias("mean_loss"), F.stddev_pop("loss").alias("std_loss"), F.count("*").alias("n"))
     return out.select(F.col("window.start").alias("start"), F.col("window.end").alias("end"), *([key] if key else []), "mean_loss", "std_loss", "n")
 
 
