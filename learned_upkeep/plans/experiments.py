@@ -34,12 +34,22 @@ def bounded(df: DataFrame, columns: list[str], rows: int | None = None, cap: int
     return matrix(hash_sample(df, min(1.0, cap / max(1, rows)), seed) if rows > cap else df, columns)
 
 
+def with_batch(old: DataFrame, batch: DataFrame, columns: list[str], n_old: int, n_new: int) -> tuple[np.ndarray, np.ndarray]:
+    """Samples of old rows and batch at one rate, so that their union keeps the true proportions."""
+    return bounded(old, columns, n_old), bounded(batch, columns, n_new, max(200, int(TRAIN_ROWS * n_new / max(1, n_old))), "batch")
+
+
 def _frame(spark: SparkSession, rows: list[tuple], schema: str) -> DataFrame:
     return spark.createDataFrame(rows, schema)
 
 
+def autoregressive(f: Fixture) -> MaskedAutoregressive:
+    """Imitation is summed over columns at temperature 1, so that lambda weighs it against a likelihood of the same scale."""
+    return MaskedAutoregressive(f.sizes, temperature=1.0, reduction="sum")
+
+
 def component_for(f: Fixture, kind: str):
-    return {"darn": lambda: MaskedAutoregressive(f.sizes), "vae": lambda: TabularVae(f.sizes), "mdn": lambda: MixtureDensity(f.sizes[0])}[kind]()
+    return {"darn": lambda: autoregressive(f), "vae": lambda: TabularVae(f.sizes), "mdn": lambda: MixtureDensity(f.sizes[0])}[kind]()
 
 
 def _numbers(df: DataFrame, f: Fixture, limits: tuple[float, float] | None = None) -> tuple[DataFrame, tuple[float, float]]:
@@ -82,9 +92,9 @@ def ce_one_shot(spark: SparkSession, sf_dir: str, f: Fixture = D1, n_queries: in
     before = workload.truth(q, old, f).where("truth > 0").persist()
     q = workload.without_empty(q, before).persist()
     after = workload.truth_added(before, workload.truth(q, ood, f)).persist()
-    m_old, m_new = bounded(old, cols, n_old), bounded(ood, cols, n_new, seed="batch")
+    m_old, m_new = with_batch(old, ood, cols, n_old, n_new)
     transfer = bounded(hash_sample(old, 0.1, "transfer1"), cols, int(0.1 * n_old))
-    base = networks.train(MaskedAutoregressive(f.sizes), m_old, n_old, settings)
+    base = networks.train(autoregressive(f), m_old, n_old, settings)
     timed = {}
     models = {"base": base}
     for p in ("stale", "retrain", "fine_tune", "kd", "pooled"):
@@ -121,10 +131,11 @@ def aqp_one_shot(spark: SparkSession, sf_dir: str, f: Fixture = D2, n_queries: i
     ask = lambda df: workload.aqp_truth(q, df, f.columns[0], f.target)
     before, after = ask(raw).persist(), ask(raw.unionByName(batch)).persist()
     some = before.where("count > 0").select("qid")
-    m_old, m_new = bounded(old, cols, n_old), bounded(new, cols, n_new, seed="batch")
+    m_old, m_new = with_batch(old, new, cols, n_old, n_new)
     transfer = bounded(hash_sample(old, 0.1, "transfer1"), cols, int(0.1 * n_old))
     base = networks.train(component_for(f, "mdn"), m_old, n_old, settings)
-    models = {"base": base} | networks.policies(base, m_old, m_new, transfer, n_new, settings, which=("stale", "retrain", "fine_tune", "kd"))
+    # of the published grid, the weight that leaves most to the likelihood suits a mixture, whose imitation terms are small
+    models = {"base": base} | networks.policies(base, m_old, m_new, transfer, n_new, settings, 1 / 4, which=("stale", "retrain", "fine_tune", "kd"))
     freq_old, freq_new = counts.cells(raw, (f.columns[0],)), merge_frequencies(raw, batch, f.columns[0])
     out = None
     for name, m in models.items():
@@ -150,7 +161,7 @@ def generation(spark: SparkSession, sf_dir: str, f: Fixture = D6, target: str =
     batch, cols = batch_all.where(~batch_held), list(f.columns)
     features = tuple(c for c in cols if c != target)
     n_old, n_new = old.count(), batch.count()
-    m_old, m_new = bounded(old, cols, n_old), bounded(batch, cols, n_new, seed="batch")
+    m_old, m_new = with_batch(old, batch, cols, n_old, n_new)
     transfer = bounded(hash_sample(old, 0.05, "transfer1"), cols, int(0.05 * n_old))
     base = networks.train(TabularVae(f.sizes), m_old, n_old, settings)
     models = {"base": base} | networks.policies(base, m_old, m_new, transfer, n_new, settings, which=("stale", "retrain", "fine_tune", "kd"))
@@ -172,13 +183,13 @@ def incremental(spark: SparkSession, sf_dir: str, f: Fixture = D1, steps: int =
     q = workload.without_empty(q, truth).persist()
     n_old = old.count()
     seen = m_old = bounded(old, cols, n_old)
-    base = networks.train(MaskedAutoregressive(f.sizes), m_old, n_old, settings)
+    base = networks.train(autoregressive(f), m_old, n_old, settings)
     models, rows = dict.fromkeys(which, base), []
     grid = counts.grid(spark, f.columns, f.sizes)
     for s in range(steps):
         batch = batches.where(F.col("batch_id") == s)
-        m_new = bounded(batch, cols, seed="batch")
         n_new = batch.count()
+        m_new = with_batch(batch.limit(0), batch, cols, n_old, n_new)[1]
         truth = workload.truth_added(truth, workload.truth(q, batch, f)).persist()
         rng = np.random.default_rng(s)
         transfer = seen[rng.permutation(len(seen))[: max(1, len(seen) // 10)]]
@@ -208,12 +219,13 @@ def joined_partitions(spark: SparkSession, sf_dir: str, drifted: bool = False, s
     truth = workload.truth(q, old, f).where("truth > 0").persist()
     q = workload.without_empty(q, truth).persist()
     seen = bounded(old, cols, n_old)
-    base = networks.train(MaskedAutoregressive(f.sizes), seen, n_old, settings)
+    base = networks.train(autoregressive(f), seen, n_old, settings)
     models, rows = dict.fromkeys(("stale", "retrain", "fine_tune", "kd", "fast_retrain"), base), []
     baseline = detect.offline(score(old.select("rk", *cols), base.component, base.params, cols))
     for k in range(1, 5):
         batch = part(k).persist()
-        n_new, m_new = batch.count(), bounded(batch, cols, seed="batch")
+        n_new = batch.count()
+        m_new = with_batch(batch.limit(0), batch, cols, n_old, n_new)[1]
         v = detect.test_batch(score(batch.select("rk", *cols), base.component, base.params, cols), baseline, "size_matched")
         truth = workload.truth_added(truth, workload.truth(q, batch, f)).persist()
         transfer = seen[np.random.default_rng(k).permutation(len(seen))[: max(1, len(seen) // 10)]]
@@ -236,7 +248,7 @@ def speedup(spark: SparkSession, sf_dir: str, f: Fixture = D1, sizes: tuple[floa
     """Retraining over updating, in seconds and in rows times epochs, by update size."""
     rows = []
     old, _, ood, cols = _tables(f, kind, spark, sf_dir)
-    m_old, m_new = bounded(old, cols), bounded(ood, cols, seed="batch")
+    m_old, m_new = with_batch(old, ood, cols, old.count(), ood.count())
     n = len(m_old)
     base = networks.train(component_for(f, kind), m_old, n, settings)
     for share in sizes:
