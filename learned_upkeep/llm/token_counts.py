@@ -10,6 +10,7 @@ from __future__ import annotations
 
 import json
 from collections.abc import Iterator
+from functools import lru_cache
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -96,6 +97,12 @@ class _Lengths(dict):
         return n
 
 
+@lru_cache(maxsize=2)
+def _lengths(vocabulary: str) -> _Lengths:
+    """One automaton and memory for all tasks of a worker process."""
+    return _Lengths(LongestMatch(vocabulary_pieces(vocabulary)))
+
+
 def token_counts(docs: DataFrame, vocabulary: str) -> DataFrame:
     """One row per input row: doc_id, n_words, n_tokens, n_bytes.
 
@@ -104,7 +111,7 @@ def token_counts(docs: DataFrame, vocabulary: str) -> DataFrame:
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        lengths = _Lengths(LongestMatch(vocabulary_pieces(vocabulary)))
+        lengths = _lengths(vocabulary)
         for batch in blocks(batches):
             rows = []
             for text in batch.column("text").cast(pa.binary()).to_pylist():

@@ -15,7 +15,7 @@ from array import array
 from functools import cached_property, lru_cache
 
 #: Chunks that one worker remembers: half of them since the last change of generations, half before it.
-MEMORY = 1_000_000
+MEMORY = 800_000
 _BOUNDARY = re.compile(r"(?<=\S) (?=\S)")
 #: Letters with a tail of ASCII punctuation.
 _TAIL = re.compile(r"([^!-@\[-`{-~]+)([!-/:-@\[-`{-~]+)")
