@@ -14,6 +14,8 @@ WORD = r"[^\x20\x09-\x0D]+"
 SALTS = 16
 #: Row bound under which a table of at most 100-byte rows may be broadcast (about 5 MB).
 BROADCAST_ROWS = 50_000
+#: Bound for a broadcast of document numbers.
+BROADCAST_IDS = 2_000_000
 
 _own_scratch: dict[str, str] = {}
 
@@ -53,6 +55,15 @@ def whole_text(col: str = "text") -> Column:
     return F.coalesce(F.col(col), F.lit(""))
 
 
+def without_ids(docs: DataFrame, dropped: DataFrame) -> DataFrame:
+    """Rows of ``docs`` whose doc_id isn't among the ids of ``dropped`` (a written table with the one column __id).
+
+    Up to BROADCAST_IDS ids (some 32 bytes each) are broadcast, so the texts stay where they are; beyond, both sides are shuffled.
+    """
+    ids = F.broadcast(dropped) if dropped.limit(BROADCAST_IDS + 1).count() <= BROADCAST_IDS else dropped.hint("merge")
+    return docs.join(ids, F.col("doc_id").eqNullSafe(F.col("__id")), "left_anti")
+
+
 def replicated(df: DataFrame, salts: int = SALTS) -> DataFrame:
     """Every row once per salt, for the small side of a salted join."""
     return df.withColumn("__salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))

@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import materialise, replicated, salted, whole_text
+from .common import materialise, replicated, salted, whole_text, without_ids
 
 #: Least and most characters of a chunk, and the content before a cut: a vowel, white space, a letter of the first third of the alphabet.
 CHUNK = r"(?s).{512,4096}?(?<=[aeioué]\s[A-Ha-h])|(?s).{1,4096}"
@@ -56,8 +56,7 @@ def exact_duplicates(docs: DataFrame, fingerprint_bits: int = 64) -> DataFrame:
     if not second.isEmpty():  # some short identifiers stand for several chunks: their ranks become part of the lists
         table = _with_ranks(table, second)
         listed.append("ranks")
-    groups = table.join(shared, "recipe_key", "left_semi") if len(listed) == 2 else table
-    groups = groups.groupBy(*listed).agg(F.max("doc_id").alias("keep_id"), F.count("*").alias("group_size")).where("group_size > 1")
+    groups = (alike if len(listed) == 2 else table).groupBy(*listed).agg(F.max("doc_id").alias("keep_id"), F.count("*").alias("group_size")).where("group_size > 1")
     out = salted(table, "doc_id").join(replicated(groups), [*listed, "__salt"], "left")
     keep = F.when(F.col("group_size").isNull(), F.col("doc_id")).otherwise(F.col("keep_id"))
     return out.select(
@@ -80,8 +79,7 @@ def drop_duplicates(docs: DataFrame) -> DataFrame:
     decided = materialise(exact_duplicates(docs).select("doc_id", "kept"), "decided")
     by_id = decided.groupBy("doc_id").agg(F.count("*").alias("__rows"), F.bool_or("kept").alias("__kept"))
     repeated = by_id.where("__rows > 1").select(F.col("doc_id").alias("__id"), "__kept")
-    dropped = by_id.where("__rows = 1 and not __kept").select(F.col("doc_id").alias("__id"))
-    left = docs.join(dropped, F.col("doc_id").eqNullSafe(F.col("__id")), "left_anti")
+    left = without_ids(docs, materialise(by_id.where("__rows = 1 and not __kept").select(F.col("doc_id").alias("__id")), "dropped"))
     if repeated.isEmpty():
         return left
     # rows that share a doc_id: the first of each (doc_id, text), and only where no other doc_id keeps that text
