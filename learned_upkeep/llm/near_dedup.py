@@ -4,14 +4,15 @@ A document's word shingles are hashed to a set; sets that are equal count once f
 signature of 128 minima is read in 32 rotated orders: each order is one tree of the forest, in which
 documents with a common prefix are neighbours.
 
-1. A region is what shares the first ``DEPTH`` values of an order.  Regions of more than ``REGION``
-   members are cut by further values, as deep as each needs (``DEEPER``), so depth adapts to density.
-2. Candidates are a region's first document with each member, and next neighbours in the sorted
-   order of a leaf region.  Chains and stars suffice to join what belongs together: the number of
-   candidates is in proportion to the members, whatever the group's size.
-3. Candidates are confirmed on full sets, and components of confirmed links get their smallest doc_id.
-4. Members of one leaf region that ended in different components without having been compared are
-   compared now, and components are taken again.  Only pairs across components arise here.
+1. A region is what shares the first ``DEPTH`` values of an order.
+2. First candidates: in ``FIRST`` orders, each member with its region's first document, and with its
+   neighbour in the sorted order of a small region.  They are as many as the members, whatever a
+   group's size, and are confirmed on full sets.
+3. Components of confirmed links get their smallest doc_id.
+4. Then all orders, but only regions whose members are in different components: small ones compare
+   their members across components.  Those of more than ``REGION`` members compare across components
+   with their first document and are cut by further values, as deep as each needs (``DEEPER``), so
+   depth adapts to density.  Components are taken again.  Pairs inside a component are never formed.
 
 At similarity 0.8 two documents miss each other in all 32 trees with a chance of 5e-8.
 """
@@ -27,7 +28,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import materialise, replicated, salted
+from .common import BROADCAST_IDS, BROADCAST_ROWS, materialise, replicated, salted, without_ids
 from .words import blocks, per_document
 
 SHINGLE = 5
@@ -36,8 +37,8 @@ TREES, DEPTH, VALUES = 32, 4, 128
 #: Depths at which a region that is still too large is cut again.
 DEEPER = (6, 8, 12, 16)
 REGION = 64
-#: Document numbers are broadcast up to this many (8 bytes each); beyond, they are joined.
-BROADCAST_IDS = 2_000_000
+#: Orders that give the first candidates.
+FIRST = 8
 #: A document in more candidate pairs than this has its set replicated.
 HOT_PAIRS = 500
 
@@ -115,53 +116,56 @@ def _order(tree: Column, first: int) -> Column:
     return high.bitwiseOR(F.shiftrightunsigned(F.xxhash64(_values(tree, first + 1, 1)), 32))
 
 
+def _tagged(h: Column, tree: Column) -> Column:
+    """A region's name, with its tree in the last five bits."""
+    return h.bitwiseAND(F.lit(-TREES)).bitwiseOR(tree.cast("long"))
+
+
+def _tree() -> Column:
+    return F.col("region").bitwiseAND(F.lit(TREES - 1)).cast("int")
+
+
 def _tree_rows(reps: DataFrame) -> DataFrame:
-    """(region, tree, rep, n, ord) for each document and tree."""
-    trees = F.transform(F.sequence(F.lit(0), F.lit(TREES - 1)), lambda t: F.struct(F.xxhash64(t, _values(t, 0, DEPTH)).alias("region"), _order(t, DEPTH).alias("ord"), t.alias("tree")))
-    return reps.select("rep", F.col("n_shingles").cast("int").alias("n"), F.explode(trees).alias("__t")).select("__t.region", "__t.tree", "rep", "n", "__t.ord")
+    """(rep, region, ord) for each document and tree; ord sorts a region."""
+    trees = F.transform(F.sequence(F.lit(0), F.lit(TREES - 1)), lambda t: F.struct(_tagged(F.xxhash64(t, _values(t, 0, DEPTH)), t).alias("region"), _order(t, DEPTH).alias("ord")))
+    return reps.select("rep", F.explode(trees).alias("__t")).select("rep", "__t.region", "__t.ord")
 
 
-def _pair(a: Column, b: Column) -> list[Column]:
-    return [F.least(a, b).alias("a"), F.greatest(a, b).alias("b")]
+def _deeper(last: int, depth: int):
+    """From a region of the first ``last`` values to the region of the first ``depth`` inside it."""
+
+    def below(region: Column) -> Column:
+        t = region.bitwiseAND(F.lit(TREES - 1)).cast("int")
+        return _tagged(F.xxhash64(region, _values(t, last, depth - last)), t)
+
+    return below
 
 
-def _alike_size(n: Column, m: Column) -> Column:
-    return 100 * F.least(n, m) >= SIMILARITY * F.greatest(n, m)
+def _pair(a: Column, b: Column) -> list[Column]:
+    return [F.least(a, b).alias("a"), F.greatest(a, b).alias("b")]
 
 
 def _regions(rows: DataFrame) -> DataFrame:
     """Rows of the regions with company, with the region's count and its first document."""
-    regions = rows.groupBy("region").agg(F.count("*").alias("members"), F.min(F.struct("rep", "n")).alias("lead")).where("members > 1")
+    regions = rows.groupBy("region").agg(F.count("*").alias("members"), F.min("rep").alias("lead")).where("members > 1")
     return salted(rows, "rep").join(replicated(regions), ["region", "__salt"]).drop("__salt")
 
 
-def _forest(reps: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """(candidate pairs a < b, leaf rows (region, rep, n, members, ord))."""
-    level = materialise(_regions(_tree_rows(reps)), "regions")
-    pairs, leaves = [], []
-    for depth in (*DEEPER, None):
-        stars = level.where((F.col("rep") != F.col("lead.rep")) & _alike_size(F.col("n"), F.col("lead.n")))
-        pairs.append(stars.select(*_pair(F.col("rep"), F.col("lead.rep"))))
-        large = level.where(F.col("members") > REGION)
-        leaves.append((level if depth is None else level.where(F.col("members") <= REGION)).select("region", "rep", "n", "members", "ord"))
-        if depth is None or large.isEmpty():
-            break
-        last = DEPTH if depth == DEEPER[0] else DEEPER[DEEPER.index(depth) - 1]
-        signed = large.select("region", "tree", "rep", "n").join(reps.select("rep", "sig"), "rep")
-        deeper = signed.select(F.xxhash64("region", _values(F.col("tree"), last, depth - last)).alias("region"), "tree", "rep", "n", _order(F.col("tree"), depth).alias("ord"))
-        level = materialise(_regions(deeper), f"regions{depth}")
-    leaf = _union(leaves)
+def _first_candidates(level: DataFrame) -> DataFrame:
+    """(a, b) with a < b: stars of all regions of the first orders, and chains of the small ones of a few."""
+    star = level.where((_tree() < FIRST) & (F.col("rep") != F.col("lead"))).select(*_pair(F.col("rep"), F.col("lead")))
     order = W.partitionBy("region").orderBy("ord", "rep")
-    chain = leaf.where((F.col("members") > 2) & (F.col("members") <= REGION)).select("rep", "n", F.lag("rep").over(order).alias("r2"), F.lag("n").over(order).alias("n2"))
-    pairs.append(chain.where(F.col("r2").isNotNull() & (F.col("r2") != F.col("rep")) & _alike_size(F.col("n"), F.col("n2"))).select(*_pair(F.col("rep"), F.col("r2"))))
-    return _union(pairs).distinct(), leaf
+    small = level.where((_tree() < FIRST // 4) & (F.col("members") > 2) & (F.col("members") <= REGION))
+    chain = small.select("rep", F.lag("rep").over(order).alias("before")).where(F.col("before") != F.col("rep"))
+    return star.unionByName(chain.select(*_pair(F.col("rep"), F.col("before")))).distinct()
 
 
-def _union(frames: list[DataFrame]) -> DataFrame:
-    out = frames[0]
-    for f in frames[1:]:
-        out = out.unionByName(f)
-    return out
+def _alike_size(pairs: DataFrame, reps: DataFrame) -> DataFrame:
+    """Pairs whose set sizes allow the similarity."""
+    n = reps.select(F.col("rep").alias("a"), F.col("n_shingles").alias("na"))
+    m = reps.select(F.col("rep").alias("b"), F.col("n_shingles").alias("nb"))
+    fits = 100 * F.least("na", "nb") >= SIMILARITY * F.greatest("na", "nb")
+    return pairs.join(n, "a").join(m, "b").where(fits).select("a", "b")
 
 
 def _sets_of(docs: DataFrame, ids: DataFrame, k: int) -> DataFrame:
@@ -201,13 +205,15 @@ def _confirm(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def confirmed(docs: DataFrame, pairs: DataFrame, k: int, name: str) -> DataFrame:
     """The pairs (a, b) whose full sets reach the similarity."""
-    pairs = materialise(pairs, f"{name}-pairs")
     ids = materialise(pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).distinct(), f"{name}-ids")
     # repeated rows of one doc_id: one of them speaks for it
     sets = materialise(_sets_of(docs, ids, k), f"{name}-sets")
     if sets.count() > ids.count():
         sets = sets.dropDuplicates(["doc_id"])
     hot = pairs.groupBy(F.col("a").alias("doc_id")).count().where(F.col("count") > HOT_PAIRS).select("doc_id", F.lit(True).alias("hot"))
+    hot = materialise(hot, f"{name}-hot")
+    if hot.count() <= BROADCAST_ROWS:
+        hot = F.broadcast(hot)
     salt = F.when(F.col("hot"), F.pmod(F.xxhash64("b"), F.lit(16))).otherwise(F.lit(0)).cast("int")
     left = pairs.join(hot, pairs["a"] == hot["doc_id"], "left").select("a", "b", salt.alias("salt"))
     copies = F.sequence(F.lit(0), F.when(F.col("hot"), F.lit(15)).otherwise(F.lit(0)))
@@ -239,14 +245,34 @@ def components(links: DataFrame) -> DataFrame:
         edges = new
 
 
-def _across(leaf: DataFrame, labels: DataFrame, tested: DataFrame) -> DataFrame:
-    """Pairs of one leaf region in different components that have not been compared."""
-    named = leaf.where("members > 2").join(labels, "rep", "left").select("region", "rep", "n", F.coalesce("comp", "rep").alias("comp"))
-    mixed = named.groupBy("region").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo < hi").select("region")
-    open_ = named.join(mixed, "region", "left_semi")
-    other = open_.select("region", F.col("rep").alias("rep2"), F.col("n").alias("n2"), F.col("comp").alias("comp2"))
-    pairs = open_.join(other, "region").where((F.col("rep") < F.col("rep2")) & (F.col("comp") != F.col("comp2")) & _alike_size(F.col("n"), F.col("n2")))
-    return pairs.select(F.col("rep").alias("a"), F.col("rep2").alias("b")).distinct().join(tested, ["a", "b"], "left_anti")
+def _open_regions(level: DataFrame, labels: DataFrame) -> DataFrame:
+    """Rows of the regions whose members are in different components, with ``comp``."""
+    named = level.join(labels, "rep", "left").withColumn("comp", F.coalesce("comp", "rep"))
+    mixed = named.groupBy("region").agg(F.min("comp").alias("__lo"), F.max("comp").alias("__hi")).where("__lo < __hi").select("region")
+    return salted(named, "rep").join(replicated(mixed), ["region", "__salt"]).select("rep", "region", "members", "lead", "comp")
+
+
+def _across(level: DataFrame, labels: DataFrame, reps: DataFrame, tested: DataFrame) -> DataFrame:
+    """Pairs in different components that have not been compared: of one leaf, or of a larger region with its first document."""
+    of_lead = labels.select(F.col("rep").alias("lead"), F.col("comp").alias("lead_comp"))
+    pairs = tested.limit(0)
+    last = DEPTH
+    for depth in (*DEEPER, None):
+        open_ = materialise(_open_regions(level, labels), "open")
+        large = open_.where(F.col("members") > REGION)
+        leaf = open_ if depth is None else open_.where(F.col("members") <= REGION)
+        other = leaf.select("region", F.col("rep").alias("rep2"), F.col("comp").alias("comp2"))
+        both = leaf.join(other, "region").where((F.col("rep") < F.col("rep2")) & (F.col("comp") != F.col("comp2")))
+        pairs = pairs.unionByName(both.select(F.col("rep").alias("a"), F.col("rep2").alias("b")))
+        if depth is None or large.isEmpty():
+            break
+        star = large.join(of_lead, "lead", "left").where(F.col("comp") != F.coalesce("lead_comp", "lead"))
+        pairs = pairs.unionByName(star.select(*_pair(F.col("rep"), F.col("lead"))))
+        # a document's regions (at most one for each tree) meet its signature once
+        of_rep = large.groupBy("rep").agg(F.collect_list("region").alias("__regions")).join(reps.select("rep", "sig"), "rep")
+        level = materialise(_regions(of_rep.select("rep", F.explode(F.transform("__regions", _deeper(last, depth))).alias("region"))), f"regions{depth}")
+        last = depth
+    return pairs.distinct().join(tested, ["a", "b"], "left_anti")
 
 
 def near_duplicates(docs: DataFrame, k: int = SHINGLE) -> DataFrame:
@@ -258,11 +284,11 @@ def near_duplicates(docs: DataFrame, k: int = SHINGLE) -> DataFrame:
     """
     base = materialise(_collapsed(materialise(signatures(docs, k), "signed")), "collapsed")
     reps = base.where("sig is not null").select("rep", "n_shingles", "sig")
-    candidates, leaf = _forest(reps)
-    candidates = materialise(candidates, "candidates")
+    level = materialise(_regions(_tree_rows(reps)), "regions")
+    candidates = materialise(_alike_size(_first_candidates(level), reps), "candidates")
     links = confirmed(docs, candidates, k, "first")
     labels = materialise(components(links), "labels")
-    more = materialise(_across(leaf, labels, candidates), "across")
+    more = materialise(_alike_size(_across(level, labels, reps, candidates), reps), "across")
     if not more.isEmpty():
         found = confirmed(docs, more, k, "second")
         if not found.isEmpty():
@@ -274,4 +300,4 @@ def near_duplicates(docs: DataFrame, k: int = SHINGLE) -> DataFrame:
 def drop_near_duplicates(docs: DataFrame, k: int = SHINGLE) -> DataFrame:
     """The rows of ``docs`` that stay, one document for each component, with their own columns."""
     decided = materialise(near_duplicates(docs, k).where("not kept").select(F.col("doc_id").alias("__id")).distinct(), "dropped")
-    return docs.join(decided, F.col("doc_id").eqNullSafe(F.col("__id")), "left_anti")
+    return without_ids(docs, decided)
