@@ -9,10 +9,13 @@ documents with a common prefix are neighbours.
    neighbour in the sorted order of a small region.  They are as many as the members, whatever a
    group's size, and are confirmed on full sets.
 3. Components of confirmed links get their smallest doc_id.
-4. Then all orders, but only regions whose members are in different components: small ones compare
-   their members across components.  Those of more than ``REGION`` members compare across components
-   with their first document and are cut by further values, as deep as each needs (``DEEPER``), so
-   depth adapts to density.  Components are taken again.  Pairs inside a component are never formed.
+4. Then all orders, but only regions whose members are in different components.  Small ones compare
+   their members across components, as pairs.  Those of more than ``REGION`` members are joined where
+   they share documents, and every document outside a cluster's largest component is compared on full
+   sets with all members of other components.  Blocks of sets meet in one task, which counts common
+   shingles through an inverted index and returns a spanning forest of what is alike: exact, without
+   a row for each pair.  The work is outsiders times members, whatever the result.  Components are
+   taken again after each.  Pairs inside a component are never formed.
 
 At similarity 0.8 two documents miss each other in all 32 trees with a chance of 5e-8.
 """
@@ -34,9 +37,11 @@ from .words import blocks, per_document
 SHINGLE = 5
 SIMILARITY = 80  # percent
 TREES, DEPTH, VALUES = 32, 4, 128
-#: Depths at which a region that is still too large is cut again.
-DEEPER = (6, 8, 12, 16)
 REGION = 64
+#: Shingles in a block of sets, of which two meet in one task.
+BLOCK = 50_000
+#: Set sizes in one band differ by less than this factor, so alike sets are in one band or in neighbours.
+BAND = 1.26
 #: Orders that give the first candidates.
 FIRST = 8
 #: A document in more candidate pairs than this has its set replicated.
@@ -131,16 +136,6 @@ def _tree_rows(reps: DataFrame) -> DataFrame:
     return reps.select("rep", F.explode(trees).alias("__t")).select("rep", "__t.region", "__t.ord")
 
 
-def _deeper(last: int, depth: int):
-    """From a region of the first ``last`` values to the region of the first ``depth`` inside it."""
-
-    def below(region: Column) -> Column:
-        t = region.bitwiseAND(F.lit(TREES - 1)).cast("int")
-        return _tagged(F.xxhash64(region, _values(t, last, depth - last)), t)
-
-    return below
-
-
 def _pair(a: Column, b: Column) -> list[Column]:
     return [F.least(a, b).alias("a"), F.greatest(a, b).alias("b")]
 
@@ -252,27 +247,70 @@ def _open_regions(level: DataFrame, labels: DataFrame) -> DataFrame:
     return salted(named, "rep").join(replicated(mixed), ["region", "__salt"]).select("rep", "region", "members", "lead", "comp")
 
 
-def _across(level: DataFrame, labels: DataFrame, reps: DataFrame, tested: DataFrame) -> DataFrame:
-    """Pairs in different components that have not been compared: of one leaf, or of a larger region with its first document."""
-    of_lead = labels.select(F.col("rep").alias("lead"), F.col("comp").alias("lead_comp"))
-    pairs = tested.limit(0)
-    last = DEPTH
-    for depth in (*DEEPER, None):
-        open_ = materialise(_open_regions(level, labels), "open")
-        large = open_.where(F.col("members") > REGION)
-        leaf = open_ if depth is None else open_.where(F.col("members") <= REGION)
-        other = leaf.select("region", F.col("rep").alias("rep2"), F.col("comp").alias("comp2"))
-        both = leaf.join(other, "region").where((F.col("rep") < F.col("rep2")) & (F.col("comp") != F.col("comp2")))
-        pairs = pairs.unionByName(both.select(F.col("rep").alias("a"), F.col("rep2").alias("b")))
-        if depth is None or large.isEmpty():
-            break
-        star = large.join(of_lead, "lead", "left").where(F.col("comp") != F.coalesce("lead_comp", "lead"))
-        pairs = pairs.unionByName(star.select(*_pair(F.col("rep"), F.col("lead"))))
-        # a document's regions (at most one for each tree) meet its signature once
-        of_rep = large.groupBy("rep").agg(F.collect_list("region").alias("__regions")).join(reps.select("rep", "sig"), "rep")
-        level = materialise(_regions(of_rep.select("rep", F.explode(F.transform("__regions", _deeper(last, depth))).alias("region"))), f"regions{depth}")
-        last = depth
-    return pairs.distinct().join(tested, ["a", "b"], "left_anti")
+def _across(level: DataFrame, labels: DataFrame, tested: DataFrame) -> DataFrame:
+    """Pairs in one small region and different components that have not been compared."""
+    open_ = materialise(_open_regions(level.where(F.col("members") <= REGION), labels), "open")
+    other = open_.select("region", F.col("rep").alias("rep2"), F.col("comp").alias("comp2"))
+    both = open_.join(other, "region").where((F.col("rep") < F.col("rep2")) & (F.col("comp") != F.col("comp2")))
+    return both.select(F.col("rep").alias("a"), F.col("rep2").alias("b")).distinct().join(tested, ["a", "b"], "left_anti")
+
+
+def _linked(job: pa.Table) -> pa.Table:
+    """A spanning forest (a, b) of the alike sets of different components, of outsiders (side 0) with members (side 1)."""
+    rep, side = job.column("rep").to_numpy(), job.column("side").to_numpy()
+    _, group = np.unique(job.column("comp").to_numpy(), return_inverse=True)
+    sets = [np.frombuffer(x, "uint64") for x in job.column("shingles").to_pylist()]
+    inside = np.flatnonzero(side == 1)
+    sizes = np.array([sets[i].size for i in inside], "int64")
+    found: list[tuple[int, int]] = []
+    if inside.size:
+        values = np.concatenate([sets[i] for i in inside])
+        order = np.argsort(values, kind="stable")
+        values, holder = values[order], np.repeat(np.arange(inside.size), sizes)[order]
+        for o in np.flatnonzero(side == 0):
+            first, last = np.searchsorted(values, sets[o], "left"), np.searchsorted(values, sets[o], "right")
+            n = last - first
+            at = np.arange(n.sum()) + np.repeat(first - (np.cumsum(n) - n), n)
+            common = np.bincount(holder[at], minlength=inside.size)
+            alike = inside[100 * common >= SIMILARITY * (sets[o].size + sizes - common)]
+            roots, one = np.unique(group[alike], return_index=True)
+            new = roots != group[o]
+            found += [(int(rep[o]), int(rep[i])) for i in alike[one[new]]]
+            if new.any():
+                group[np.isin(group, roots[new])] = group[o]
+    a, b = (pa.array([x[k] for x in found], pa.int64()) for k in (0, 1))
+    return pa.table({"a": a, "b": b})
+
+
+def large_region_links(docs: DataFrame, level: DataFrame, labels: DataFrame, reps: DataFrame, k: int) -> DataFrame | None:
+    """Links (a, b) that join the components which alike members of large regions are in; None without such regions."""
+    open_ = materialise(_open_regions(level.where(F.col("members") > REGION), labels), "large")
+    if open_.isEmpty():
+        return None
+    clusters = components(open_.select(F.col("rep").alias("a"), F.col("lead").alias("b"))).withColumnRenamed("comp", "cluster")
+    named = materialise(open_.select("rep", "comp").distinct().join(clusters, "rep").join(reps.select("rep", "n_shingles"), "rep"), "clusters")
+    per_comp = named.groupBy("cluster", "comp").count()
+    main = per_comp.groupBy("cluster").agg(F.max_by("comp", F.struct("count", "comp")).alias("main"))
+    band = F.floor(F.log("n_shingles") / F.lit(float(np.log(BAND)))).cast("int")
+    members = named.join(F.broadcast(main), "cluster") if main.count() <= BROADCAST_ROWS else named.join(main, "cluster")
+    sides = F.when(F.col("comp") == F.col("main"), F.array(F.lit(1))).otherwise(F.array(F.lit(0), F.lit(1)))
+    sided = members.select("cluster", "rep", "comp", "n_shingles", band.alias("band"), F.explode(sides).alias("side"))
+    key = ["cluster", "side", "band"]
+    parts = materialise(sided.groupBy(*key).agg(F.ceil(F.sum("n_shingles") / BLOCK).alias("parts")), "parts")
+    # the parts of a band are numbered, so a pair of them is a job
+    numbered = salted(sided, "rep").join(replicated(parts), [*key, "__salt"]).withColumn("block", F.pmod(F.xxhash64("rep"), F.col("parts"))).drop("__salt", "parts")
+    blocks_ = parts.select(*key, F.explode(F.sequence(F.lit(0).cast("long"), F.col("parts") - 1)).alias("block"))
+    own = blocks_.where("side = 0").select("cluster", F.col("band").alias("band0"), F.col("block").alias("block0"), F.explode(F.array(*[F.col("band") + d for d in (-1, 0, 1)])).alias("band1"))
+    theirs = blocks_.where("side = 1").select("cluster", F.col("band").alias("band1"), F.col("block").alias("block1"))
+    jobs = materialise(own.join(theirs, ["cluster", "band1"]).select("cluster", "band0", "block0", "band1", "block1"), "jobs")
+    sets = materialise(_sets_of(docs, named.select(F.col("rep").alias("doc_id")), k), "large-sets").dropDuplicates(["doc_id"]).withColumnRenamed("doc_id", "rep")
+    named_sets = materialise(numbered.join(sets, "rep"), "large-blocks")
+    job = ["cluster", "band0", "block0", "band1", "block1"]
+    rows = [
+        named_sets.where(F.col("side") == s).withColumnsRenamed({"band": f"band{s}", "block": f"block{s}"}).join(jobs, ["cluster", f"band{s}", f"block{s}"]).select(*job, "side", "rep", "comp", "shingles")
+        for s in (0, 1)
+    ]
+    return materialise(rows[0].unionByName(rows[1]).groupBy(*job).applyInArrow(_linked, "a long, b long"), "large-links")
 
 
 def near_duplicates(docs: DataFrame, k: int = SHINGLE) -> DataFrame:
@@ -288,7 +326,11 @@ def near_duplicates(docs: DataFrame, k: int = SHINGLE) -> DataFrame:
     candidates = materialise(_alike_size(_first_candidates(level), reps), "candidates")
     links = confirmed(docs, candidates, k, "first")
     labels = materialise(components(links), "labels")
-    more = materialise(_alike_size(_across(level, labels, reps, candidates), reps), "across")
+    dense = large_region_links(docs, level, labels, reps, k)
+    if dense is not None and not dense.isEmpty():
+        links = links.unionByName(dense)
+        labels = materialise(components(links), "labels")
+    more = materialise(_alike_size(_across(level, labels, candidates), reps), "across")
     if not more.isEmpty():
         found = confirmed(docs, more, k, "second")
         if not found.isEmpty():

@@ -8,6 +8,7 @@ from collections import Counter, defaultdict
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from learned_upkeep.llm import exact_dedup, line_dedup, mixing, near_dedup, packing, personal_data, quality_rules, sharding, token_counts, token_files
 from learned_upkeep.llm.common import documents
@@ -210,6 +211,48 @@ def test_em_without_bad_votes_keeps_all():
     assert quality_rules.fit(np.array([[0, 2]]), np.array([3]))["posterior"].shape == (1,)
 
 
+def test_near_duplicates_of_a_large_group_around_the_threshold(spark, monkeypatch):
+    """Hundreds of copies of one text; every other document is alike to exactly one member, which is no lead."""
+    monkeypatch.setattr(near_dedup, "REGION", 8)
+    rng = np.random.default_rng(11)
+    base, rows = [f"w{i}" for i in range(240)], []
+    for i in range(150):
+        # the far copies stand around 0.8 to their own twin, and below it to all others
+        own = list(base)
+        at = int(rng.integers(20, 180))
+        own[at : at + 22] = [f"own{i}x{j}" for j in range(22)]
+        rows.append((10_000 + i, " ".join(own)))
+        far = list(own)
+        length = int(rng.integers(20, 25))
+        start = (at + 100) % 210
+        far[start : start + length] = [f"far{i}x{j}" for j in range(len(far[start : start + length]))]
+        rows.append((20_000 + i, " ".join(far)))
+    for i in range(150):
+        rows.append((i, " ".join(base[:200] + [f"tail{i}x{j}" for j in range(90)])))
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    assert Counter(map(tuple, near_dedup.near_duplicates(df, 4).collect())) == brute_near(rows, 4)
+
+
+def test_large_regions_are_compared_exactly(spark, monkeypatch):
+    """All members of one region: links are those of brute force, however the sets are dealt to blocks."""
+    monkeypatch.setattr(near_dedup, "BLOCK", 2_000)
+    rng = np.random.default_rng(5)
+    base, rows = [f"w{i}" for i in range(120)], []
+    for i in range(300):
+        own = list(base)
+        for j in range(int(rng.integers(1, 5))):
+            own[(7 + 29 * j + i) % 120] = f"own{i % 200}x{j}"
+        rows.append((i, " ".join(own)))
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    reps = near_dedup.signatures(df, 4).select(F.col("doc_id").alias("rep"), "n_shingles", "sig")
+    level = reps.select("rep", F.lit(0).cast("long").alias("region"), F.lit(300).cast("long").alias("members"), F.lit(0).cast("long").alias("lead"))
+    labels = spark.createDataFrame([], "rep long, comp long")
+    links = near_dedup.large_region_links(df, level, labels, reps, 4)
+    got = {r["rep"]: r["comp"] for r in near_dedup.components(links).collect()}
+    want = {i: c for i, _, c, _ in brute_near(rows, 4)}
+    assert {i: got.get(i, i) for i in want} == want and 1 < len(set(want.values())) < 300
+
+
 BASE = {"email": r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", "ip": r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", "card": r"[0-9]([\x20-]?[0-9])+", "phone": r"\+[0-9][\x20().0-9-]+[0-9]"}
 
 
