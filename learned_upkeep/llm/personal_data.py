@@ -17,7 +17,7 @@ from .common import whole_text
 
 #: In the order in which kinds at one start are listed.
 BASE_KINDS = ("email", "ip", "card", "phone")
-_PART = r"0*+(?:25[0-5]|2[0-4][0-9]|1[0-9]{2}|[0-9]{1,2})"
+_PART = r"0*(?:25[0-5]|2[0-4][0-9]|1[0-9]{2}|[0-9]{1,2})"
 PATTERNS = {
     # a run of local-part characters is entered at its start, or where the match before has ended
     "email": r"(?:(?<![A-Za-z0-9._%+-])|\G)[A-Za-z0-9._%+-]++@[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)++",

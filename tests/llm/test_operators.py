@@ -289,6 +289,14 @@ def test_personal_data(spark, edges, given):
         assert got == want
 
 
+def test_addresses_with_parts_of_zeros(spark):
+    texts = ["10.0.0.1", "0.0.0.0", "192.168.0.1 and 127.0.0.1", "00.1.2.3", "000.0255.00.0", "10.0.0.256 0256.0.0.0 1000.0.0.0"]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {r["doc_id"]: r["n_ip"] for r in personal_data.personal_data(docs).collect()}
+    assert got == {i: sum(x[2] == "ip" for x in brute_spans(t)) for i, t in enumerate(texts)} == {0: 1, 1: 1, 2: 2, 3: 1, 4: 1, 5: 0}
+    assert {r["doc_id"]: r["text"] for r in personal_data.redacted(docs).collect()}[2] == "[ip] and [ip]"
+
+
 def test_personal_data_validators_context_and_redaction(edges):
     spans = {r["doc_id"]: r["spans"] for r in personal_data.personal_data(edges).collect()}
     assert spans[16].count("iban:5:32") == 1 and spans[16].count("iban") == 1 and "local_phone" in spans[16]
