@@ -18,13 +18,22 @@ from .common import whole_text
 #: In the order in which kinds at one start are listed.
 BASE_KINDS = ("email", "ip", "card", "phone")
 _PART = r"0*(?:25[0-5]|2[0-4][0-9]|1[0-9]{2}|[0-9]{1,2})"
+#: Characters of an account number by country, as registered (fixed values).
+IBAN_COUNTRIES = {
+    15: "NO", 16: "BE", 18: "DK FI FK FO GL NL SD", 19: "MK SI", 20: "AT BA EE KZ LT LU MN XK", 21: "CH HR LI LV", 22: "BG BH CR DE GB GE IE ME RS VA",
+    23: "AE GI IL IQ OM SO TL", 24: "AD CZ ES MD PK RO SA SE SK TN VG", 25: "LY PT ST", 26: "IS TR", 27: "BI DJ FR GR IT MC MR SM", 28: "AL AZ BY CY DO GT HU LB NI PL",
+    29: "BR EG PS QA UA", 30: "JO KW MU YE", 31: "MT SC", 32: "LC", 33: "RU",
+}
+_REGISTERED = "(?:" + "|".join(" ".join(IBAN_COUNTRIES.values()).split()) + ")"
+_IBAN = "|".join(rf"(?:{c.replace(' ', '|')})[0-9]{{2}}(?:\x20?[A-Z0-9]){{{n - 4}}}(?![A-Za-z0-9])" for n, c in IBAN_COUNTRIES.items())
 PATTERNS = {
     # a run of local-part characters is entered at its start, or where the match before has ended
     "email": r"(?:(?<![A-Za-z0-9._%+-])|\G)[A-Za-z0-9._%+-]++@[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)++",
     "ip": r"(?:(?<![0-9])|\G)[0-9]++\.[0-9]++\.[0-9]++\.[0-9]++",
     "card": r"[0-9](?:[\x20-]?+[0-9])++",
     "phone": r"\+[0-9][\x20().0-9-]+[0-9]",
-    "iban": r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?:\x20?+[A-Z0-9]){11,30}+(?![A-Za-z0-9])",
+    # the length of a registered country; of another one a run up to the next registered number, whose end the checksum finds
+    "iban": rf"(?<![A-Za-z0-9])(?:{_IBAN}|(?!{_REGISTERED})[A-Z]{{2}}[0-9]{{2}}(?:(?!\x20{_REGISTERED}[0-9]{{2}})\x20?[A-Z0-9]){{11,30}}(?![A-Za-z0-9]))",
     "local_phone": r"(?<![0-9+.(-])\(?[0-9]{2,4}[).\x20/-]{1,2}[0-9]{3,4}[.\x20-]?[0-9]{3,4}(?![0-9.-])",
     "national_id": r"(?<![0-9-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![0-9-])",
 }
@@ -66,6 +75,14 @@ def mod97(iban: Column) -> Column:
     return F.aggregate(turned, F.lit(0), step) == 1
 
 
+def _longest_valid(m: Column) -> Column:
+    """The longest head of a proposed account number, cut at a space, that the checksum confirms; null without one."""
+    words = F.split(m, r"\x20")
+    heads = F.transform(F.sequence(F.size(words), F.lit(1), F.lit(-1)), lambda i: F.array_join(F.slice(words, 1, i), " "))
+    valid = F.filter(heads, lambda h: (F.length(F.replace(h, F.lit(" "), F.lit(""))) >= 15) & mod97(h))
+    return F.when(m.rlike("^" + _REGISTERED), m).otherwise(F.get(valid, 0))
+
+
 def _confirmed(kind: str, m: Column, before: Column, after: Column) -> Column:
     n = F.length(_digits(m))
     if kind == "ip":
@@ -93,8 +110,12 @@ def spans_of(text: Column, kind: str) -> Column:
     def step(a: Column, x: Column) -> Column:
         begin = a["at"] + F.length(x["piece"])
         end = begin + F.length(x["m"])
-        span = F.struct(begin.alias("start"), F.lit(no).alias("kind_no"), F.lit(kind).alias("kind"), end.alias("end"))
-        ok = _confirmed(kind, x["m"], F.substring(x["piece"], -CONTEXT, CONTEXT), F.substring(x["next"], 1, CONTEXT))
+        m, after = x["m"], x["next"]
+        if kind == "iban":
+            m = F.coalesce(_longest_valid(m), m)
+            after = F.concat(F.substring(x["m"], F.length(m) + 1, F.length(x["m"])), after)
+        span = F.struct(begin.alias("start"), F.lit(no).alias("kind_no"), F.lit(kind).alias("kind"), (begin + F.length(m)).alias("end"))
+        ok = _confirmed(kind, m, F.substring(x["piece"], -CONTEXT, CONTEXT), F.substring(after, 1, CONTEXT))
         return F.struct(end.alias("at"), F.when(ok, F.array_append(a["out"], span)).otherwise(a["out"]).alias("out"))
 
     zipped = F.transform(found, lambda m, i: F.struct(F.get(pieces, i).alias("piece"), m.alias("m"), F.get(pieces, i + 1).alias("next")))

@@ -297,6 +297,18 @@ def test_addresses_with_parts_of_zeros(spark):
     assert {r["doc_id"]: r["text"] for r in personal_data.redacted(docs).collect()}[2] == "[ip] and [ip]"
 
 
+def test_account_numbers_before_capitals_and_digits(spark):
+    de, gb, other = "DE89 3704 0044 0532 0130 00", "GB82 WEST 1234 5698 7654 32", "ZZ33 1234 5678 9012 345"
+    follow = [de + " Please", de + " A bank", "NO9386011117947 3000 OK", gb + " BIC DEUTDEFF", f"{de} {gb}", de.replace(" ", "") + " 12 X", f"see {other} Now", f"{other} {de} OK", de[:-1] + "1 Please", "DE89370400440532013000X"]
+    want = [[de], [de], ["NO9386011117947"], [gb], [de, gb], [de.replace(" ", "")], [other], [other, de], [], []]
+    docs = spark.createDataFrame(list(enumerate(follow)), "doc_id long, text string")
+    got = {}
+    for r in personal_data.personal_data(docs).collect():
+        spans = [x.split(":") for x in r["spans"].split(",") if x.startswith("iban")]
+        got[r["doc_id"]] = [follow[r["doc_id"]][int(a) : int(b)] for _, a, b in spans]
+    assert got == dict(enumerate(want))
+
+
 def test_personal_data_validators_context_and_redaction(edges):
     spans = {r["doc_id"]: r["spans"] for r in personal_data.personal_data(edges).collect()}
     assert spans[16].count("iban:5:32") == 1 and spans[16].count("iban") == 1 and "local_phone" in spans[16]
