@@ -177,6 +177,32 @@ def detector_batches(pool: DataFrame, batches: int, size: int, seed: int = 1) ->
     return near.withColumn("pos", F.row_number().over(W.partitionBy("batch_no").orderBy("h", "rk"))).where(F.col("pos") <= size).drop("h")
 
 
+def pool_batches(pool: DataFrame, batches: int, sizes: tuple[int, ...], seed: int = 1) -> DataFrame:
+    """(level, batch_no, size, n, l): mean losses of ``batches`` draws without replacement from a pool with ``level`` and ``loss``.
+
+    Level 0 draws from the whole pool, further levels from their slice.  A size is a prefix of the batch's
+    draw, and n is less than it where the slice is smaller.  The pool is counted once by loss (one
+    row for each cell and level), and draws are positions in the running counts.
+    """
+    import pandas as pd
+
+    table = pool.groupBy("level", "loss").agg(F.count("*").alias("n")).orderBy("level", "loss").toPandas()
+    slices = [(0, table), *[(int(k), t) for k, t in table.groupby("level") if k]]
+    shared = pool.sparkSession.sparkContext.broadcast([(k, t["loss"].to_numpy(), np.cumsum(t["n"].to_numpy())) for k, t in slices])
+
+    def run(frames):
+        for ids in frames:
+            out = []
+            for i in ids["id"]:
+                level, loss, upto = shared.value[i // batches]
+                at = np.random.default_rng([seed, int(i)]).choice(upto[-1], min(max(sizes), upto[-1]), replace=False)
+                total = np.cumsum(loss[np.searchsorted(upto, at, side="right")])
+                out += [(level, i % batches, k, min(k, at.size), total[min(k, at.size) - 1] / min(k, at.size)) for k in sizes]
+            yield pd.DataFrame(out, columns=["level", "batch_no", "size", "n", "l"])
+
+    return pool.sparkSession.range(len(slices) * batches).mapInPandas(run, "level int, batch_no long, size int, n long, l double")
+
+
 def batch_verdicts(drawn: DataFrame, mean: float, limit: float) -> DataFrame:
     """(batch_no, n, shift, fired)."""
     b = drawn.groupBy("batch_no").agg(F.count("*").alias("n"), (F.avg("loss") - F.lit(mean)).alias("shift"))

@@ -152,6 +152,27 @@ def batch_size_sweep(spark, sf):
     return metrics.detector_rates(b.withColumn("fired", F.abs(F.col("l") - F.lit(mean)) > 2.0 * std / F.sqrt("size")), ("size",))
 
 
+POOL_BATCHES = 1000
+POOL_SIZES = (1, 2, 5, 10, 20, 50, 100, 200, 500, 1000, 2000)
+
+
+def _pool_rates(spark, sf, sizes: tuple[int, ...]) -> DataFrame:
+    """Rates by size and level: IND batches from half of the rows; OOD ones from five slices of 10 % with one to five sorted columns (level 0: from all five)."""
+    df, m = _base(D3, spark, sf)
+    mean, std = m.score(df).agg(F.avg("loss"), F.stddev_pop("loss")).first()
+    pools = {False: fn.hash_sample(df, 0.5, "ind_pool").withColumn("level", F.lit(0)), True: drift.ood_pool(df, D3.columns)}
+    b = _union([detect.pool_batches(m.score(p), POOL_BATCHES, sizes, 1 + truth).withColumn("truth", F.lit(truth)) for truth, p in pools.items()])
+    return metrics.detector_rates(b.withColumn("fired", F.abs(F.col("l") - F.lit(mean)) > 2.0 * std / F.sqrt("n")), ("size", "level"))
+
+
+def fpr_fnr_pools(spark, sf):
+    return _pool_rates(spark, sf, (2000,))
+
+
+def batch_size_sweep_pools(spark, sf):
+    return _pool_rates(spark, sf, POOL_SIZES)
+
+
 POLICIES = ("stale", "stale_refreshed", "retrain", "fine_tune", "fine_tune_small", "pooled", "kd_described", "kd_printed", "kd_mass", "no_teacher")
 
 
@@ -396,7 +417,7 @@ def queries() -> dict[str, Query]:
     out |= {f"{p}_counts": policy_counts_query(p) for p in POLICIES}
     plain = [
         permuted_batch_d2, incremental_split_5, time_partitions_orders_5, ood_pool_levels, support_check, joint_domain, dictionary_encode, scaled_range, count_model_fit,
-        bootstrap_poisson, bootstrap_normal_std, threshold_modes, fpr_fnr_batches, batch_size_sweep, kd_lambda_grid, ce_truth, truth_incremental, fwt_bwt_at, changed_share,
+        bootstrap_poisson, bootstrap_normal_std, threshold_modes, fpr_fnr_batches, batch_size_sweep, fpr_fnr_pools, batch_size_sweep_pools, kd_lambda_grid, ce_truth, truth_incremental, fwt_bwt_at, changed_share,
         loglik_old_new, topk_qerror, rollup_metrics, aqp_truth, sample_answer_aqp, rel_error_summary, frequency_table_merge, cardinality_merge, join_delta_orders,
         join_delta_equals_recompute, join_sample_1pct, join_three_way_d3, join_lineitem_part_supplier, ks_columns, mmd_sample, dependence_matrix, soft_ce_rows, logit_mse_rows,
         mixture_pdf, mixture_range_mass, cube_marginals, json_props_counts, asof_model_version, interval_drift_rows, sliding_loss, session_loss,

@@ -12,7 +12,7 @@ from learned_upkeep.nn.mdn import MixtureDensity
 from learned_upkeep.nn.training import Settings, fit_by_partitions, full_gradient, gradient, matrix, score
 from learned_upkeep.nn.vae import TabularVae
 from learned_upkeep.operators import answers, counts, detect, drift, joins, metrics, networks, update, workload
-from learned_upkeep.plans import sqlapi, upkeep
+from learned_upkeep.plans import queries, sqlapi, upkeep
 from learned_upkeep.sources import catalog
 from learned_upkeep.sources.catalog import D1, INDEP
 from learned_upkeep.sources.registry import Registry
@@ -124,6 +124,20 @@ def test_detection_edge_cases(spark, d1):
     assert not detect.fires(-3, 1, "upper") and detect.fires(-3, 1, "lower") and detect.fires(-3, 1)
 
 
+def test_batches_of_pools(spark, sf):
+    rows = [(1, float(i)) for i in range(40)] + [(2, 100.0 + i) for i in range(60)]
+    drawn = detect.pool_batches(spark.createDataFrame(rows, "level int, loss double"), 300, (1, 30, 80)).toPandas()
+    assert len(drawn) == 3 * 300 * 3 and set(drawn["level"]) == {0, 1, 2}
+    whole = drawn[(drawn["level"] == 1) & (drawn["size"] == 80)]
+    assert (whole["n"] == 40).all() and np.allclose(whole["l"], 19.5)  # without replacement: the whole slice
+    assert drawn[(drawn["level"] == 0) & (drawn["size"] == 30)]["l"].mean() == pytest.approx(np.mean([r[1] for r in rows]), abs=3)
+    rates = {(r["size"], r["level"]): r for r in queries.queries()["batch_size_sweep_pools"](spark, sf).collect()}
+    assert {k for _, k in rates} == set(range(6)) and max(k for k, _ in rates) == 2000
+    assert all(r["n"] == (2000 if level == 0 else 1000) for (_, level), r in rates.items())
+    # misses fall with the batch's size
+    assert rates[(1, 0)]["fnr"] > rates[(200, 0)]["fnr"]
+
+
 def test_truth_adds_up_and_boxes_match_sql(d1, ood):
     q = workload.ce_queries(d1, D1, 30).persist()
     both = workload.truth(q, d1.unionByName(ood), D1)
