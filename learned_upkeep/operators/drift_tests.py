@@ -30,6 +30,17 @@ def mmd(old: DataFrame, new: DataFrame, columns: tuple[str, ...], gamma: float =
     return pairs.agg(F.round(F.sum(F.when(F.col("s") == F.col("s_2"), F.col("m")).otherwise(-F.col("m"))), 6).alias("mmd2"))
 
 
+def mmd_cells(old: DataFrame, new: DataFrame, columns: tuple[str, ...], gamma: float = 0.1) -> DataFrame:
+    """The same statistic over all rows of both sides: a double sum over the cells that occur, not over rows."""
+    whole = W.partitionBy("s")
+    both = old.groupBy(*columns).agg(F.count("*").alias("n")).withColumn("s", F.lit(1)).unionByName(new.groupBy(*columns).agg(F.count("*").alias("n")).withColumn("s", F.lit(-1)))
+    # the two shares of a cell enter with opposite signs
+    x = both.withColumn("w", F.col("s") * F.col("n") / F.sum("n").over(whole)).groupBy(*columns).agg(F.sum("w").alias("w"))
+    y = x.select(*[F.col(c).alias(f"{c}_2") for c in ("w", *columns)])
+    square = reduce(lambda p, q: p + q, [(F.col(c) - F.col(f"{c}_2")) * (F.col(c) - F.col(f"{c}_2")) for c in columns])
+    return x.crossJoin(F.broadcast(y)).agg(F.round(F.sum(F.col("w") * F.col("w_2") * F.exp(-F.lit(gamma) * square.cast("double"))), 6).alias("mmd2"))
+
+
 def dependence(df: DataFrame, columns: tuple[str, ...]) -> DataFrame:
     """(a, b, corr): correlation of each pair of columns in one pass."""
     pairs = [(a, b) for i, a in enumerate(columns) for b in columns[i + 1 :]]

@@ -338,6 +338,11 @@ def mmd_sample(spark, sf):
     return drift_tests.mmd(df, _batch(D1, df, "ood"), D1.columns)
 
 
+def mmd_all_rows(spark, sf):
+    df = D1.build(spark, sf)
+    return drift_tests.mmd_cells(df, _batch(D1, df, "ood"), D1.columns)
+
+
 def dependence_matrix(spark, sf):
     return drift_tests.dependence(D1.build(spark, sf), D1.columns)
 
@@ -419,7 +424,7 @@ def queries() -> dict[str, Query]:
         permuted_batch_d2, incremental_split_5, time_partitions_orders_5, ood_pool_levels, support_check, joint_domain, dictionary_encode, scaled_range, count_model_fit,
         bootstrap_poisson, bootstrap_normal_std, threshold_modes, fpr_fnr_batches, batch_size_sweep, fpr_fnr_pools, batch_size_sweep_pools, kd_lambda_grid, ce_truth, truth_incremental, fwt_bwt_at, changed_share,
         loglik_old_new, topk_qerror, rollup_metrics, aqp_truth, sample_answer_aqp, rel_error_summary, frequency_table_merge, cardinality_merge, join_delta_orders,
-        join_delta_equals_recompute, join_sample_1pct, join_three_way_d3, join_lineitem_part_supplier, ks_columns, mmd_sample, dependence_matrix, soft_ce_rows, logit_mse_rows,
+        join_delta_equals_recompute, join_sample_1pct, join_three_way_d3, join_lineitem_part_supplier, ks_columns, mmd_sample, mmd_all_rows, dependence_matrix, soft_ce_rows, logit_mse_rows,
         mixture_pdf, mixture_range_mass, cube_marginals, json_props_counts, asof_model_version, interval_drift_rows, sliding_loss, session_loss,
     ]
     return out | {f.__name__: f for f in plain}

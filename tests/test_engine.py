@@ -4,6 +4,7 @@ import math
 
 import numpy as np
 import pytest
+from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from learned_upkeep.functions import columns as fn
@@ -11,7 +12,7 @@ from learned_upkeep.nn.darn import MaskedAutoregressive
 from learned_upkeep.nn.mdn import MixtureDensity
 from learned_upkeep.nn.training import Settings, fit_by_partitions, full_gradient, gradient, matrix, score
 from learned_upkeep.nn.vae import TabularVae
-from learned_upkeep.operators import answers, counts, detect, drift, joins, metrics, networks, update, workload
+from learned_upkeep.operators import answers, counts, detect, drift, drift_tests, joins, metrics, networks, update, workload
 from learned_upkeep.plans import queries, sqlapi, upkeep
 from learned_upkeep.sources import catalog
 from learned_upkeep.sources.catalog import D1, INDEP
@@ -138,6 +139,16 @@ def test_batches_of_pools(spark, sf):
     assert rates[(1, 0)]["fnr"] > rates[(200, 0)]["fnr"]
 
 
+def test_discrepancy_of_all_rows(spark, d1):
+    a, b = d1.orderBy("rk").limit(700), d1.orderBy(F.desc("rk")).limit(900)
+    x, y = (t.select(*D1.columns).toPandas().to_numpy(float) for t in (a, b))
+    k = lambda p, q: np.exp(-0.1 * ((p[:, None] - q[None]) ** 2).sum(axis=2)).mean()
+    assert drift_tests.mmd_cells(a, b, D1.columns).first()[0] == pytest.approx(k(x, x) + k(y, y) - 2 * k(x, y), abs=2e-6)
+    moved = b.withColumn("flag", F.when(F.row_number().over(Window.orderBy("rk")) > 200, F.lit(0)).otherwise(F.col("flag")))
+    assert drift_tests.mmd_cells(a, moved, D1.columns).first() != drift_tests.mmd_cells(a, b, D1.columns).first()  # drift beyond the first 200 rows shows
+    assert drift_tests.mmd_cells(a, a, D1.columns).first()[0] == 0
+
+
 def test_truth_adds_up_and_boxes_match_sql(d1, ood):
     q = workload.ce_queries(d1, D1, 30).persist()
     both = workload.truth(q, d1.unionByName(ood), D1)
