@@ -57,6 +57,23 @@ def bootstrap_poisson(scored: DataFrame, iterations: int, seed: int = 1, rate: f
     return w.groupBy("boot_id").agg((F.sum(F.col("w") * F.col("loss")) / F.sum("w")).alias("mean_loss"))
 
 
+def bootstrap_cells(counted: DataFrame, iterations: int = BOOTSTRAPS, seed: int = 1) -> DataFrame:
+    """(boot_id, mean_loss) over all rows, from (loss, n) of each cell: rows of one loss take part a Poisson number of times whose mean is their count."""
+    import pandas as pd
+
+    table = counted.select("loss", "n").orderBy("loss", "n").toPandas()  # at most the joint domain
+    spark = counted.sparkSession
+    shared = spark.sparkContext.broadcast((table["loss"].to_numpy("float64"), table["n"].to_numpy("float64")))
+
+    def run(frames):
+        loss, n = shared.value
+        for ids in frames:
+            w = [np.random.default_rng([seed, int(i)]).poisson(n) for i in ids["id"]]
+            yield pd.DataFrame({"boot_id": ids["id"].astype("int32"), "mean_loss": [float(x @ loss / x.sum()) if x.sum() else None for x in w]})
+
+    return spark.range(iterations).mapInPandas(run, "boot_id int, mean_loss double")
+
+
 def bootstrap_binned(scored: DataFrame, iterations: int = BOOTSTRAPS, rows: int | None = None, bins: int = 4096, seed: int = 1) -> np.ndarray:
     """Means of ``rows`` losses drawn with replacement, from a histogram of at most ``bins`` + 1 rows.
 

@@ -109,6 +109,11 @@ def bootstrap_poisson(spark, sf):
     return _rounded(detect.bootstrap_poisson(m.score(sample), 50))
 
 
+def bootstrap_all_rows(spark, sf):
+    df, m = _base(D1, spark, sf)
+    return _rounded(detect.bootstrap_cells(m.score(counts.cells(df, D1.columns))))
+
+
 def bootstrap_normal_std(spark, sf):
     df, m = _base(D1, spark, sf)
     return _rounded(detect.normal_std(m.score(df), 600))
@@ -422,7 +427,7 @@ def queries() -> dict[str, Query]:
     out |= {f"{p}_counts": policy_counts_query(p) for p in POLICIES}
     plain = [
         permuted_batch_d2, incremental_split_5, time_partitions_orders_5, ood_pool_levels, support_check, joint_domain, dictionary_encode, scaled_range, count_model_fit,
-        bootstrap_poisson, bootstrap_normal_std, threshold_modes, fpr_fnr_batches, batch_size_sweep, fpr_fnr_pools, batch_size_sweep_pools, kd_lambda_grid, ce_truth, truth_incremental, fwt_bwt_at, changed_share,
+        bootstrap_poisson, bootstrap_all_rows, bootstrap_normal_std, threshold_modes, fpr_fnr_batches, batch_size_sweep, fpr_fnr_pools, batch_size_sweep_pools, kd_lambda_grid, ce_truth, truth_incremental, fwt_bwt_at, changed_share,
         loglik_old_new, topk_qerror, rollup_metrics, aqp_truth, sample_answer_aqp, rel_error_summary, frequency_table_merge, cardinality_merge, join_delta_orders,
         join_delta_equals_recompute, join_sample_1pct, join_three_way_d3, join_lineitem_part_supplier, ks_columns, mmd_sample, mmd_all_rows, dependence_matrix, soft_ce_rows, logit_mse_rows,
         mixture_pdf, mixture_range_mass, cube_marginals, json_props_counts, asof_model_version, interval_drift_rows, sliding_loss, session_loss,

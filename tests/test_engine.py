@@ -149,6 +149,16 @@ def test_discrepancy_of_all_rows(spark, d1):
     assert drift_tests.mmd_cells(a, a, D1.columns).first()[0] == 0
 
 
+def test_bootstrap_of_all_rows(spark, sf, d1):
+    m = counts.fit(d1, D1)
+    scored = m.score(d1)
+    got = detect.bootstrap_cells(m.score(counts.cells(d1, D1.columns))).toPandas()["mean_loss"]
+    loss, rng = scored.select("loss").toPandas()["loss"].to_numpy(), np.random.default_rng(2)
+    brute = np.array([loss[rng.integers(0, len(loss), len(loss))].mean() for _ in range(1000)])
+    assert len(got) == 1000 and got.mean() == pytest.approx(loss.mean(), abs=4 * brute.std() / 1000**0.5) and got.std() == pytest.approx(brute.std(), rel=0.12)
+    assert queries.queries()["bootstrap_all_rows"](spark, sf).agg(F.stddev("mean_loss")).first()[0] == pytest.approx(brute.std(), rel=0.12)
+
+
 def test_truth_adds_up_and_boxes_match_sql(d1, ood):
     q = workload.ce_queries(d1, D1, 30).persist()
     both = workload.truth(q, d1.unionByName(ood), D1)
