@@ -5,8 +5,9 @@ from __future__ import annotations
 from dataclasses import dataclass, replace
 
 import numpy as np
+from pyspark.sql import DataFrame
 
-from ..nn.training import Component, Params, Settings, Update, fit
+from ..nn.training import Component, Params, Settings, Update, fit, fit_by_partitions
 from .update import LAMBDA, LAMBDA_GRID, new_weight
 
 
@@ -27,6 +28,13 @@ def train(component: Component, data: np.ndarray, rows: int, settings: Settings
     return Model(component, params, rows, steps=len(history) * len(data))
 
 
+def train_all(component: Component, df: DataFrame, columns: list[str], settings: Settings = Settings()) -> Model:  # noqa: B008
+    """Training on all rows where they lie, an averaging round for each epoch."""
+    rows = df.count()
+    params = fit_by_partitions(df, component, columns, component.initial(np.random.default_rng(settings.seed)), settings.epochs, replace(settings, epochs=1))
+    return Model(component, params, rows, steps=settings.epochs * rows)
+
+
 def fine_tune(model: Model, batch: np.ndarray, n_new: int, settings: Settings = Settings(), rate: float | None = None) -> Model:  # noqa: B008
     """Training on the batch alone.  The rate without drift is the base rate times new over old rows."""
     rate = settings.rate * n_new / max(1, model.rows) if rate is None else rate

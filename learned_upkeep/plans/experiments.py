@@ -72,7 +72,7 @@ def _tables(f: Fixture, kind: str, spark, sf_dir) -> tuple[DataFrame, DataFrame,
 def detection(spark: SparkSession, sf_dir: str, f: Fixture, kind: str, settings: Settings = QUICK) -> DataFrame:
     """Mean losses on old, IND and OOD rows, the bootstrap, both verdicts, and offline and online seconds."""
     old, ind, ood, cols = _tables(f, kind, spark, sf_dir)
-    model = networks.train(component_for(f, kind), bounded(old, cols), 0, settings)
+    model = networks.train_all(component_for(f, kind), old, cols, settings)
     began = time.perf_counter()
     base = detect.offline(score(old.select("rk", *cols), model.component, model.params, cols))
     offline = time.perf_counter() - began

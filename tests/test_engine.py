@@ -13,7 +13,7 @@ from learned_upkeep.nn.mdn import MixtureDensity
 from learned_upkeep.nn.training import Settings, fit_by_partitions, full_gradient, gradient, matrix, score
 from learned_upkeep.nn.vae import TabularVae
 from learned_upkeep.operators import answers, counts, detect, drift, drift_tests, joins, metrics, networks, update, workload
-from learned_upkeep.plans import queries, sqlapi, upkeep
+from learned_upkeep.plans import experiments, queries, sqlapi, upkeep
 from learned_upkeep.sources import catalog
 from learned_upkeep.sources.catalog import D1, INDEP
 from learned_upkeep.sources.registry import Registry
@@ -159,6 +159,17 @@ def test_bootstrap_of_all_rows(spark, sf, d1):
     assert queries.queries()["bootstrap_all_rows"](spark, sf).agg(F.stddev("mean_loss")).first()[0] == pytest.approx(brute.std(), rel=0.12)
 
 
+def test_detection_trains_on_all_rows(spark, sf, d1, monkeypatch):
+    def refused(*args, **kwargs):
+        raise AssertionError("a sample was taken")
+
+    monkeypatch.setattr(experiments, "bounded", refused)
+    m = networks.train_all(MaskedAutoregressive(D1.sizes, 16), d1.repartition(2), list(D1.columns), Settings(epochs=3, rate=5e-3))
+    assert m.rows == d1.count() and m.steps == 3 * d1.count()
+    verdicts = {r["batch"]: r["is_ood"] for r in experiments.detection(spark, sf, D1, "darn").collect()}
+    assert verdicts == {"ind": False, "ood": True}
+
+
 def test_truth_adds_up_and_boxes_match_sql(d1, ood):
     q = workload.ce_queries(d1, D1, 30).persist()
     both = workload.truth(q, d1.unionByName(ood), D1)
