@@ -22,6 +22,7 @@ from .words import blocks, per_document
 WINDOW = 8
 SYMBOLS = b"#*$%&|<>"
 MIN_WORDS = 20
+LONG = 20_000
 COUNTS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines", "n_upper", "n_letters", "n_bangs", "n_same_next", "n_distinct")
 ITERATIONS = 200
 PRIOR_DOCUMENTS = 20.0
@@ -102,7 +103,8 @@ def votes() -> dict[str, Column]:
     bad = {k: m > hi for k, (m, hi, _) in measures.items()}
     length, variety = _ratio("word_chars", "n_words"), _ratio("n_distinct", "n_words")
     bad["word_length"] = (length < 2) | (length > 20)
-    bad["variety"] = F.col("n_words").between(MIN_WORDS, 20_000) & (variety < 0.1)
+    # a vocabulary grows slower than its text, so from LONG words on the mark falls with the root of the length
+    bad["variety"] = (F.col("n_words") >= MIN_WORDS) & (variety < 0.1 * F.sqrt(F.lit(float(LONG)) / F.greatest("n_words", F.lit(LONG))))
     calm = lambda *names: reduce(lambda a, b: a & b, [measures[n][0] < measures[n][2] for n in names])
     good = {"plain": calm("symbols", "capitals", "exclamations") & length.between(3, 14), "fresh": calm("repeated_passages", "repeated_lines", "stuttering")}
     some = F.col("n_words") > 0

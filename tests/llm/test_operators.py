@@ -193,6 +193,18 @@ def test_quality_verdicts_agree_with_labels(spark):
     assert kept[j.quality == 1].mean() > 0.99 and (~kept[j.quality == 0]).mean() > 0.9
 
 
+def test_small_vocabularies_of_any_length_look_bad(spark):
+    rng = np.random.default_rng(4)
+    sizes = [(20_000, 1_999), (20_001, 500), (20_001, 1_990), (200_000, 3_000), (20_000, 2_000), (20_001, 2_100), (200_000, 9_000), (19, 1)]
+    counted = spark.createDataFrame([(i, n, v, *[0] * 8) for i, (n, v) in enumerate(sizes)], "i int, n_words long, n_distinct long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, n_lines long, n_upper long, n_letters long, n_bangs long").withColumn("n_same_next", F.lit(0))
+    got = {r["i"]: r["v"] for r in counted.select("i", quality_rules.votes()["variety"].alias("v")).collect()}
+    assert got == {0: 0, 1: 0, 2: 0, 3: 0, 4: 1, 5: 1, 6: 1, 7: 1}
+    junk = " ".join(f"w{k}" for k in rng.integers(0, 300, 20_001))
+    prose = [(i, " ".join(f"p{k}" for k in rng.integers(0, 10**6, 60))) for i in range(200)]
+    kept = {r["doc_id"]: r["kept"] for r in quality_rules.judged(spark.createDataFrame([(999, junk), *prose], "doc_id long, text string")).collect()}
+    assert not kept[999] and kept[0]
+
+
 def test_em_separates_planted_kinds():
     """A good kind, and bad kinds that one, two or three rules see; one rule is wrong now and then."""
     rng = np.random.default_rng(0)
