@@ -4,6 +4,8 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -33,16 +35,39 @@ def scratch_dir(spark: SparkSession) -> str:
     return _own_scratch[app]
 
 
-def materialise(df: DataFrame, name: str = "t", **options: str) -> DataFrame:
+#: Paths of the scratch tables of the scopes that are open, the innermost last.
+_scopes: list[list[str]] = []
+
+
+def _remove(spark: SparkSession, path: str) -> None:
+    at = spark._jvm.org.apache.hadoop.fs.Path(path)
+    at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
+
+
+@contextmanager
+def scratch_scope(spark: SparkSession) -> Iterator[None]:
+    """Scratch tables written inside go when the scope ends; those marked ``keep`` pass to the scope around it."""
+    _scopes.append([])
+    try:
+        yield
+    finally:
+        for path in _scopes.pop():
+            _remove(spark, path)
+
+
+def materialise(df: DataFrame, name: str = "t", keep: bool = False, **options: str) -> DataFrame:
     """Write ``df`` once to the shared scratch folder and read it back, which cuts its lineage.
 
-    The files survive lost executors and are removed when the driver's JVM ends.
+    The files survive lost executors.  They are removed with the scope (:func:`scratch_scope`), or
+    when the driver's JVM ends.  ``keep`` marks a table that outlives the innermost scope.
     """
     spark = df.sparkSession
     path = f"{scratch_dir(spark)}/{name}-{uuid.uuid4().hex}"
     df.write.options(**options).parquet(path)
     at = spark._jvm.org.apache.hadoop.fs.Path(path)
     at.getFileSystem(spark._jsc.hadoopConfiguration()).deleteOnExit(at)
+    if len(_scopes) > keep:
+        _scopes[-1 - keep].append(path)
     return spark.read.schema(df.schema).parquet(path)
 
 

@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import materialise, replicated, salted, whole_text, without_ids
+from .common import materialise, replicated, salted, scratch_scope, whole_text, without_ids
 
 #: Least and most characters of a chunk, and the content before a cut: a vowel, white space, a letter of the first third of the alphabet.
 CHUNK = r"(?s).{512,4096}?(?<=[aeioué]\s[A-Ha-h])|(?s).{1,4096}"
@@ -76,15 +76,19 @@ def _with_ranks(table: DataFrame, second: DataFrame) -> DataFrame:
 
 def drop_duplicates(docs: DataFrame) -> DataFrame:
     """The rows of ``docs`` that stay, one for each text, with their own columns."""
-    decided = materialise(exact_duplicates(docs).select("doc_id", "kept"), "decided")
-    by_id = decided.groupBy("doc_id").agg(F.count("*").alias("__rows"), F.bool_or("kept").alias("__kept"))
-    repeated = by_id.where("__rows > 1").select(F.col("doc_id").alias("__id"), "__kept")
-    left = without_ids(docs, materialise(by_id.where("__rows = 1 and not __kept").select(F.col("doc_id").alias("__id")), "dropped"))
-    if repeated.isEmpty():
+    with scratch_scope(docs.sparkSession):
+        decided = materialise(exact_duplicates(docs).select("doc_id", "kept"), "decided")
+        by_id = materialise(decided.groupBy("doc_id").agg(F.count("*").alias("__rows"), F.bool_or("kept").alias("__kept")).where("__rows > 1 or not __kept"), "by-id")
+        dropped = materialise(by_id.where("__rows = 1").select(F.col("doc_id").alias("__id")), "dropped", keep=True)
+        repeated = materialise(by_id.where("__rows > 1").select(F.col("doc_id").alias("__id"), "__kept"), "repeated", keep=True)
+        several_rows = not repeated.isEmpty()
+        if several_rows:
+            winners = materialise(exact_duplicates(docs).where("kept").select(F.col("doc_id").alias("__id"), F.col("text_sha256").alias("__sha2")).distinct(), "winners", keep=True)
+    left = without_ids(docs, dropped)
+    if not several_rows:
         return left
     # rows that share a doc_id: the first of each (doc_id, text), and only where no other doc_id keeps that text
     single = left.join(repeated, F.col("doc_id").eqNullSafe(F.col("__id")), "left_anti")
     several = left.join(repeated.select("__id"), F.col("doc_id").eqNullSafe(F.col("__id")), "left_semi").withColumn("__sha", F.sha2(whole_text(), 256))
-    winners = materialise(exact_duplicates(docs).where("kept").select(F.col("doc_id").alias("__id"), F.col("text_sha256").alias("__sha2")).distinct(), "winners")
     several = several.join(winners, F.col("doc_id").eqNullSafe(F.col("__id")) & (F.col("__sha") == F.col("__sha2")), "left_semi")
     return single.unionByName(several.dropDuplicates(["doc_id", "__sha"]).drop("__sha"))

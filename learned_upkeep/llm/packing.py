@@ -3,8 +3,8 @@
 Texts are encoded where they are read; from then on only rows of about 40 bytes per piece move.
 Each packing task holds at most ``OPEN_BINS`` open sequences in lists keyed by their free space; a
 bitset of the free spaces that occur finds the tightest fit in one step, and the fullest sequence
-closes first when too many are open.  Sequences that are still open at the end of the tasks are
-packed against one another in a second, much smaller round.
+closes first when too many are open.  Sequences with room left are packed against one another in a
+second round by the same rule, so a task never holds more than the open sequences.
 """
 
 from __future__ import annotations
@@ -123,17 +123,17 @@ def pack(items: DataFrame, capacity: int = CAPACITY, open_bins: int = OPEN_BINS,
     first = materialise(dealt.mapInArrow(run, f"{PIECES}, sequence_id long, offset long, __loose boolean"), "packed")
     loose = first.where("__loose")
     bins = loose.groupBy("sequence_id").agg(F.sum("length").alias("length"))
-    regions = max(1, -(-tasks * open_bins // 500_000))
-    again = bins.repartition(regions, F.xxhash64("sequence_id")).sortWithinPartitions("sequence_id")
+    regions = max(1, -(-tasks * open_bins // TASK_ROWS))
+    dealt_again = F.xxhash64("sequence_id")
+    again = bins.withColumn("__h", dealt_again).repartition(regions, "__h").sortWithinPartitions("__h", "sequence_id").drop("__h")
 
     def merge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         partition = TaskContext.get().partitionId()
-        rows = [(r["sequence_id"], r["length"]) for b in batches for r in b.to_pylist()]
-        if rows:
-            rows.sort(key=lambda r: -r[1])  # all are at hand: the longest first
-            places, _ = _pack([r[1] for r in rows], capacity, len(rows))
-            columns = [[r[0] for r in rows], [_numbered((1 << 30) + partition, b) for b, _ in places], [o for _, o in places]]
-            yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in columns], ["sequence_id", "__to", "__base"])
+        packer = BestFit(capacity, open_bins)
+        for batch in batches:
+            places = [packer.put(n) for n in batch.column("length").to_pylist()]
+            columns = [batch.column("sequence_id"), pa.array([_numbered((1 << 30) + partition, b) for b, _ in places], pa.int64()), pa.array([o for _, o in places], pa.int64())]
+            yield pa.RecordBatch.from_arrays(columns, ["sequence_id", "__to", "__base"])
 
     moved = again.mapInArrow(merge, "sequence_id long, __to long, __base long")
     joined = loose.join(moved, "sequence_id").select(*items.columns, F.col("__to").alias("sequence_id"), (F.col("offset") + F.col("__base")).alias("offset"))

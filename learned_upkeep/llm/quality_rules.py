@@ -27,6 +27,8 @@ COUNTS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words",
 ITERATIONS = 200
 PRIOR_DOCUMENTS = 20.0
 MAX_FALSE_ALARM = 0.02
+#: Least share of its own kind that a rule votes bad on: a kind of bad texts is what its rule sees.
+MIN_SEEN = 0.99
 #: A document is kept from this posterior probability of good quality on.
 KEEP = 0.5
 
@@ -67,7 +69,7 @@ def document_counts(raw: bytes) -> tuple[int, ...]:
 
 
 def counts(docs: DataFrame, carry: bool = False) -> DataFrame:
-    """doc_id and :data:`COUNTS` of every row; with ``carry`` all columns of ``docs`` in a struct __row besides."""
+    """doc_id and :data:`COUNTS` of every row; with ``carry`` all columns of ``docs`` in a struct __row besides (the text once more in memory, not on disk)."""
     kept = docs.select("doc_id", "text", F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("__row")) if carry else docs.select("doc_id", "text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -118,8 +120,9 @@ def fit(patterns: np.ndarray, weights: np.ndarray, iterations: int = ITERATIONS)
     ``patterns`` has a row for each distinct pattern of votes (0 bad, 1 abstain, 2 good) and
     ``weights`` its number of documents.  Rules cast their votes independently within a kind.  Bad
     texts are bad in different ways, so each rule anchors a kind of its own; kinds may share rules.
-    Priors worth ``PRIOR_DOCUMENTS`` documents start from rules that are mostly right, and a rule
-    votes bad on at most ``MAX_FALSE_ALARM`` of the good documents, which fixes which kind is good.
+    Priors worth ``PRIOR_DOCUMENTS`` documents start from rules that are mostly right.  A rule votes
+    bad on at most ``MAX_FALSE_ALARM`` of the good documents, which fixes which kind is good, and on
+    ``MIN_SEEN`` of its own kind at least, so a text that no rule votes against is hardly of any bad one.
     Returns posterior (of good), prior, and cast: the share of votes by kind (row 0 good) and rule.
     """
     bad_rules = np.flatnonzero((patterns == 0).any(axis=0))
@@ -132,6 +135,7 @@ def fit(patterns: np.ndarray, weights: np.ndarray, iterations: int = ITERATIONS)
     w, before = weights.astype(float), -np.inf
     for _ in range(iterations):
         cast[0, bad_rules] = np.minimum(cast[0, bad_rules], MAX_FALSE_ALARM)
+        cast[np.arange(1, kinds), bad_rules] = np.maximum(cast[np.arange(1, kinds), bad_rules], MIN_SEEN)
         joint = np.log(share) + votes_cast @ np.log(cast).T + (1 - votes_cast) @ np.log1p(-cast).T
         top = joint.max(axis=1, keepdims=True)
         evidence = np.exp(joint - top)
@@ -144,36 +148,44 @@ def fit(patterns: np.ndarray, weights: np.ndarray, iterations: int = ITERATIONS)
         if abs(likelihood - before) < 1e-9 * max(1.0, abs(likelihood)):
             break
         before = likelihood
-    # no vote against a document: it stays, however few rules vote for it
-    quality = np.where((patterns == 0).any(axis=1), post[:, 0], np.maximum(post[:, 0], KEEP))
-    return {"posterior": quality, "prior": float(share[0]), "cast": cast}
+    return {"posterior": post[:, 0], "prior": float(share[0]), "cast": cast}
 
 
-def with_verdict(counted: DataFrame) -> DataFrame:
-    """Adds quality (posterior), base_failed and kept to a table with :data:`COUNTS`."""
-    rules = votes()
-    code = sum((v * F.lit(3**k) for k, v in enumerate(rules.values())), F.lit(0))
-    coded = counted.withColumn("__pattern", code)
+def verdicts(counted: DataFrame) -> DataFrame:
+    """(__pattern, quality): the posterior of each pattern of votes that occurs in a table with :data:`COUNTS`."""
     # one row for each pattern of votes: at most 2 ** len(rules) = 1024 rows, as a rule votes for one side only
-    seen = coded.groupBy("__pattern").count().collect()
-    spark = counted.sparkSession
+    seen = counted.select(_pattern()).groupBy("__pattern").count().collect()
     numbers = np.array([r["__pattern"] for r in seen], "int64")
-    patterns = numbers[:, None] // 3 ** np.arange(len(rules)) % 3
+    patterns = numbers[:, None] // 3 ** np.arange(len(votes())) % 3
     quality = fit(patterns, np.array([r["count"] for r in seen]))["posterior"] if seen else np.array([])
-    table = spark.createDataFrame([(int(a), float(b)) for a, b in zip(numbers, quality, strict=True)], "__pattern int, quality double")
+    return counted.sparkSession.createDataFrame([(int(a), float(b)) for a, b in zip(numbers, quality, strict=True)], "__pattern int, quality double")
+
+
+def _pattern() -> Column:
+    return sum((v * F.lit(3**k) for k, v in enumerate(votes().values())), F.lit(0)).alias("__pattern")
+
+
+def with_verdict(counted: DataFrame, table: DataFrame) -> DataFrame:
+    """Adds quality (posterior), base_failed and kept to a table with :data:`COUNTS`; ``table`` is that of :func:`verdicts`."""
     failed = (F.col("n_words") < MIN_WORDS) | (100 * F.col("n_repeat_words") > 30 * F.col("n_words"))
-    return coded.join(F.broadcast(table), "__pattern").drop("__pattern").withColumn("base_failed", failed).withColumn("kept", ~failed & (F.col("quality") >= KEEP))
+    return counted.withColumn("__pattern", _pattern()).join(F.broadcast(table), "__pattern").drop("__pattern").withColumn("base_failed", failed).withColumn("kept", ~failed & (F.col("quality") >= KEEP))
 
 
 def judged(docs: DataFrame) -> DataFrame:
     """One row per input row: doc_id, the counts, quality, base_failed and kept.
 
     A null or empty text has no words and fails the base rules.  Repeated rows are judged each and
-    alike; an empty table gives an empty result; further columns are ignored.
+    alike, and so are rows with a null doc_id; an empty table gives an empty result; further columns
+    are ignored.
     """
-    return with_verdict(materialise(counts(docs), "counts"))
+    counted = materialise(counts(docs), "counts")
+    return with_verdict(counted, verdicts(counted))
 
 
 def accepted(docs: DataFrame) -> DataFrame:
-    """The rows of ``docs`` that are kept, with their own columns; the texts are read once and not shuffled."""
-    return with_verdict(materialise(counts(docs, carry=True), "counts")).where("kept").select("__row.*")
+    """The rows of ``docs`` that are kept, with their own columns.
+
+    The texts are counted twice, once for the votes and once for the verdicts, so that they are
+    neither shuffled nor written to scratch.
+    """
+    return with_verdict(counts(docs, carry=True), verdicts(counts(docs))).where("kept").select("__row.*")

@@ -98,13 +98,18 @@ class Encoder:
             else:
                 return self._tokens(space + chunk)
         elif "'" not in chunk:  # else contractions are cut in another way
-            if (m := _TAIL.fullmatch(chunk)) and m[1].isalpha():
+            if (m := _TAIL.fullmatch(chunk)) and m[1].isalpha() and (m[1].isascii() or not self.plain or self._letters(m[1])):
                 return (self.spaced if space else self.bare)[m[1]] + self._tokens(m[2])
             if chunk.isascii() and chunk.isprintable() and " " not in chunk:
                 first, *more = self.runs.findall(chunk.lower() if self.plain else chunk)
                 return self._tokens(first if self.plain else space + first) + b"".join(map(self._tokens, more))
         return self._whole(space + chunk)
 
+    @staticmethod
+    def _letters(word: str) -> bool:
+        """True if the vocabularies that fold case read nothing but letters: some capitals fold to a letter and a mark."""
+        return unicodedata.is_normalized("NFC", word) and word.lower().isalpha()
+
     def _tokens(self, word: str) -> bytes:
         if word.isascii():  # printable characters stand for themselves
             name = "Ġ" + word[1:] if word[0] == " " else word

@@ -50,6 +50,63 @@ def plain(df):
     return [(r["doc_id"], r["text"] or "") for r in df.select("doc_id", "text").collect()]
 
 
+NAMELESS = [row(None, PROSE), row(None, PROSE + " more"), row(None, "a line that is long enough to count\nown"), row(None, None), row(6, PROSE), row(9, PROSE), row(30, "a line that is long enough to count"), row(31, "A line that is long enough to count"), row(31, "A line that is long enough to count"), row(-1, "below zero 10.0.0.1")]
+
+
+def test_rows_without_a_doc_id(spark, tmp_path):
+    """Rows with a null doc_id and repeated rows: each operator gives what its docstring says, and loses none."""
+    docs = spark.createDataFrame(NAMELESS, SCHEMA)
+    rows = plain(docs)
+    groups = defaultdict(list)
+    for i, t in rows:
+        groups[t].append(i)
+    keep = {t: max((i for i in ids if i is not None), default=None) for t, ids in groups.items()}
+    want = Counter((i, keep[t], len(groups[t]), i == keep[t], hashlib.sha256(t.encode()).hexdigest()) for i, t in rows)
+    assert Counter(map(tuple, exact_dedup.exact_duplicates(docs).collect())) == want
+    assert sorted(t for _, t in plain(exact_dedup.drop_duplicates(docs))) == sorted(groups)
+
+    near = Counter(tuple(r) for r in near_dedup.near_duplicates(docs, 4).collect())
+    named = [(i, t) for i, t in rows if i is not None]
+    assert near == brute_near(named, 4) + Counter((None, len(shingles(t, 4)), None, True) for i, t in rows if i is None)
+    left = Counter(plain(near_dedup.drop_near_duplicates(docs, 4)))
+    assert left == Counter((i, t) for i, t in rows if i not in (9, 31))
+
+    judged = quality_rules.judged(docs).collect()
+    assert Counter((r["doc_id"], r["n_words"]) for r in judged) == Counter((i, len(re.findall(WS, t))) for i, t in rows)
+    assert Counter(plain(quality_rules.accepted(docs))) == Counter((i, t) for i, t in rows if len(t) > 100)
+    assert Counter((r["doc_id"], r["n_ip"]) for r in personal_data.personal_data(docs).collect()) == Counter((i, len([x for x in brute_spans(t) if x[2] == "ip"])) for i, t in rows)
+    counted = token_counts.token_counts(docs, vocabulary_path("word_bpe_49k.json")).collect()
+    assert Counter(r["doc_id"] for r in counted) == Counter(i for i, _ in rows)
+
+    e = Encoder(vocabulary_path("word_bpe_49k.json"))
+    packed = packing.packed_documents(docs).collect()
+    assert Counter((r["doc_id"], r["length"], r["ids_crc32"]) for r in packed) == Counter((i, len(e.encode(t)) // 4, zlib.crc32(e.encode(t))) for i, t in rows)
+    mixed = mixing.copies(docs).collect()
+    assert Counter((r["doc_id"], r["size"]) for r in mixed) == Counter((i, len(re.findall(WS, t))) for i, t in rows)
+    b = Encoder(vocabulary_path("byte_bpe_50k.json"))
+    token_files.write_tokens(docs, str(tmp_path / "t"), vocabulary_path("byte_bpe_50k.json"), files=2)
+    read = token_files.token_digest(spark, str(tmp_path / "t")).collect()
+    assert Counter((r["doc_id"], r["n_tokens"]) for r in read) == Counter((i, len(b.encode(t)) // 4) for i, t in rows)
+    order = sorted(read, key=lambda r: r["start"])
+    assert [r["doc_id"] for r in order] == [None] * 4 + [-1, 6, 9, 30, 31, 31] and [r["start"] for r in order] == [sum(x["n_tokens"] for x in order[:k]) for k in range(len(order))]
+
+    got = {(r["doc_id"], r["text"], r["n_dropped"]) for r in line_dedup.without_repeated_lines(docs).collect()}
+    assert (None, "a line that is long enough to count\nown", 0) in got  # two doc_ids hold the line; a null one counts for none
+    check_shards(docs, sharding.assign(docs).collect())
+
+
+def test_two_texts_of_one_doc_id(spark):
+    """One of them speaks for the document, the same in every run."""
+    rows = [(1, PROSE), (1, "something else entirely " * 9), (2, PROSE), (3, "something else entirely " * 9), (4, "a b c d e f")]
+    found = []
+    for k in range(3):
+        df = spark.createDataFrame(rows[k:] + rows[:k], "doc_id long, text string").repartition(k + 1)
+        found.append(Counter(map(tuple, near_dedup.near_duplicates(df, 4).collect())))
+    assert found[0] == found[1] == found[2] and sum(found[0].values()) == 5
+    components = {i: c for i, _, c, _ in found[0]}
+    assert components[1] == 1 and sorted((components[2], components[3])) in ([1, 2], [1, 3]) and components[4] == 4
+
+
 def test_empty_tables(empty, spark, tmp_path):
     for f in (exact_dedup.exact_duplicates, near_dedup.near_duplicates, quality_rules.judged, personal_data.personal_data, packing.packed_documents, mixing.copies, line_dedup.without_repeated_lines, sharding.assign):
         assert f(empty).collect() == []
@@ -76,11 +133,13 @@ def test_drop_duplicates_leaves_one_row_of_each_text(edges):
     assert sorted(t for _, t in left) == sorted({t for _, t in plain(edges)})
 
 
+def shingles(t, k):
+    w = re.findall(WS, re.sub("[A-Z]", lambda m: m[0].lower(), t))
+    return {tuple(w)} if 0 < len(w) < k else {tuple(w[j : j + k]) for j in range(len(w) - k + 1)}
+
+
 def brute_near(rows, k):
-    sets = {}
-    for i, t in rows:
-        w = re.findall(WS, re.sub("[A-Z]", lambda m: m[0].lower(), t))
-        sets[i] = {tuple(w)} if 0 < len(w) < k else {tuple(w[j : j + k]) for j in range(len(w) - k + 1)}
+    sets = {i: shingles(t, k) for i, t in rows}
     comp = {i: i for i in sets}
 
     def root(i):
@@ -127,7 +186,80 @@ def test_near_duplicates_of_large_and_mixed_regions(spark, monkeypatch):
     assert Counter(map(tuple, near_dedup.near_duplicates(df, 4).collect())) == brute_near(rows, 4)
 
 
-def test_components_of_paths_and_hubs(spark):
+def dense_texts(share, n=200, far=80, words=500, seed=1):
+    """n texts that differ from one base by a word, and far ones, each at about ``share`` to one of them and less to the others."""
+    rng = np.random.default_rng(seed)
+    base, rows = [f"w{i}" for i in range(words)], []
+    for i in range(n):
+        own = list(base)
+        own[(i * 7) % words] = f"own{i}"
+        rows.append((i, own))
+    shingles = words - 3
+    changed = int(np.floor(shingles * (1 - share) / (1 + share)))
+    for i in range(far):
+        own = list(rows[int(rng.integers(n))][1])
+        at = int(rng.integers(0, words - changed))
+        own[at : at + changed - 3] = [f"far{i}x{j}" for j in range(changed - 3)]
+        rows.append((1000 + i, own))
+    return [(i, " ".join(w)) for i, w in rows]
+
+
+def test_near_duplicates_of_a_dense_region(spark):
+    """All parameters at their defaults: the regions are larger than REGION, and every far text has few partners."""
+    for share in (0.80, 0.85, 0.9):
+        rows = dense_texts(share)
+        df = spark.createDataFrame(rows, "doc_id long, text string")
+        want = brute_near(rows, 4)
+        assert Counter(map(tuple, near_dedup.near_duplicates(df, 4).collect())) == want and len({c for _, _, c, _ in want}) == 1
+
+
+def test_a_common_passage_alone_links_nothing(spark):
+    """Hundreds of texts that share a quarter of their shingles, some of them copied with a change."""
+    rng = np.random.default_rng(8)
+    shared, rows = [f"s{i}" for i in range(60)], []
+    for i in range(400):
+        own = [f"t{i}x{j}" for j in range(120)]
+        rows.append((i, " ".join(shared + own)))
+        if i % 10 == 0:
+            own[int(rng.integers(120))] = "changed"
+            rows.append((5000 + i, " ".join(shared + own)))
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    assert Counter(map(tuple, near_dedup.near_duplicates(df, 4).collect())) == brute_near(rows, 4)
+
+
+def test_rows_with_company_across_batches():
+    import pyarrow as pa
+
+    rng = np.random.default_rng(2)
+    for size in (1, 2, 3, 7, 50):
+        region = np.sort(rng.integers(0, 60, 50))
+        table = pa.table({"region": region, "rep": np.arange(50)})
+        got = [r for b in near_dedup._with_company(iter(table.to_batches(max_chunksize=size))) for r in b.column("rep").to_pylist()]
+        n = Counter(region.tolist())
+        assert got == [i for i in range(50) if n[region[i]] > 1 or i in (0, 49)]
+
+
+def test_neighbours_across_batches():
+    import pyarrow as pa
+
+    rng = np.random.default_rng(6)
+    base = rng.integers(0, 1 << 16, (4, near_dedup.VALUES)).astype("<u2")
+    sig = base[np.arange(40) // 10]
+    columns = {"region": np.arange(40) // 10, "rep": rng.permutation(40), "comp": np.arange(40) % 3, "n": 80 + np.arange(40)}
+    table = pa.table(columns | {"sig": [s.tobytes() for s in sig]})
+    want = set()
+    for i in range(40):
+        for j in range(max(0, i - 5), i):
+            if i // 10 == j // 10 and i % 3 != j % 3:
+                want.add(tuple(sorted((int(columns["rep"][i]), int(columns["rep"][j])))))
+    for size in (1, 3, 40):
+        out = [x for b in near_dedup._meet(5, near_dedup.LEAST)(iter(table.to_batches(max_chunksize=size))) for x in zip(b.column("a").to_pylist(), b.column("b").to_pylist(), strict=True)]
+        assert len(out) == len(want) and set(out) == want
+
+
+@pytest.mark.parametrize("local", [near_dedup.LOCAL_LINKS, 0])
+def test_components_of_paths_and_hubs(spark, monkeypatch, local):
+    monkeypatch.setattr(near_dedup, "LOCAL_LINKS", local)
     links = [(i, i + 1) for i in range(100, 140)] + [(1, i) for i in range(2, 60)] + [(70, 80), (75, 80), (75, 60)]
     got = {r["rep"]: r["comp"] for r in near_dedup.components(spark.createDataFrame(links, "a long, b long")).collect()}
     assert got == {i: 100 for i in range(100, 141)} | {i: 1 for i in range(1, 60)} | {i: 60 for i in (60, 70, 75, 80)}
@@ -148,7 +280,7 @@ def test_token_counts(edges, given):
             at, n = at + size, n + 1
         return n
 
-    for docs in (edges, given.limit(60)):
+    for docs in (edges, given):
         got = Counter(map(tuple, token_counts.token_counts(docs, path).collect()))
         want = Counter()
         for i, t in plain(docs):
@@ -248,6 +380,7 @@ def test_near_duplicates_of_a_large_group_around_the_threshold(spark, monkeypatc
 def test_large_regions_are_compared_exactly(spark, monkeypatch):
     """All members of one region: links are those of brute force, however the sets are dealt to blocks."""
     monkeypatch.setattr(near_dedup, "BLOCK", 2_000)
+    monkeypatch.setattr(near_dedup, "SIGNATURES", 40)
     rng = np.random.default_rng(5)
     base, rows = [f"w{i}" for i in range(120)], []
     for i in range(300):
@@ -257,9 +390,8 @@ def test_large_regions_are_compared_exactly(spark, monkeypatch):
         rows.append((i, " ".join(own)))
     df = spark.createDataFrame(rows, "doc_id long, text string")
     reps = near_dedup.signatures(df, 4).select(F.col("doc_id").alias("rep"), "n_shingles", "sig")
-    level = reps.select("rep", F.lit(0).cast("long").alias("region"), F.lit(300).cast("long").alias("members"), F.lit(0).cast("long").alias("lead"))
-    labels = spark.createDataFrame([], "rep long, comp long")
-    links = near_dedup.large_region_links(df, level, labels, reps, 4)
+    open_ = reps.select("rep", F.lit(0).cast("long").alias("region"), F.lit(300).cast("long").alias("members"), F.lit(0).cast("long").alias("lead"), F.col("rep").alias("comp"))
+    links = near_dedup.large_region_links(df, open_, reps, 4)
     got = {r["rep"]: r["comp"] for r in near_dedup.components(links).collect()}
     want = {i: c for i, _, c, _ in brute_near(rows, 4)}
     assert {i: got.get(i, i) for i in want} == want and 1 < len(set(want.values())) < 300
@@ -434,6 +566,20 @@ def test_encoder_agrees_with_the_library():
             assert np.frombuffer(e.encode(t), "<u4").tolist() == [*e.tokenizer.encode(t, add_special_tokens=False).ids, 0], (name, t)
 
 
+def test_encoder_agrees_with_the_library_on_random_strings():
+    """Pieces of all kinds in random order, capitals that fold to two characters among them."""
+    rng = np.random.default_rng(12)
+    pieces = ["İ", "İstanbul", "ŞIĞ", "ǅ", "ß", "ﬁ", "Σ", "ΟΔΟΣ", "é", "e\u0301", "Å", "한", "中文", "ก็", "٣", "²", "Ⅷ", "🙂", "\u200d", "\ufeff", "\xa0", "\u2028", "'s", "'", '"', "#", ".", ",", "!?", "(", "-", "_", "a", "B", "Word", "word", "12", "3.14", " ", "  ", "\n", "\t", "\r\n", "\x1c", "<s>", "<|endoftext|>", "ª", "ʼ", "𝒜", "ا", "ـ"]
+    for name in ("word_bpe_49k.json", "byte_bpe_50k.json"):
+        e = Encoder(vocabulary_path(name))
+        for _ in range(6_000):
+            t = "".join(pieces[k] for k in rng.integers(len(pieces), size=int(rng.integers(1, 9))))
+            assert np.frombuffer(e.encode(t), "<u4").tolist() == [*e.tokenizer.encode(t, add_special_tokens=False).ids, 0], (name, t)
+        for _ in range(6_000):
+            t = "".join(chr(c) for c in rng.choice([*range(32, 127), *range(192, 688), *range(880, 1024), 304, 305], size=int(rng.integers(1, 7))))
+            assert np.frombuffer(e.encode(t), "<u4").tolist() == [*e.tokenizer.encode(t, add_special_tokens=False).ids, 0], (name, t)
+
+
 def brute_lines(rows):
     key = lambda x: re.sub("[A-Z]", lambda m: m[0].lower(), x.strip(" \t\n\r\x0b\x0c"))
     holders = defaultdict(set)
