@@ -6,12 +6,10 @@ read again as the next stage's documents.  All but the last return the columns o
 
 from __future__ import annotations
 
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 
 from learned_upkeep.llm import exact_dedup, mixing, near_dedup, packing, quality_rules
-from learned_upkeep.llm.common import documents, scratch_dir
+from learned_upkeep.llm.common import documents, materialise, scratch_scope
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -42,12 +40,7 @@ ORACLE_SQL = None
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = documents(spark, sf_dir)
-    root = f"{scratch_dir(spark)}/pipeline-{uuid.uuid4().hex}"
-    at = spark._jvm.org.apache.hadoop.fs.Path(root)
-    at.getFileSystem(spark._jsc.hadoopConfiguration()).deleteOnExit(at)
-    for k, (name, stage) in enumerate(STAGES):
-        docs = stage(spark, docs, sf_dir)
-        if k + 1 < len(STAGES):
-            docs.write.parquet(f"{root}/{k}-{name}")
-            docs = spark.read.parquet(f"{root}/{k}-{name}")
-    return docs
+    for name, stage in STAGES[:-1]:
+        with scratch_scope(spark):  # a stage's own scratch goes when its output is written
+            docs = materialise(stage(spark, docs, sf_dir), f"pipeline-{name}", keep=True)
+    return STAGES[-1][1](spark, docs, sf_dir)
