@@ -206,11 +206,10 @@ def dense_texts(share, n=200, far=80, words=500, seed=1):
 
 def test_near_duplicates_of_a_dense_region(spark):
     """All parameters at their defaults: the regions are larger than REGION, and every far text has few partners."""
-    for share in (0.80, 0.85, 0.9):
-        rows = dense_texts(share)
-        df = spark.createDataFrame(rows, "doc_id long, text string")
-        want = brute_near(rows, 4)
-        assert Counter(map(tuple, near_dedup.near_duplicates(df, 4).collect())) == want and len({c for _, _, c, _ in want}) == 1
+    rows = [(10_000 * k + i, re.sub(r"(?=\b[wof])", f"r{k}", t)) for k, share in enumerate((0.80, 0.85, 0.9)) for i, t in dense_texts(share)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    want = brute_near(rows, 4)
+    assert Counter(map(tuple, near_dedup.near_duplicates(df, 4).collect())) == want and len({c for _, _, c, _ in want}) == 3
 
 
 def test_a_common_passage_alone_links_nothing(spark):
