@@ -36,19 +36,24 @@ PATTERNS = {
     "iban": rf"(?<![A-Za-z0-9])(?:{_IBAN}|(?!{_REGISTERED})[A-Z]{{2}}[0-9]{{2}}(?:(?!\x20{_REGISTERED}[0-9]{{2}})\x20?[A-Z0-9]){{11,30}}(?![A-Za-z0-9]))",
     "local_phone": r"(?<![0-9+.(-])\(?[0-9]{2,4}[).\x20/-]{1,2}[0-9]{3,4}[.\x20-]?[0-9]{3,4}(?![0-9.-])",
     "national_id": r"(?<![0-9-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![0-9-])",
+    # a long run with a digit and a letter, entered at its start only
+    "secret": r"(?<![A-Za-z0-9+/_-])(?=[A-Za-z+/_-]{0,200}[0-9])(?=[0-9+/_-]{0,200}[A-Za-z])[A-Za-z0-9+/_-]{20,}+",
 }
 #: A cheap test that a text can hold a kind at all.
 _NEEDS = {"email": "@", "phone": "+"}
 #: Score before context, and context words (fixed values) that raise it by half when one stands within CONTEXT characters.
-_PRIOR = {"iban": 1.0, "local_phone": 0.3, "national_id": 0.3}
+_PRIOR = {"iban": 1.0, "local_phone": 0.3, "national_id": 0.3, "secret": 0.3}
 CONTEXT_WORDS = {
     "iban": ("iban", "account", "konto", "compte", "cuenta"),
     "local_phone": ("phone", "telephone", "tel", "call", "mobile", "telefon", "téléphone", "teléfono"),
+    "secret": ("token", "secret", "password", "passwd", "api key", "api_key", "apikey", "access key", "private key", "bearer", "credential", "credentials"),
     "national_id": ("ssn", "social security", "national id", "ausweis", "sécurité sociale", "dni"),
 }
 #: Words that speak against personal data (fixed values); each kind loses half.
 _AGAINST = ("version", "license", "isbn", "page", "figure")
 CONTEXT = 40
+#: Matches in a block.
+BLOCK = 128
 THRESHOLD = 0.5
 
 
@@ -95,7 +100,7 @@ def _confirmed(kind: str, m: Column, before: Column, after: Column) -> Column:
         near = F.lower(F.concat(before, F.lit(" "), after))
         word = lambda words: near.rlike(r"(?<!\p{L})(?:" + "|".join(words) + r")(?!\p{L})")
         score = F.lit(_PRIOR[kind]) + F.when(word(CONTEXT_WORDS[kind]), 0.5).otherwise(0.0) - F.when(word(_AGAINST), 0.5).otherwise(0.0)
-        valid = {"iban": mod97(m), "local_phone": n.between(8, 12), "national_id": ~m.rlike("^(?:000|666|9)|-00-|0000$")}[kind]
+        valid = {"iban": mod97(m), "local_phone": n.between(8, 12), "national_id": ~m.rlike("^(?:000|666|9)|-00-|0000$"), "secret": F.lit(True)}[kind]
         return valid & (score >= THRESHOLD)
     return F.lit(True)
 
@@ -105,6 +110,8 @@ def spans_of(text: Column, kind: str) -> Column:
     no = list(PATTERNS).index(kind)
     pattern = PATTERNS[kind]
     pieces, found = F.split(text, pattern, -1), F.regexp_extract_all(text, F.lit(pattern), F.lit(0))
+    # matches with the piece before and after each; zipped whole, as a lambda would cut the text anew for every match
+    zipped = F.filter(F.arrays_zip(pieces.alias("piece"), found.alias("m"), F.slice(pieces, 2, F.length(text) + 1).alias("next")), lambda z: z["m"].isNotNull())
     start = F.struct(F.lit(0).alias("at"), F.array().cast("array<struct<start:int,kind_no:int,kind:string,end:int>>").alias("out"))
 
     def step(a: Column, x: Column) -> Column:
@@ -118,9 +125,15 @@ def spans_of(text: Column, kind: str) -> Column:
         ok = _confirmed(kind, m, F.substring(x["piece"], -CONTEXT, CONTEXT), F.substring(after, 1, CONTEXT))
         return F.struct(end.alias("at"), F.when(ok, F.array_append(a["out"], span)).otherwise(a["out"]).alias("out"))
 
-    zipped = F.transform(found, lambda m, i: F.struct(F.get(pieces, i).alias("piece"), m.alias("m"), F.get(pieces, i + 1).alias("next")))
     none = start["out"]
-    spans = F.aggregate(zipped, start, step, lambda a: a["out"])
+    nested = F.struct(F.lit(0).alias("at"), F.array().cast("array<array<struct<start:int,kind_no:int,kind:string,end:int>>>").alias("out"))
+
+    def block(a: Column, part: Column) -> Column:
+        return F.aggregate(part, F.struct(a["at"].alias("at"), none.alias("out")), step, lambda b: F.struct(b["at"].alias("at"), F.array_append(a["out"], b["out"]).alias("out")))
+
+    # appending copies a list, so matches go through in blocks and only whole blocks are appended to the long one
+    cut = lambda z: F.transform(F.sequence(F.lit(0), F.floor(F.size(z) / BLOCK).cast("int")), lambda b: F.slice(z, b * BLOCK + 1, BLOCK))
+    spans = F.get(F.transform(F.array(zipped), lambda z: F.aggregate(cut(z), nested, block, lambda a: F.flatten(a["out"]))), 0)
     return F.when(text.contains(_NEEDS[kind]), spans).otherwise(none) if kind in _NEEDS else spans
 
 
@@ -134,7 +147,7 @@ def personal_data(docs: DataFrame, extra: bool = True) -> DataFrame:
     A null or empty text has no spans (spans is then the empty string).  Spans of different kinds may
     overlap; those of one kind never do.  Repeated rows are answered each; an empty table gives an
     empty result; further columns are ignored.  With ``extra`` the kinds beyond the base are added:
-    iban (mod 97), and local_phone and national_id where a word nearby supports them.
+    iban (mod 97), and local_phone, national_id and secret (keys and tokens) where a word nearby supports them.
     """
     text = F.col("__text")
     kinds = list(PATTERNS) if extra else list(BASE_KINDS)

@@ -459,6 +459,28 @@ def test_personal_data_validators_context_and_redaction(edges):
     assert text[15] == "mail me: [email], or 10.0.0.256 and [ip]; [card]! [phone]"
 
 
+def test_secrets_need_a_word_nearby(spark):
+    key = "ab8ca1b325bc4f85aa6a79e73fc4cbfc2098878e"
+    texts = [f'token = "{key}" x', f"see {key} there", f"password: {key.upper()}", "token = abcdefghijklmnopqrstuvwxyz", "token = 123456789012345678901234", f"API_KEY={key[:19]}", f"page token {key}", f"tokens {key}"]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {r["doc_id"]: [x for x in r["spans"].split(",") if x.startswith("secret")] for r in personal_data.personal_data(docs).collect()}
+    assert got == {0: ["secret:9:49"], 1: [], 2: ["secret:10:50"], 3: [], 4: [], 5: [], 6: [], 7: []}
+
+
+def test_context_counts_up_to_its_edge(spark):
+    near, far = "ssn" + " " * 37 + "123-45-6789", "ssn" + " " * 38 + "123-45-6789"
+    after, against = "123-45-6789 is my ssn", "ssn isbn 123-45-6789"
+    docs = spark.createDataFrame(list(enumerate((near, far, after, against))), "doc_id long, text string")
+    assert {r["doc_id"]: "national_id" in r["spans"] for r in personal_data.personal_data(docs).collect()} == {0: True, 1: False, 2: True, 3: False}
+
+
+def test_a_text_with_thousands_of_spans(spark):
+    text = " ".join(f"10.0.{i % 300}.{i % 99} a{i}@b.co +49 30 {100000 + i}" for i in range(9000))
+    df = spark.createDataFrame([(1, text), (2, "1." * 50_000)], "doc_id long, text string")
+    got = {r["doc_id"]: r["base_sha256"] for r in personal_data.personal_data(df).collect()}
+    assert got == {i: hashlib.sha256(",".join(f"{k}:{a}:{b}" for a, _, k, b in brute_spans(t)).encode()).hexdigest() for i, t in ((1, text), (2, "1." * 50_000))}
+
+
 def check_packing(rows, texts, capacity=2048):
     e = Encoder(vocabulary_path("word_bpe_49k.json"))
     ids = {i: e.tokenizer.encode(t, add_special_tokens=False).ids + [0] for i, t in texts}
