@@ -17,6 +17,8 @@ from pyspark.sql import DataFrame
 from .tensor import Tensor
 
 Params = dict[str, np.ndarray]
+#: What a value outside its domain adds to a row's loss: that of probability 1e-12.
+UNSEEN_LOSS = 27.631021115928547
 
 
 class Component(Protocol):
@@ -166,8 +168,36 @@ def full_gradient(df: DataFrame, component: Component, params: Params, columns:
     return total / max(1, n), _shaped(grad / max(1, n), params), n
 
 
-def fit_by_partitions(df: DataFrame, component: Component, columns: list[str], start: Params, rounds: int = 5, settings: Settings = Settings(epochs=1)) -> Params:  # noqa: B008
-    """Rounds of local training on every partition from shared weights, averaged by rows: for data of any size."""
+def _blocks(batches: Iterator, rows: int = 200_000) -> Iterator:
+    """Arrow batches joined to about so many rows, so that an optimizer has a run to settle in and memory stays bounded."""
+    import pandas as pd
+
+    held, n = [], 0
+    for pdf in batches:
+        held.append(pdf)
+        n += len(pdf)
+        if n >= rows:
+            yield pd.concat(held)
+            held, n = [], 0
+    if held:
+        yield pd.concat(held)
+
+
+@dataclass(frozen=True)
+class Teaching:
+    """What an update has besides its rows: the teacher, lambda and the weight of the new rows.  Rows then carry ``is_new``."""
+
+    teacher: Params
+    lam: float
+    w_new: float
+
+
+def fit_by_partitions(df: DataFrame, component: Component, columns: list[str], start: Params, rounds: int = 5, settings: Settings = Settings(epochs=1), teaching: Teaching | None = None) -> Params:  # noqa: B008
+    """Rounds of local training on every partition from shared weights, averaged by rows: for data of any size.
+
+    The rate falls along a half cosine over the rounds.  With ``teaching`` it is the combined update, and ``df`` holds the batch (``is_new``) and the
+    transfer set, which should be mixed over the partitions.
+    """
     import pandas as pd
 
     params = start
@@ -176,16 +206,19 @@ def fit_by_partitions(df: DataFrame, component: Component, columns: list[str], s
 
         def run(batches: Iterator[pd.DataFrame], shared=shared, r=r) -> Iterator[pd.DataFrame]:
             own, n = shared.value, 0
-            for pdf in batches:
+            rate = settings.rate * (1 + np.cos(np.pi * r / rounds)) / 2
+            for pdf in _blocks(batches):
                 rows = _rows(pdf, columns)
                 if len(rows):
-                    own, _ = fit(component, Update(rows), own, Settings(settings.epochs, settings.rate, settings.batch, settings.seed + r))
+                    new = pdf["is_new"].to_numpy(bool) if teaching else None
+                    update = Update(rows[new], rows[~new], teaching.teacher, teaching.lam, teaching.w_new) if teaching else Update(rows)
+                    own, _ = fit(component, update, own, Settings(settings.epochs, rate, settings.batch, settings.seed + r))
                     n += len(rows)
             if n:
                 yield pd.DataFrame({"n": [n], "weights": [_flat(own).tolist()]})
 
         total, n = np.zeros(_flat(params).size), 0
-        for row in df.select(*columns).mapInPandas(run, "n long, weights array<double>").toLocalIterator():
+        for row in df.select(*columns, *["is_new"] * (teaching is not None)).mapInPandas(run, "n long, weights array<double>").toLocalIterator():
             total, n = total + np.asarray(row["weights"]) * row["n"], n + row["n"]
         if n:
             params = _shaped(total / n, params)
@@ -193,6 +226,18 @@ def fit_by_partitions(df: DataFrame, component: Component, columns: list[str], s
     return params
 
 
+def losses(component: Component, params: Params, data: np.ndarray) -> np.ndarray:
+    """The loss of each row.  A code outside its domain, or a missing one, adds ``UNSEEN_LOSS`` and is otherwise read as the nearest."""
+    sizes = np.array(getattr(component, "sizes", None) or (component.categories,))
+    codes = data[:, : sizes.size]
+    with np.errstate(invalid="ignore"):
+        unseen = ~((codes >= 0) & (codes < sizes))
+    if not unseen.any() and not np.isnan(data).any():
+        return component.row_loss(params, data)
+    missing = np.isnan(data[:, sizes.size :]).any(axis=1) & ~unseen.any(axis=1)
+    return component.row_loss(params, np.nan_to_num(data)) + UNSEEN_LOSS * (unseen.sum(axis=1) + missing)
+
+
 def score(df: DataFrame, component: Component, params: Params, columns: list[str]) -> DataFrame:
     """``df`` with a column ``loss``: weights are broadcast, rows stream through in Arrow batches, nothing is shuffled."""
     import pyarrow as pa
@@ -204,6 +249,6 @@ def score(df: DataFrame, component: Component, params: Params, columns: list[str
         for b in batches:
             if b.num_rows:
                 data = np.column_stack([b.column(c).to_numpy(zero_copy_only=False).astype("float64") for c in columns])
-                yield pa.RecordBatch.from_arrays([*b.columns, pa.array(component.row_loss(shared.value, data))], [*names, "loss"])
+                yield pa.RecordBatch.from_arrays([*b.columns, pa.array(losses(component, shared.value, data))], [*names, "loss"])
 
     return df.mapInArrow(run, df.schema.simpleString()[7:-1] + ",loss:double")

@@ -12,6 +12,13 @@ from .tensor import Tensor, exp, log_softmax, relu, square
 from .training import Params
 
 
+def _mixed(h: np.ndarray) -> np.ndarray:
+    """Odd multipliers and shifts that spread 64 bits."""
+    h = (h + np.uint64(0x9E3779B97F4A7C15)) * np.uint64(0xD6E8FEB86659FD93)
+    h = (h ^ (h >> np.uint64(32))) * np.uint64(0xC2B2AE3D27D4EB4F)
+    return h ^ (h >> np.uint64(29))
+
+
 @dataclass(frozen=True)
 class TabularVae:
     sizes: tuple[int, ...]
@@ -61,9 +68,16 @@ class TabularVae:
 
     def row_loss(self, params: Params, data: np.ndarray) -> np.ndarray:
         """Noise depends on a row's content only, so a row has one loss however the data are partitioned."""
-        seeds = (data.astype("int64") * 2654435761 % 4294967291).sum(1)
-        noise = np.stack([np.random.default_rng(int(s)).normal(size=self.latent) for s in seeds]) if len(data) else np.empty((0, self.latent))
-        return self._row_loss({k: Tensor(v) for k, v in params.items()}, data, noise).value
+        return self._row_loss({k: Tensor(v) for k, v in params.items()}, data, self.noise_of(data)).value
+
+    def noise_of(self, data: np.ndarray) -> np.ndarray:
+        """Normal numbers from a hash of each row's codes and the latent's number: no generator, no state."""
+        h = np.zeros(len(data), "uint64")
+        for c in data.astype("int64").astype("uint64").T:
+            h = _mixed(h ^ c)
+        keys = _mixed(h[:, None] ^ np.arange(1, 2 * self.latent + 1, dtype="uint64"))
+        u = ((keys >> np.uint64(11)).astype("float64") + 0.5) / 2.0**53
+        return np.sqrt(-2 * np.log(u[:, : self.latent])) * np.cos(2 * np.pi * u[:, self.latent :])
 
     def imitation(self, p: dict[str, Tensor], teacher: Params, data: np.ndarray, noise: np.ndarray | None = None) -> Tensor:
         """Half the squared gaps of encoder outputs plus half those of decoder outputs, teacher and student under the same noise."""

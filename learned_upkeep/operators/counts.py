@@ -8,6 +8,7 @@ one aggregation doesn't depend on the number of rows.
 
 from __future__ import annotations
 
+import math
 from dataclasses import dataclass, replace
 from functools import reduce
 
@@ -18,6 +19,9 @@ from pyspark.sql import functions as F
 from ..sources.catalog import Fixture
 
 SMOOTHING = 0.1
+#: Least probability of a code, and the loss of a value that no domain holds.
+FLOOR = 1e-12
+UNSEEN_LOSS = -math.log(FLOOR)
 #: Largest joint domain that is laid out as a table of cells.
 MAX_CELLS = 1_000_000
 
@@ -60,15 +64,25 @@ class ChainCounts:
         return [f"p{i + 1}" for i in range(len(self.fixture.columns))]
 
     def log_probability(self) -> Column:
-        return reduce(lambda a, b: a + b, [F.log(F.greatest(F.col(p), F.lit(1e-12))) for p in self.levels])
+        return reduce(lambda a, b: a + b, [F.log(F.greatest(F.col(p), F.lit(FLOOR))) for p in self.levels])
 
     def losses(self) -> DataFrame:
         """(columns, loss): the loss of a row depends on its cell only."""
         return self.frame.select(*self.fixture.columns, (-self.log_probability()).alias("loss"))
 
     def score(self, df: DataFrame) -> DataFrame:
-        """``df`` with a column ``loss``; the table of cells is broadcast, since its size is bounded."""
-        return df.join(F.broadcast(self.losses()), list(self.fixture.columns))
+        """``df`` with a column ``loss``; the table of cells is broadcast, since its size is bounded.
+
+        A row with a null or a value outside the domains has probability 0, so it takes the loss of the
+        floor and stays: new categories are drift that the test has to see.
+        """
+        return df.join(F.broadcast(self.losses()), list(self.fixture.columns), "left").withColumn("loss", F.coalesce("loss", F.lit(UNSEEN_LOSS)))
+
+    def score_columns(self, df: DataFrame) -> DataFrame:
+        """``df`` with l1 … lm: the loss of each column given those before it."""
+        parts = self.frame.select(*self.fixture.columns, *[(-F.log(F.greatest(F.col(p), F.lit(FLOOR)))).alias(f"l{i + 1}") for i, p in enumerate(self.levels)])
+        out = df.join(F.broadcast(parts), list(self.fixture.columns), "left")
+        return out.withColumns({f"l{i + 1}": F.coalesce(f"l{i + 1}", F.lit(UNSEEN_LOSS)) for i in range(len(self.levels))})
 
     def masses(self) -> DataFrame:
         """(columns, prob): the probability of each cell."""

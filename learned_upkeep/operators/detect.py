@@ -167,6 +167,20 @@ def test_batch(scored_batch: DataFrame, base: Baseline, mode: str = "fixed", tai
     return Verdict(shift, limit, shift / (limit / k), normal, empirical, bool(fires(shift, limit, tail)), base.n_old, n)
 
 
+def by_column(old: DataFrame, new: DataFrame, columns: tuple[str, ...], k: float = FACTOR) -> DataFrame:
+    """(position, column, old_loss, new_loss, shift, threshold, is_ood) from l1 … lm of both sides.
+
+    The joint loss is the sum over columns.  The loss of a column given those before it moves with
+    its conditional distribution; that of the columns before it moves with their own distribution.
+    """
+    names = [f"l{i + 1}" for i in range(len(columns))]
+    means = lambda df, p: df.agg(*[F.avg(c).alias(f"{p}{c}") for c in names], *[F.stddev_pop(c).alias(f"{p}s{c}") for c in names], F.count("*").alias(f"{p}n"))
+    both = means(old, "o").crossJoin(means(new, "n"))  # one row each
+    limit = lambda c: k * F.greatest(F.col(f"os{c}"), F.lit(1e-9)) * F.sqrt(1 / F.col("on") + 1 / F.col("nn"))
+    each = [F.struct(F.lit(i).alias("position"), F.lit(columns[i]).alias("column"), F.col(f"o{c}").alias("old_loss"), F.col(f"n{c}").alias("new_loss"), (F.col(f"n{c}") - F.col(f"o{c}")).alias("shift"), limit(c).alias("threshold")) for i, c in enumerate(names)]
+    return both.select(F.explode(F.array(*each)).alias("e")).select("e.*").withColumn("is_ood", F.abs("shift") > F.col("threshold"))
+
+
 def two_sample(old: DataFrame, new: DataFrame, n_boot: int, k: float = FACTOR) -> DataFrame:
     """The same test as one lazy row, with the normal limit instead of the bootstrap: no driver round trip."""
     both = moments(old, "old").crossJoin(moments(new, "new"))

@@ -2,12 +2,16 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+from contextlib import contextmanager
 from dataclasses import dataclass, replace
 
 import numpy as np
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
-from ..nn.training import Component, Params, Settings, Update, fit, fit_by_partitions
+from ..nn.training import Component, Params, Settings, Teaching, Update, fit, fit_by_partitions
 from .update import LAMBDA, LAMBDA_GRID, new_weight
 
 
@@ -23,15 +27,31 @@ class Model:
     steps: int = 0  # rows times epochs spent on training this version: a cost that doesn't depend on the machine
 
 
+#: Rows that a training task has at least: averaging over tasks of fewer rows leaves too few steps in a row.
+ROWS_A_TASK = 50_000
+
+
+@contextmanager
+def _spread(df: DataFrame, rows: int) -> Iterator[DataFrame]:
+    """The rows dealt to as many tasks as run at once and have enough of them, old and new mixed, and held for all rounds."""
+    tasks = max(1, min(df.sparkSession.sparkContext.defaultParallelism, rows // ROWS_A_TASK))
+    dealt = (df.repartition(tasks, "rk") if "rk" in df.columns else df.repartition(tasks)).persist(StorageLevel.MEMORY_AND_DISK)
+    try:
+        yield dealt
+    finally:
+        dealt.unpersist()
+
+
 def train(component: Component, data: np.ndarray, rows: int, settings: Settings = Settings()) -> Model:  # noqa: B008
     params, history = fit(component, Update(data), None, settings)
     return Model(component, params, rows, steps=len(history) * len(data))
 
 
 def train_all(component: Component, df: DataFrame, columns: list[str], settings: Settings = Settings()) -> Model:  # noqa: B008
-    """Training on all rows where they lie, an averaging round for each epoch."""
+    """Training on all rows by partitions, an averaging round for each epoch."""
     rows = df.count()
-    params = fit_by_partitions(df, component, columns, component.initial(np.random.default_rng(settings.seed)), settings.epochs, replace(settings, epochs=1))
+    with _spread(df, rows) as parts:
+        params = fit_by_partitions(parts, component, columns, component.initial(np.random.default_rng(settings.seed)), settings.epochs, replace(settings, epochs=1))
     return Model(component, params, rows, steps=settings.epochs * rows)
 
 
@@ -130,6 +150,35 @@ def policies(model: Model, old: np.ndarray, batch: np.ndarray, transfer: np.ndar
     return {k: makers[k]() for k in which or [k for k in makers if k != "anchored"]}
 
 
+def policies_all(model: Model, old: DataFrame, batch: DataFrame, transfer: DataFrame, columns: list[str], n_new: int, settings: Settings = Settings(), lam: float = LAMBDA, alpha: str | float = "described", which: tuple[str, ...] = ("stale", "retrain", "fine_tune", "kd", "pooled")) -> dict[str, Model]:  # noqa: B008
+    """:func:`policies` on all rows where they lie: each epoch is a round over the partitions.  Only weights reach the driver."""
+    rows, c = model.rows + n_new, model.component
+    tagged = lambda df, new: df.select("rk", *columns, F.lit(new).alias("is_new"))
+    mixed = lambda df: tagged(df, False).unionByName(tagged(batch, True))
+    one = replace(settings, epochs=1)
+    version = {"version": model.version + 1, "parent": model.version}
+
+    def tuned() -> Model:
+        with _spread(batch.select("rk", *columns), n_new) as parts:
+            params = fit_by_partitions(parts, c, columns, model.params, settings.epochs, one)
+        return Model(c, params, rows, **version, steps=settings.epochs * n_new)
+
+    def distilled() -> Model:
+        n_both = n_new + transfer.count()
+        with _spread(mixed(transfer), n_both) as both:
+            params = fit_by_partitions(both, c, columns, model.params, settings.epochs, one, Teaching(model.params, lam, new_weight(n_new, model.rows, alpha)))
+        return Model(c, params, rows, **version, steps=settings.epochs * (n_both + (n_both - n_new)))
+
+    makers = {
+        "stale": lambda: model,
+        "retrain": lambda: replace(train_all(c, mixed(old), columns, settings), rows=rows),
+        "fine_tune": tuned,
+        "kd": distilled,
+        "pooled": lambda: replace(train_all(c, mixed(transfer), columns, settings), rows=rows),
+    }
+    return {k: makers[k]() for k in which}
+
+
 def tune_lambda(model: Model, batch: np.ndarray, transfer: np.ndarray, validation: np.ndarray, n_new: int, grid: tuple[float, ...] = LAMBDA_GRID, settings: Settings = Settings()) -> tuple[float, dict[float, float]]:  # noqa: B008
     """The lambda with the least validation loss on old and new rows."""
     losses = {lam: float(model.component.row_loss(distil(model, batch, transfer, n_new, lam, settings=settings).params, validation).mean()) for lam in grid}

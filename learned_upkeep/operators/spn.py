@@ -44,7 +44,7 @@ class SumProduct:
         if len(groups) > 1 or depth >= MAX_DEPTH or counts.sum() < LEAST_SHARE * self.rows or len(cells) < 4:
             groups = groups if len(groups) > 1 else [[c] for c in columns]
             return Node("product", columns, [self._build(cells, counts, g, depth + 1) for g in groups])
-        centres, label = self._clusters(cells[:, columns], counts)
+        centres, label = self._clusters(cells[:, columns], counts, columns)
         if (label == label[0]).all():
             return Node("product", columns, [self._leaf(cells, counts, c) for c in columns])
         parts = [label == k for k in range(len(centres))]
@@ -71,9 +71,9 @@ class SumProduct:
             groups.append([columns[i] for i in sorted(group)])
         return groups
 
-    def _clusters(self, x: np.ndarray, counts: np.ndarray, k: int = 2, rounds: int = 20) -> tuple[np.ndarray, np.ndarray]:
+    def _clusters(self, x: np.ndarray, counts: np.ndarray, columns: list[int], k: int = 2, rounds: int = 20) -> tuple[np.ndarray, np.ndarray]:
         """Weighted k-means on codes scaled by their domains."""
-        scale = np.array([self.sizes[c] for c in range(x.shape[1])], float)
+        scale = np.array([self.sizes[c] for c in columns], float)
         x = x / scale
         spread = x[:, np.argmax(np.average((x - np.average(x, 0, counts)) ** 2, 0, counts))]
         centres = np.stack([x[spread.argmin()], x[spread.argmax()]]).astype(float)
@@ -98,7 +98,7 @@ class SumProduct:
             elif node.kind == "product":
                 stack += [(c, x, n) for c in node.children]
             else:
-                scale = np.array([self.sizes[c] for c in range(len(node.columns))], float)
+                scale = np.array([self.sizes[c] for c in node.columns], float)
                 label = (((x[:, node.columns][:, None] - node.centres[None]) / scale) ** 2).sum(2).argmin(1)
                 for k, child in enumerate(node.children):
                     node.weights[k] += n[label == k].sum()

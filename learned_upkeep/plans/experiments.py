@@ -7,6 +7,7 @@ from __future__ import annotations
 
 import time
 from collections.abc import Callable
+from dataclasses import replace
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
@@ -22,27 +23,25 @@ from ..operators.update import merge_frequencies
 from ..sources import catalog
 from ..sources.catalog import D1, D2, D3, D5, D6, Fixture
 
-#: Rows of a training sample, and the settings of the registered queries.
-TRAIN_ROWS = 20_000
+#: The settings of the registered queries.
 QUICK = Settings(epochs=8, rate=3e-3, batch=512)
+#: A generator's reconstruction needs larger steps to part from that of independent columns.
+FAST = Settings(epochs=8, rate=1e-2, batch=512)
 N_QUERIES = 200
 
 
-def bounded(df: DataFrame, columns: list[str], rows: int | None = None, cap: int = TRAIN_ROWS, seed: str = "train") -> np.ndarray:
-    """At most about ``cap`` rows as a matrix."""
-    rows = df.count() if rows is None else rows
-    return matrix(hash_sample(df, min(1.0, cap / max(1, rows)), seed) if rows > cap else df, columns)
-
-
-def with_batch(old: DataFrame, batch: DataFrame, columns: list[str], n_old: int, n_new: int) -> tuple[np.ndarray, np.ndarray]:
-    """Samples of old rows and batch at one rate, so that their union keeps the true proportions."""
-    return bounded(old, columns, n_old), bounded(batch, columns, n_new, max(200, int(TRAIN_ROWS * n_new / max(1, n_old))), "batch")
-
-
 def _frame(spark: SparkSession, rows: list[tuple], schema: str) -> DataFrame:
     return spark.createDataFrame(rows, schema)
 
 
+def _settled(few: DataFrame, *persisted: DataFrame) -> DataFrame:
+    """A result of a few rows, computed now, so that what it came from can be released."""
+    out = few.sparkSession.createDataFrame(few.collect(), few.schema)
+    for df in persisted:
+        df.unpersist()
+    return out
+
+
 def autoregressive(f: Fixture) -> MaskedAutoregressive:
     """Imitation is summed over columns at temperature 1, so that lambda weighs it against a likelihood of the same scale."""
     return MaskedAutoregressive(f.sizes, temperature=1.0, reduction="sum")
@@ -69,10 +68,10 @@ def _tables(f: Fixture, kind: str, spark, sf_dir) -> tuple[DataFrame, DataFrame,
     return old_y, _numbers(drift.ind_batch(old), f, limits)[0], _numbers(ood, f, limits)[0], [f.columns[0], "y"]
 
 
-def detection(spark: SparkSession, sf_dir: str, f: Fixture, kind: str, settings: Settings = QUICK) -> DataFrame:
+def detection(spark: SparkSession, sf_dir: str, f: Fixture, kind: str, settings: Settings | None = None) -> DataFrame:
     """Mean losses on old, IND and OOD rows, the bootstrap, both verdicts, and offline and online seconds."""
     old, ind, ood, cols = _tables(f, kind, spark, sf_dir)
-    model = networks.train_all(component_for(f, kind), old, cols, settings)
+    model = networks.train_all(component_for(f, kind), old, cols, settings or (FAST if kind == "vae" else QUICK))
     began = time.perf_counter()
     base = detect.offline(score(old.select("rk", *cols), model.component, model.params, cols))
     offline = time.perf_counter() - began
@@ -92,14 +91,14 @@ def ce_one_shot(spark: SparkSession, sf_dir: str, f: Fixture = D1, n_queries: in
     before = workload.truth(q, old, f).where("truth > 0").persist()
     q = workload.without_empty(q, before).persist()
     after = workload.truth_added(before, workload.truth(q, ood, f)).persist()
-    m_old, m_new = with_batch(old, ood, cols, n_old, n_new)
-    transfer = bounded(hash_sample(old, 0.1, "transfer1"), cols, int(0.1 * n_old))
-    base = networks.train(autoregressive(f), m_old, n_old, settings)
+    ood = ood.persist()
+    transfer = hash_sample(old, 0.1, "transfer1")
+    base = networks.train_all(autoregressive(f), old, cols, settings)
     timed = {}
     models = {"base": base}
     for p in ("stale", "retrain", "fine_tune", "kd", "pooled"):
         began = time.perf_counter()
-        models |= networks.policies(base, m_old, m_new, transfer, n_new, settings, which=(p,))
+        models |= networks.policies_all(base, old, ood, transfer, cols, n_new, settings, which=(p,))
         timed[p] = time.perf_counter() - began
     out = []
     for name, m in models.items():
@@ -111,11 +110,12 @@ def ce_one_shot(spark: SparkSession, sf_dir: str, f: Fixture = D1, n_queries: in
     errors = out[0]
     for o in out[1:]:
         errors = errors.unionByName(o)
-    return errors.groupBy("policy").agg(
+    found = errors.groupBy("policy").agg(
         F.expr("percentile(q_error, 0.5)").alias("median"), F.expr("percentile(q_error, 0.95)").alias("p95"), F.expr("percentile(q_error, 0.99)").alias("p99"), F.max("q_error").alias("max"),
         F.avg(F.when(F.col("grp") == "changed", F.col("q_error"))).alias("fwt"), F.avg(F.when(F.col("grp") == "unchanged", F.col("q_error"))).alias("bwt"),
         F.first("seconds").alias("seconds"), F.first("row_epochs").alias("row_epochs"),
     )
+    return _settled(found, ood, q, before, after)
 
 
 def aqp_one_shot(spark: SparkSession, sf_dir: str, f: Fixture = D2, n_queries: int = N_QUERIES, settings: Settings = QUICK) -> DataFrame:
@@ -126,16 +126,16 @@ def aqp_one_shot(spark: SparkSession, sf_dir: str, f: Fixture = D2, n_queries: i
     old, limits = _numbers(raw, f)
     new, _ = _numbers(batch, f, limits)
     cols = [f.columns[0], "y"]
-    n_old, n_new = old.count(), new.count()
+    n_new = new.count()
     q = workload.aqp_queries(raw, f.columns[0], f.target, n_queries).persist()
     ask = lambda df: workload.aqp_truth(q, df, f.columns[0], f.target)
     before, after = ask(raw).persist(), ask(raw.unionByName(batch)).persist()
     some = before.where("count > 0").select("qid")
-    m_old, m_new = with_batch(old, new, cols, n_old, n_new)
-    transfer = bounded(hash_sample(old, 0.1, "transfer1"), cols, int(0.1 * n_old))
-    base = networks.train(component_for(f, "mdn"), m_old, n_old, settings)
+    new = new.persist()
+    transfer = hash_sample(old, 0.1, "transfer1")
+    base = networks.train_all(component_for(f, "mdn"), old, cols, settings)
     # of the published grid, the weight that leaves most to the likelihood suits a mixture, whose imitation terms are small
-    models = {"base": base} | networks.policies(base, m_old, m_new, transfer, n_new, settings, 1 / 4, which=("stale", "retrain", "fine_tune", "kd"))
+    models = {"base": base} | networks.policies_all(base, old, new, transfer, cols, n_new, settings, 1 / 4, which=("stale", "retrain", "fine_tune", "kd"))
     freq_old, freq_new = counts.cells(raw, (f.columns[0],)), merge_frequencies(raw, batch, f.columns[0])
     out = None
     for name, m in models.items():
@@ -148,7 +148,7 @@ def aqp_one_shot(spark: SparkSession, sf_dir: str, f: Fixture = D2, n_queries: i
         r = e.agg(F.expr("percentile(greatest(greatest(count, 1D), t_count) / least(greatest(count, 1D), t_count), array(0.5D, 0.95D))").alias("q"), pct("sum", "t_sum").alias("sum_pct"), pct("avg", "t_avg").alias("avg_pct"))
         r = r.select(F.lit(name).alias("policy"), F.col("q")[0].alias("count_median"), F.col("q")[1].alias("count_p95"), "sum_pct", "avg_pct")
         out = r if out is None else out.unionByName(r)
-    return out
+    return _settled(out, new, q, before, after)
 
 
 def generation(spark: SparkSession, sf_dir: str, f: Fixture = D6, target: str = "lang", settings: Settings = Settings(epochs=15, rate=3e-3), n: int | None = None) -> DataFrame:
@@ -161,10 +161,8 @@ def generation(spark: SparkSession, sf_dir: str, f: Fixture = D6, target: str =
     batch, cols = batch_all.where(~batch_held), list(f.columns)
     features = tuple(c for c in cols if c != target)
     n_old, n_new = old.count(), batch.count()
-    m_old, m_new = with_batch(old, batch, cols, n_old, n_new)
-    transfer = bounded(hash_sample(old, 0.05, "transfer1"), cols, int(0.05 * n_old))
-    base = networks.train(TabularVae(f.sizes), m_old, n_old, settings)
-    models = {"base": base} | networks.policies(base, m_old, m_new, transfer, n_new, settings, which=("stale", "retrain", "fine_tune", "kd"))
+    base = networks.train_all(TabularVae(f.sizes), old, cols, settings)
+    models = {"base": base} | networks.policies_all(base, old, batch, hash_sample(old, 0.05, "transfer1"), cols, n_new, settings, which=("stale", "retrain", "fine_tune", "kd"))
     rows = []
     for name, m in models.items():
         real = old if name == "base" else old.unionByName(batch)
@@ -181,66 +179,75 @@ def incremental(spark: SparkSession, sf_dir: str, f: Fixture = D1, steps: int =
     q = workload.ce_queries(old, f, n_queries).persist()
     truth = workload.truth(q, old, f).where("truth > 0").persist()
     q = workload.without_empty(q, truth).persist()
-    n_old = old.count()
-    seen = m_old = bounded(old, cols, n_old)
-    base = networks.train(autoregressive(f), m_old, n_old, settings)
+    seen = old.select("rk", *cols)
+    base = networks.train_all(autoregressive(f), seen, cols, settings)
     models, rows = dict.fromkeys(which, base), []
     grid = counts.grid(spark, f.columns, f.sizes)
     for s in range(steps):
         batch = batches.where(F.col("batch_id") == s)
         n_new = batch.count()
-        m_new = with_batch(batch.limit(0), batch, cols, n_old, n_new)[1]
         truth = workload.truth_added(truth, workload.truth(q, batch, f)).persist()
-        rng = np.random.default_rng(s)
-        transfer = seen[rng.permutation(len(seen))[: max(1, len(seen) // 10)]]
+        transfer = hash_sample(seen, 0.1, f"transfer{s}")
         for name in which:
-            models[name] = networks.policies(models[name], seen, m_new, transfer, n_new, settings, which=(name,))[name]
+            models[name] = networks.policies_all(models[name], seen, batch, transfer, cols, n_new, settings, which=(name,))[name]
             m = models[name]
             est = workload.over_cells(q, answers.cell_masses(grid, m.component, m.params, f.columns), f.columns, "prob", "p").select("qid", (F.col("p") * F.lit(float(m.rows))).alias("estimate"))
             e = metrics.q_errors(est, truth).agg(F.expr("percentile(q_error, array(0.5D, 0.95D))").alias("q")).first()[0]
-            ll = -(m.component.row_loss(m.params, m_old).mean() + m.component.row_loss(m.params, m_new).mean()) / 2
+            ll = -sum(score(d.select(*cols), m.component, m.params, cols).agg(F.avg("loss")).first()[0] for d in (old, batch)) / 2
             rows.append((s + 1, name, float(e[0]), float(e[1]), float(ll)))
-        seen = np.concatenate([seen, m_new])
+        seen = seen.unionByName(batch.select("rk", *cols))
+    for df in (batches, q, truth):
+        df.unpersist()
     return _frame(spark, rows, "step int, policy string, median double, p95 double, loglik double")
 
 
-def joined_partitions(spark: SparkSession, sf_dir: str, drifted: bool = False, settings: Settings = QUICK, n_queries: int = 100) -> DataFrame:
-    """The three-table join, its fact table in five parts by time: a verdict and q-errors for each later part.
+def _order_parts(spark: SparkSession, sf_dir: str, drifted: bool) -> list[DataFrame]:
+    """Orders with customers and nations in five parts by time; with ``drifted`` the customers of later parts come from two regions only."""
+    parts = drift.time_partitions(catalog.orders_with_nation(spark, sf_dir), "o_orderdate")
+    return [catalog.code_orders(parts.where((F.col("batch_id") == k) & ((F.col("n_regionkey") < 2) if drifted and k else F.lit(True)))) for k in range(5)]
 
-    With ``drifted`` the customers of later parts come from two regions only.
+
+def _line_parts(spark: SparkSession, sf_dir: str, drifted: bool) -> list[DataFrame]:
+    """Lines with parts and suppliers in five parts by time; with ``drifted`` later parts sell small quantities only."""
+    parts = drift.time_partitions(catalog.J2.build(spark, sf_dir), "l_shipdate")
+    return [parts.where((F.col("batch_id") == k) & ((F.col("qty_band") < 3) if drifted and k else F.lit(True))).select("rk", *catalog.J2.columns) for k in range(5)]
+
+
+def joined_partitions(spark: SparkSession, sf_dir: str, drifted: bool = False, f: Fixture = D3, settings: Settings = QUICK, n_queries: int = 100) -> DataFrame:
+    """A three-table join, its fact table in five parts by time: a verdict and q-errors for each later part.
+
+    The verdict is that of the distilled model, whose baseline is renewed after each update.
     """
-    joined = catalog.orders_with_nation(spark, sf_dir)
-    parts = drift.time_partitions(joined, "o_orderdate").persist()
-    f, cols = D3, list(D3.columns)
-    part = lambda k: catalog.code_orders(parts.where((F.col("batch_id") == k) & ((F.col("n_regionkey") < 2) if drifted and k else F.lit(True))))
-    old = part(0).persist()
-    n_old = old.count()
+    cols = list(f.columns)
+    parts = [p.persist() for p in (_order_parts if f is D3 else _line_parts)(spark, sf_dir, drifted)]
+    old = seen = parts[0]
     q = workload.ce_queries(old, f, n_queries).persist()
     truth = workload.truth(q, old, f).where("truth > 0").persist()
     q = workload.without_empty(q, truth).persist()
-    seen = bounded(old, cols, n_old)
-    base = networks.train(autoregressive(f), seen, n_old, settings)
+    base = networks.train_all(autoregressive(f), old, cols, settings)
     models, rows = dict.fromkeys(("stale", "retrain", "fine_tune", "kd", "fast_retrain"), base), []
-    baseline = detect.offline(score(old.select("rk", *cols), base.component, base.params, cols))
+    scored = lambda df, m: score(df.select("rk", *cols), m.component, m.params, cols)
+    baseline = detect.offline(scored(old, base))
     for k in range(1, 5):
-        batch = part(k).persist()
+        batch = parts[k]
         n_new = batch.count()
-        m_new = with_batch(batch.limit(0), batch, cols, n_old, n_new)[1]
-        v = detect.test_batch(score(batch.select("rk", *cols), base.component, base.params, cols), baseline, "size_matched")
+        v = detect.test_batch(scored(batch, models["kd"]), baseline, "size_matched")
         truth = workload.truth_added(truth, workload.truth(q, batch, f)).persist()
-        transfer = seen[np.random.default_rng(k).permutation(len(seen))[: max(1, len(seen) // 10)]]
-        whole = np.concatenate([seen, m_new])
+        whole = seen.unionByName(batch)
         for name, m in models.items():
             if name == "fast_retrain":  # a light training on 1 % of the join, 100 rows at least
-                some = whole[np.random.default_rng(k).permutation(len(whole))[: max(100, len(whole) // 100)]]
-                new = networks.train(m.component, some, m.rows + n_new, settings)
+                some = hash_sample(whole, min(1.0, max(0.01, 100 / (m.rows + n_new))), f"light{k}")
+                new = replace(networks.train_all(m.component, some, cols, settings), rows=m.rows + n_new)
             else:
-                new = networks.policies(m, seen, m_new, transfer, n_new, settings, which=(name,))[name]
+                new = networks.policies_all(m, seen, batch, hash_sample(seen, 0.1, f"transfer{k}"), cols, n_new, settings, which=(name,))[name]
             models[name] = new
             est = answers.estimate_counts(q, new.component, new.params, f.columns, new.rows, 100)
             e = metrics.q_errors(est, truth).agg(F.expr("percentile(q_error, array(0.5D, 0.95D))").alias("q")).first()[0]
             rows.append((k, name, bool(v.is_ood), float(v.shift), float(e[0]), float(e[1]), new.steps))
         seen = whole
+        baseline = detect.offline(scored(seen, models["kd"]))
+    for df in (*parts, q, truth):
+        df.unpersist()
     return _frame(spark, rows, "part int, policy string, is_ood boolean, shift double, median double, p95 double, row_epochs long")
 
 
@@ -248,19 +255,33 @@ def speedup(spark: SparkSession, sf_dir: str, f: Fixture = D1, sizes: tuple[floa
     """Retraining over updating, in seconds and in rows times epochs, by update size."""
     rows = []
     old, _, ood, cols = _tables(f, kind, spark, sf_dir)
-    m_old, m_new = with_batch(old, ood, cols, old.count(), ood.count())
-    n = len(m_old)
-    base = networks.train(component_for(f, kind), m_old, n, settings)
-    for share in sizes:
-        some = m_new[: max(1, int(share * n))]
-        transfer = m_old[: max(1, int((0.05 if kind == "vae" else 0.1) * n))]
-        out = {}
+    old, ood = old.select("rk", *cols).persist(), ood.select("rk", *cols).persist()
+    n = old.count()
+    base = networks.train_all(component_for(f, kind), old, cols, settings)
+    transfer = hash_sample(old, 0.05 if kind == "vae" else 0.1, "transfer1")
+    for share in sizes:  # the batch has a fifth of the old rows
+        some = hash_sample(ood, min(1.0, share / 0.2), "part")
+        n_new, out = some.count(), {}
         for p in ("retrain", "kd"):
             began = time.perf_counter()
-            m = networks.policies(base, m_old, some, transfer, len(some), settings, which=(p,))[p]
+            m = networks.policies_all(base, old, some, transfer, cols, n_new, settings, which=(p,))[p]
             out[p] = (time.perf_counter() - began, m.steps)
-        rows.append((f.name, kind, share, out["retrain"][0], out["kd"][0], out["retrain"][0] / out["kd"][0], out["retrain"][1] / out["kd"][1]))
-    return _frame(spark, rows, "fixture string, component string, share double, retrain_s double, kd_s double, speedup double, row_epoch_ratio double")
+        rows.append((f.name, kind, share, n + n_new, out["retrain"][0], out["kd"][0], out["retrain"][0] / out["kd"][0], out["retrain"][1] / out["kd"][1]))
+    old.unpersist()
+    ood.unpersist()
+    return _frame(spark, rows, "fixture string, component string, share double, n_rows long, retrain_s double, kd_s double, speedup double, row_epoch_ratio double")
+
+
+def losses_by_policy(spark: SparkSession, sf_dir: str, f: Fixture = D6, kind: str = "vae", settings: Settings = QUICK) -> DataFrame:
+    """Mean loss on old rows and on the drifted batch under each policy."""
+    old, _, ood, cols = _tables(f, kind, spark, sf_dir)
+    ood = ood.persist()
+    base = networks.train_all(component_for(f, kind), old, cols, settings)
+    models = networks.policies_all(base, old, ood, hash_sample(old, 0.05 if kind == "vae" else 0.1, "transfer1"), cols, ood.count(), settings)
+    mean = lambda df, m: float(score(df.select(*cols), m.component, m.params, cols).agg(F.avg("loss")).first()[0])
+    rows = [(f.name, kind, name, mean(old, m), mean(ood, m), m.steps, metrics.model_bytes(m.params)) for name, m in models.items()]
+    ood.unpersist()
+    return _frame(spark, rows, "fixture string, component string, policy string, old_loss double, new_loss double, row_epochs long, bytes long")
 
 
 def spn_comparison(spark: SparkSession, sf_dir: str, f: Fixture = D1, n_queries: int = N_QUERIES) -> DataFrame:
@@ -269,6 +290,8 @@ def spn_comparison(spark: SparkSession, sf_dir: str, f: Fixture = D1, n_queries:
     q = workload.ce_queries(old, f, n_queries).persist()
     before = workload.truth(q, old, f).where("truth > 0").persist()
     after = workload.truth_added(before, workload.truth(workload.without_empty(q, before), ood, f)).persist()
+    if f.joint_domain > counts.MAX_CELLS:
+        raise ValueError(f"{f.joint_domain} cells; take fewer or coarser columns")
     tables = [counts.cells(d, f.columns).toPandas() for d in (old, ood)]  # at most the joint domain
     (a, na), (b, nb) = [(t[list(f.columns)].to_numpy(int), t["n"].to_numpy(float)) for t in tables]
     boxes = q.orderBy("qid").toPandas()
@@ -281,16 +304,16 @@ def spn_comparison(spark: SparkSession, sf_dir: str, f: Fixture = D1, n_queries:
     return metrics.summary(e)
 
 
-def toy(spark: SparkSession, sf_dir: str = "", updates: int = 50, settings: Settings = Settings(epochs=30, rate=5e-3), update_settings: Settings = Settings(epochs=2, rate=1e-3)) -> DataFrame:  # noqa: B008
+def toy(spark: SparkSession, sf_dir: str = "", updates: int = 50, per_category: int = 1000, settings: Settings = Settings(epochs=30, rate=5e-3), update_settings: Settings = Settings(epochs=2, rate=1e-3)) -> DataFrame:  # noqa: B008
     """Ten categories with five peaks, then many batches with two other means: the density near all seven at the end."""
     old_means, new_means = (-0.8, -0.4, 0.0, 0.4, 0.8), (-0.6, 0.6)
     cols = ["x", "y"]
-    old = matrix(workload.toy_mixture(spark, 1, 200, old_means), cols)
+    old = matrix(workload.toy_mixture(spark, 1, per_category, old_means), cols)
     base = networks.train(MixtureDensity(10, 10, 32), old, len(old), settings)
     kd = ft = base
     seen = old
     for u in range(updates):
-        batch = matrix(workload.toy_mixture(spark, 100 + u, 20, new_means), cols)
+        batch = matrix(workload.toy_mixture(spark, 100 + u, per_category // 10, new_means), cols)
         transfer = seen[np.random.default_rng(u).permutation(len(seen))[: max(200, len(seen) // 10)]]
         kd = networks.distil(kd, batch, transfer, len(batch), alpha="described", settings=update_settings)
         ft = networks.fine_tune(ft, batch, len(batch), update_settings, update_settings.rate)
@@ -304,6 +327,9 @@ def registered() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "detect_darn_d1": lambda s, d: detection(s, d, D1, "darn"), "detect_darn_d3": lambda s, d: detection(s, d, D3, "darn"), "detect_mdn_d2": lambda s, d: detection(s, d, D2, "mdn"),
         "detect_mdn_d4": lambda s, d: detection(s, d, catalog.D4, "mdn"), "detect_vae_d6": lambda s, d: detection(s, d, D6, "vae"), "detect_vae_d5": lambda s, d: detection(s, d, D5, "vae"),
         "darn_update": ce_one_shot, "mdn_update": aqp_one_shot, "vae_judge_f1": generation, "incremental_ood": incremental, "incremental_ind": lambda s, d: incremental(s, d, kind="ind"),
-        "joins_by_time": joined_partitions, "joins_by_time_drifted": lambda s, d: joined_partitions(s, d, True), "update_speedup": speedup, "spn_insert": spn_comparison,
+        "joins_by_time": joined_partitions, "joins_by_time_drifted": lambda s, d: joined_partitions(s, d, True),
+        "joins_by_time_lines": lambda s, d: joined_partitions(s, d, f=catalog.J2), "joins_by_time_lines_drifted": lambda s, d: joined_partitions(s, d, True, catalog.J2), "joins_aqp": lambda s, d: aqp_one_shot(s, d, catalog.J1),
+        "update_speedup": speedup, "update_speedup_mdn": lambda s, d: speedup(s, d, D2, kind="mdn"), "update_speedup_vae": lambda s, d: speedup(s, d, D6, kind="vae"),
+        "vae_update": losses_by_policy, "detect_darn_v1": lambda s, d: detection(s, d, catalog.V1, "darn"), "spn_insert": spn_comparison, "spn_insert_d5": lambda s, d: spn_comparison(s, d, D5),
         "toy_mixture_50": toy,
     }

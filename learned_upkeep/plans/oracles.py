@@ -229,7 +229,7 @@ def oracle_sql() -> dict[str, str]:
     for n, t in (("old", "d1"), ("ind", "ind"), ("ood", "ood")):
         out[f"count_model_nll_{n}"] = ctes(**setting(d1)) + f"SELECT rk, round(loss, 6) AS loss FROM ({scored_sql(d1, t)})"
     out["loss_table_d1"], out["loss_table_d3"], out["loss_table_indep"] = _losses(d1), _losses(d3), _losses(INDEP)
-    out["bootstrap_poisson"] = ctes(**setting(d1, False), sc=f"SELECT * FROM ({scored_sql(d1, 'd1')}) WHERE {h('rk', 'boot')} < {int(0.05 * SPACE)}") + f"SELECT boot_id, round(sum(w * loss) / sum(w), 6) AS mean_loss FROM (SELECT loss, boot_id, {_poisson('(' + h('rk, boot_id', 'boot1') + ' / 4294967296.0)')} AS w FROM sc, (SELECT range AS boot_id FROM range(50))) GROUP BY 1"
+    out["bootstrap_poisson"] = ctes(**setting(d1, False), sc=scored_sql(d1, "d1")) + f"SELECT boot_id, round(sum(w * loss) / sum(w), 6) AS mean_loss FROM (SELECT loss, boot_id, {_poisson('(' + h('rk, boot_id', 'boot1') + ' / 4294967296.0)')} AS w FROM sc, (SELECT range AS boot_id FROM range(50))) GROUP BY 1"
     out["bootstrap_normal_std"] = ctes(**setting(d1, False)) + f"SELECT round(stddev_pop(loss) / sqrt(600.0), 6) AS std, round(avg(loss), 6) AS mean FROM ({scored_sql(d1, 'd1')})"
     out["threshold_modes"] = ctes(**setting(d1, False), sc=scored_sql(d1, "d1"), s="SELECT stddev_pop(loss) AS s, count(*) AS n FROM sc") + "SELECT 'fixed' AS mode, round(2 * s / sqrt(600.0), 6) AS threshold FROM s UNION ALL SELECT 'size_matched', round(2 * s / sqrt(600.0) * sqrt(600.0 / 1200), 6) FROM s UNION ALL SELECT 'pooled', round(2 * s * sqrt(1.0 / n + 1.0 / 1200), 6) FROM s"
     out["two_sample_ind"], out["two_sample_ood"], out["two_sample_control"] = _two_sample(d1, "ind", 600), _two_sample(d1, "ood", 600), _two_sample(INDEP, "ood", 600)
@@ -265,7 +265,13 @@ def oracle_sql() -> dict[str, str]:
     out["join_three_way_d3"] = ctes(**fx("d3")) + "SELECT nation, region, count(*) AS n FROM d3 GROUP BY ALL"
     out["join_lineitem_part_supplier"] = f"SELECT least(9, CAST(floor(p_size / 5) AS INT)) AS size_band, s_nationkey AS s_nation, count(*) AS n FROM lineitem JOIN part ON l_partkey = p_partkey JOIN supplier ON l_suppkey = s_suppkey GROUP BY ALL"  # noqa: F541
     out["ks_columns"] = ctes(**fx("d1"), ood=ood_sql(d1), x=" UNION ALL ".join(f"SELECT '{c}' AS col, {c}::DOUBLE AS v, 0 AS s FROM d1 UNION ALL SELECT '{c}', {c}::DOUBLE, 1 FROM ood" for c in d1.columns), y="SELECT col, v, count(*) FILTER (WHERE s = 0) AS o, count(*) FILTER (WHERE s = 1) AS n FROM x GROUP BY 1, 2") + "SELECT col, round(max(abs(g)), 6) AS ks FROM (SELECT col, sum(o) OVER w / sum(o) OVER (PARTITION BY col) - sum(n) OVER w / sum(n) OVER (PARTITION BY col) AS g FROM y WINDOW w AS (PARTITION BY col ORDER BY v)) GROUP BY 1"
-    out["mmd_sample"] = ctes(**fx("d1"), ood=ood_sql(d1), x="(SELECT 0 AS s, qty_band, unit_band, flag FROM d1 ORDER BY rk LIMIT 200) UNION ALL (SELECT 1, qty_band, unit_band, flag FROM ood ORDER BY rk LIMIT 200)", k="SELECT a.s AS s, b.s AS s2, avg(exp(-0.1 * ((a.qty_band - b.qty_band) * (a.qty_band - b.qty_band) + (a.unit_band - b.unit_band) * (a.unit_band - b.unit_band) + (a.flag - b.flag) * (a.flag - b.flag)))) AS m FROM x a, x b GROUP BY 1, 2") + "SELECT round(sum(CASE WHEN s = s2 THEN m ELSE -m END), 6) AS mmd2 FROM k"
+    near = " + ".join(f"(a.{c} - b.{c}) * (a.{c} - b.{c})" for c in d1.columns)
+    share = lambda t, sign: f"SELECT {', '.join(d1.columns)}, {sign} * count(*) / sum(count(*)) OVER () AS w FROM {t} GROUP BY {', '.join(d1.columns)}"
+    out["mmd_all_rows"] = ctes(**fx("d1"), ood=ood_sql(d1), x=share("d1", "1.0") + " UNION ALL " + share("ood", "-1.0")) + f"SELECT round(sum(a.w * b.w * exp(-0.1 * ({near}))), 6) AS mmd2 FROM x a, x b"
+    of = lambda t: ", ".join(f"avg(-ln(greatest(p{i + 1}, {LEAST}))) AS m{i}, stddev_pop(-ln(greatest(p{i + 1}, {LEAST}))) AS s{i}" for i in range(len(d3.columns))) + f", count(*) AS n FROM {t} JOIN base USING ({', '.join(d3.columns)})"
+    limit = lambda i: f"2.0 * greatest(o.s{i}, 1e-9) * sqrt(1.0 / o.n + 1.0 / w.n)"
+    each = " UNION ALL ".join(f"SELECT {i} AS position, '{c}' AS \"column\", round(o.m{i}, 6) AS old_loss, round(w.m{i}, 6) AS new_loss, round(w.m{i} - o.m{i}, 6) AS shift, round({limit(i)}, 6) AS threshold, abs(w.m{i} - o.m{i}) > {limit(i)} AS is_ood FROM o, w" for i, c in enumerate(d3.columns))
+    out["drift_by_column"] = ctes(**setting(d3), o=f"SELECT {of('d3')}", w=f"SELECT {of('ood')}") + each
     pairs = [(a, b) for i, a in enumerate(d1.columns) for b in d1.columns[i + 1 :]]
     out["dependence_matrix"] = ctes(**fx("d1")) + " UNION ALL ".join(f"SELECT '{a}' AS a, '{b}' AS b, round(corr({a}::DOUBLE, {b}::DOUBLE), 6) AS corr FROM d1" for a, b in pairs)
     logits = "logits(id, t, s) AS (VALUES (0, [1.0, 2.0, 3.0], [1.0, 2.0, 3.0]), (1, [1.0, 2.0, 3.0], [2.0, 3.0, 4.0]), (2, [10.0, 0.0, 0.0], [0.0, 10.0, 0.0]), (3, [0.5], [0.1]), (4, [500.0, 400.0], [400.0, 500.0])), temps(temperature) AS (VALUES (0.5), (1.0), (2.0), (10.0)), e AS (SELECT id, temperature, unnest(t) / temperature AS zt, unnest(s) / temperature AS zs FROM logits, temps)"
@@ -280,6 +286,7 @@ def oracle_sql() -> dict[str, str]:
     versions = "v AS (SELECT event_type, TIMESTAMP '2024-01-01' + INTERVAL (range * 7) DAY AS ts, range AS version FROM (SELECT DISTINCT event_type FROM ev), range(6))"
     out["asof_model_version"] = f"WITH {ev}, {versions} SELECT event_type, version, count(*) AS n FROM (SELECT ev.event_type, v.version FROM ev ASOF LEFT JOIN v ON ev.event_type = v.event_type AND ev.ts >= v.ts) GROUP BY 1, 2"
     out["interval_drift_rows"] = f"WITH {ev} SELECT a.user_id, count(*) AS n FROM ev a JOIN ev b ON a.user_id = b.user_id AND b.ts BETWEEN a.ts AND a.ts + INTERVAL 1 HOUR WHERE a.event_type = 'click' AND b.event_type = 'purchase' GROUP BY 1"
-    out["sliding_loss"] = f"WITH {ev}, w AS (SELECT date_trunc('day', ts) + INTERVAL (6 * o.range) HOUR AS start_ts, value, ts FROM ev, (SELECT range FROM range(-3, 4)) o) SELECT strftime(start_ts, '%Y-%m-%d %H:%M:%S') AS start, sum(CAST(round(value * 100) AS BIGINT))::BIGINT AS cents, count(*) AS n FROM w WHERE ts >= start_ts AND ts < start_ts + INTERVAL 24 HOUR GROUP BY 1"
-    out["session_loss"] = f"WITH {ev}, g AS (SELECT user_id, ts, value, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM ev), s AS (SELECT user_id, value, ts, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, fresh DESC) AS sess FROM g), r AS (SELECT user_id, sess, count(*) AS n FROM s GROUP BY 1, 2) SELECT n AS events, count(*) AS sessions FROM r GROUP BY 1"
+    out["streaming_replay"] = f"WITH {ev}, f AS (SELECT event_type, count(*) AS k, sum(count(*)) OVER () AS n FROM ev WHERE ts < TIMESTAMP '2024-01-08' GROUP BY 1) SELECT strftime(date_trunc('day', ts), '%Y-%m-%d') AS day, round(avg(coalesce(-ln(f.k / f.n::DOUBLE), -ln({LEAST}))), 6) AS mean_loss, count(*) AS n FROM ev LEFT JOIN f USING (event_type) GROUP BY 1"
+    out["sliding_value_sums"] = f"WITH {ev}, w AS (SELECT date_trunc('day', ts) + INTERVAL (6 * o.range) HOUR AS start_ts, value, ts FROM ev, (SELECT range FROM range(-3, 4)) o) SELECT strftime(start_ts, '%Y-%m-%d %H:%M:%S') AS start, sum(CAST(round(value * 100) AS BIGINT))::BIGINT AS cents, count(*) AS n FROM w WHERE ts >= start_ts AND ts < start_ts + INTERVAL 24 HOUR GROUP BY 1"
+    out["session_event_counts"] = f"WITH {ev}, g AS (SELECT user_id, ts, value, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM ev), s AS (SELECT user_id, value, ts, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, fresh DESC) AS sess FROM g), r AS (SELECT user_id, sess, count(*) AS n FROM s GROUP BY 1, 2) SELECT n AS events, count(*) AS sessions FROM r GROUP BY 1"
     return out

@@ -12,6 +12,7 @@ from ..functions import columns as fn
 from ..operators import counts, detect, drift, drift_tests, joins, metrics, update, workload
 from ..sources import catalog
 from ..sources.catalog import D1, D2, D3, INDEP, Fixture
+from ..streaming import monitor
 
 Query = Callable[[SparkSession, str], DataFrame]
 N_QUERIES = 200
@@ -105,8 +106,7 @@ def loss_table_query(f: Fixture) -> Query:
 
 def bootstrap_poisson(spark, sf):
     df, m = _base(D1, spark, sf)
-    sample = df.where(fn.row_hash("rk", "boot") < fn.cut(0.05))
-    return _rounded(detect.bootstrap_poisson(m.score(sample), 50))
+    return _rounded(detect.bootstrap_poisson(m.score(df), 50))
 
 
 def bootstrap_all_rows(spark, sf):
@@ -338,11 +338,6 @@ def ks_columns(spark, sf):
     return drift_tests.ks(df, _batch(D1, df, "ood"), D1.columns)
 
 
-def mmd_sample(spark, sf):
-    df = D1.build(spark, sf)
-    return drift_tests.mmd(df, _batch(D1, df, "ood"), D1.columns)
-
-
 def mmd_all_rows(spark, sf):
     df = D1.build(spark, sf)
     return drift_tests.mmd_cells(df, _batch(D1, df, "ood"), D1.columns)
@@ -403,18 +398,36 @@ def interval_drift_rows(spark, sf):
     return joins.interval(a, b, ["user_id"], "click_ts", "purchase_ts", 3600).groupBy("user_id").agg(F.count("*").alias("n"))
 
 
-def sliding_loss(spark, sf):
+def sliding_value_sums(spark, sf):
     ev = catalog.events(spark, sf)
     w = ev.groupBy(F.window("ts", "24 hours", "6 hours")).agg(F.sum(F.round(F.col("value") * 100).cast("long")).alias("cents"), F.count("*").alias("n"))
     return w.select(F.date_format("window.start", "yyyy-MM-dd HH:mm:ss").alias("start"), "cents", "n")
 
 
-def session_loss(spark, sf):
+def session_event_counts(spark, sf):
     ev = catalog.events(spark, sf)
     s = ev.groupBy("user_id", F.session_window("ts", "30 minutes")).agg(F.count("*").alias("events"))
     return s.groupBy("events").agg(F.count("*").alias("sessions"))
 
 
+def drift_by_column(spark, sf):
+    """The shift of each column's loss given those before it: a column that fires is drift of its conditional, not of what it depends on."""
+    df, m = _base(D3, spark, sf)
+    return _rounded(detect.by_column(m.score_columns(df), m.score_columns(_batch(D3, df, "ood")), D3.columns))
+
+
+def streaming_replay(spark, sf):
+    """Events as a stream: mean loss by day under the shares of event types in the first week."""
+    ev = catalog.events(spark, sf)
+    first = ev.where(F.col("ts") < F.lit("2024-01-08"))
+    n = first.count()
+    shares = first.groupBy("event_type").agg((-F.log(F.count("*") / F.lit(float(n)))).alias("loss"))  # a row for each type
+    raw = catalog.table(spark, sf, "events")
+    stream = monitor.file_stream(spark, f"{sf}/events.parquet*", raw.schema)  # a pattern takes a single file, too
+    scored = stream.withColumn("ts", F.col("ts").cast("timestamp")).join(F.broadcast(shares), "event_type", "left").withColumn("loss", F.coalesce("loss", F.lit(counts.UNSEEN_LOSS)))
+    return _rounded(monitor.replayed(monitor.drift_curve(scored, late=None)).select(F.date_format("start", "yyyy-MM-dd").alias("day"), "mean_loss", "n"))
+
+
 def queries() -> dict[str, Query]:
     out: dict[str, Query] = {
         "ind_batch_lineitem": batch_query(D1, "ind"), "ind_batch_orders": batch_query(D3, "ind"),
@@ -429,7 +442,7 @@ def queries() -> dict[str, Query]:
         permuted_batch_d2, incremental_split_5, time_partitions_orders_5, ood_pool_levels, support_check, joint_domain, dictionary_encode, scaled_range, count_model_fit,
         bootstrap_poisson, bootstrap_all_rows, bootstrap_normal_std, threshold_modes, fpr_fnr_batches, batch_size_sweep, fpr_fnr_pools, batch_size_sweep_pools, kd_lambda_grid, ce_truth, truth_incremental, fwt_bwt_at, changed_share,
         loglik_old_new, topk_qerror, rollup_metrics, aqp_truth, sample_answer_aqp, rel_error_summary, frequency_table_merge, cardinality_merge, join_delta_orders,
-        join_delta_equals_recompute, join_sample_1pct, join_three_way_d3, join_lineitem_part_supplier, ks_columns, mmd_sample, mmd_all_rows, dependence_matrix, soft_ce_rows, logit_mse_rows,
-        mixture_pdf, mixture_range_mass, cube_marginals, json_props_counts, asof_model_version, interval_drift_rows, sliding_loss, session_loss,
+        join_delta_equals_recompute, join_sample_1pct, join_three_way_d3, join_lineitem_part_supplier, ks_columns, mmd_all_rows, dependence_matrix, soft_ce_rows, logit_mse_rows,
+        mixture_pdf, mixture_range_mass, cube_marginals, json_props_counts, asof_model_version, interval_drift_rows, sliding_value_sums, session_event_counts, drift_by_column, streaming_replay,
     ]
     return out | {f.__name__: f for f in plain}

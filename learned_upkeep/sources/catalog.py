@@ -146,6 +146,11 @@ def _v1(spark: SparkSession, sf_dir: str) -> DataFrame:
     return table(spark, sf_dir, "embeddings").select(F.col("vec_id").cast("string").alias("rk"), *cells)
 
 
+def _j1(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Orders with customers and nations: the segment as category, the logarithm of the price as number."""
+    return orders_with_nation(spark, sf_dir).select(F.col("o_orderkey").cast("string").alias("rk"), coded(F.col("c_mktsegment"), SEGMENTS).alias("segment"), F.log(F.col("o_totalprice")).alias("log_price"))
+
+
 def _j2(spark: SparkSession, sf_dir: str) -> DataFrame:
     li, p, s = (table(spark, sf_dir, t) for t in ("lineitem", "part", "supplier"))
     j = li.join(p, F.col("l_partkey") == F.col("p_partkey")).join(s, F.col("l_suppkey") == F.col("s_suppkey"))
@@ -163,8 +168,9 @@ D4 = Fixture("d4", ("key_band",), (10,), _d4, "retailprice")
 D5 = Fixture("d5", ("disc", "price_band", "rev_band", "flag"), (11, 10, 10, 3), _d5)
 D6 = Fixture("d6", ("th", "e_acute", "u_uml", "n_tilde", "lang"), (6, 6, 4, 4, 4), _d6)
 V1 = Fixture("v1", tuple(f"e{i}" for i in range(1, 9)), (8,) * 8, _v1)
+J1 = Fixture("j1", ("segment",), (5,), _j1, "log_price")
 J2 = Fixture("j2", ("size_band", "s_nation", "qty_band"), (11, 25, 10), _j2)
-FIXTURES = {f.name: f for f in (INDEP, D1, D2, D3, D4, D5, D6, V1, J2)}
+FIXTURES = {f.name: f for f in (INDEP, D1, D2, D3, D4, D5, D6, V1, J1, J2)}
 
 
 def events(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Iterator
 
 import pandas as pd
@@ -12,7 +13,7 @@ from ..plans.upkeep import Policy, State, step
 from ..sources.registry import Registry
 
 
-def file_stream(spark: SparkSession, path: str, schema: str, files_per_trigger: int = 1) -> DataFrame:
+def file_stream(spark: SparkSession, path: str, schema, files_per_trigger: int = 1) -> DataFrame:
     return spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_trigger).parquet(path)
 
 
@@ -48,6 +49,16 @@ def drift_curve(scored: DataFrame, window: str = "1 day", slide: str | None = No
     return out.select(F.col("window.start").alias("start"), F.col("window.end").alias("end"), *([key] if key else []), "mean_loss", "std_loss", "n")
 
 
+def replayed(aggregated: DataFrame) -> DataFrame:
+    """What a streaming aggregation holds when all files have been read; the result has a row for each window."""
+    name = f"replay_{uuid.uuid4().hex}"
+    spark = aggregated.sparkSession
+    writer = aggregated.writeStream.format("memory").queryName(name).outputMode("complete").trigger(availableNow=True)
+    shared = spark.conf.get("spark.checkpoint.dir", None)
+    (writer.option("checkpointLocation", f"{shared.rstrip('/')}/{name}") if shared else writer).start().awaitTermination()
+    return spark.table(name)
+
+
 def deduplicated(events: DataFrame, key: str = "event_id", late: str = "1 hour") -> DataFrame:
     return events.withWatermark("ts", late).dropDuplicatesWithinWatermark([key])
 

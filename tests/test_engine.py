@@ -15,7 +15,7 @@ from learned_upkeep.nn.vae import TabularVae
 from learned_upkeep.operators import answers, counts, detect, drift, drift_tests, joins, metrics, networks, update, workload
 from learned_upkeep.plans import experiments, queries, sqlapi, upkeep
 from learned_upkeep.sources import catalog
-from learned_upkeep.sources.catalog import D1, INDEP
+from learned_upkeep.sources.catalog import D1, INDEP, Fixture
 from learned_upkeep.sources.registry import Registry
 from learned_upkeep.streaming import monitor
 
@@ -163,7 +163,7 @@ def test_detection_trains_on_all_rows(spark, sf, d1, monkeypatch):
     def refused(*args, **kwargs):
         raise AssertionError("a sample was taken")
 
-    monkeypatch.setattr(experiments, "bounded", refused)
+    monkeypatch.setattr(networks, "fit", refused)
     m = networks.train_all(MaskedAutoregressive(D1.sizes, 16), d1.repartition(2), list(D1.columns), Settings(epochs=3, rate=5e-3))
     assert m.rows == d1.count() and m.steps == 3 * d1.count()
     verdicts = {r["batch"]: r["is_ood"] for r in experiments.detection(spark, sf, D1, "darn").collect()}
@@ -329,3 +329,48 @@ def test_toy_mixture(spark):
     assert (got["n"] == 300).all() and (got["m"].abs() < 0.15).all()
     c = MixtureDensity(10, 10, 32)
     assert c.row_loss(c.initial(np.random.default_rng(0)), matrix(toy, ["x", "y"])).shape == (3000,)
+
+
+def test_new_categories_and_missing_values_fire(spark, d1):
+    """Rows with values that no domain holds stay in the test and shift its mean loss."""
+    m = counts.fit(d1, D1)
+    base = detect.offline(m.score(d1))
+    batch = d1.limit(1000)
+    strange = batch.withColumn("flag", F.when(F.col("qty_band") == 0, F.lit(3)).when(F.col("qty_band") == 1, F.lit(None).cast("int")).otherwise(F.col("flag")))
+    scored = m.score(strange).persist()
+    assert scored.count() == 1000 and scored.where("loss > 27").count() == strange.where("qty_band < 2").count() > 0
+    assert detect.test_batch(scored, base).is_ood
+    c = MaskedAutoregressive(D1.sizes, 16)
+    p = c.initial(np.random.default_rng(0))
+    net = score(strange, c, p, list(D1.columns)).select("rk", F.col("loss").alias("net")).join(score(batch, c, p, list(D1.columns)), "rk")
+    odd = net.where("net > loss + 20").count()
+    assert net.count() == 1000 and odd == strange.where("qty_band < 2").count()
+    assert detect.test_batch(score(strange, c, p, list(D1.columns)), detect.offline(score(d1, c, p, list(D1.columns)))).is_ood
+
+
+def test_drift_of_a_conditional_is_told_from_that_of_its_column(spark):
+    rng = np.random.default_rng(4)
+    x = rng.integers(0, 4, 6000)
+    y = (x + (rng.random(6000) < 0.1)) % 4
+    make = lambda a, b: spark.createDataFrame([(int(i), int(j)) for i, j in zip(a, b, strict=True)], "x int, y int")
+    f = Fixture("xy", ("x", "y"), (4, 4), None)
+    old = make(x, y)
+    m = counts.fit(old, f)
+    shifted = rng.choice(4, 2000, p=[0.7, 0.1, 0.1, 0.1])
+    virtual = make(shifted, (shifted + (rng.random(2000) < 0.1)) % 4)
+    real = make(x[:2000], rng.integers(0, 4, 2000))
+    fired = lambda new: {r["column"]: r["is_ood"] for r in detect.by_column(m.score_columns(old), m.score_columns(new), f.columns).collect()}
+    assert fired(real) == {"x": False, "y": True} and not fired(virtual)["y"]
+
+
+def test_policies_on_all_rows(spark, d1, ood):
+    """Updates over partitions: the distilled model keeps the old rows better than fine-tuning, and learns the batch."""
+    cols, s = list(D1.columns), Settings(epochs=6, rate=5e-3, batch=256)
+    c = MaskedAutoregressive(D1.sizes, 32, temperature=1.0, reduction="sum")
+    base = networks.train_all(c, d1, cols, s)
+    n = ood.count()
+    models = networks.policies_all(base, d1, ood, fn.hash_sample(d1, 0.1, "transfer1"), cols, n, s)
+    loss = lambda df, m: score(df.select(*cols), c, m.params, cols).agg(F.avg("loss")).first()[0]
+    old, new = ({k: loss(df, m) for k, m in models.items()} for df in (d1, ood))
+    assert new["kd"] < new["stale"] and new["retrain"] < new["stale"] and new["fine_tune"] < new["stale"]
+    assert old["kd"] < old["fine_tune"] and all(m.rows == d1.count() + n for k, m in models.items() if k != "stale")

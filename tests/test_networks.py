@@ -135,3 +135,23 @@ def test_sum_product_network_counts():
     assert net.insert(more, k).estimate(*whole)[0] == pytest.approx(6000)
     one = net.estimate(np.array([[2, 2]]), np.array([[2, 3]]))[0]
     assert one == pytest.approx(((cells == [2, 2]).all(1) * n).sum() + ((cells == [2, 3]).all(1) * n).sum(), rel=0.8)
+
+
+def test_sum_product_network_scales_each_column_by_its_own_domain():
+    """Below a product node the columns aren't the first ones: a wide and a narrow domain side by side."""
+    rng = np.random.default_rng(3)
+    alone, wide = rng.integers(0, 3, 20_000), rng.integers(0, 40, 20_000)
+    narrow = np.where(wide < 20, 0, 1) ^ (rng.random(20_000) < 0.02)
+    cells, n = np.unique(np.column_stack([alone, wide, narrow]), axis=0, return_counts=True)
+    net = spn.SumProduct((3, 40, 2)).fit(cells, n)
+    for lo, hi in (((0, 0, 0), (2, 19, 0)), ((0, 0, 1), (2, 19, 1)), ((1, 20, 1), (1, 39, 1)), ((0, 5, 0), (2, 30, 0))):
+        inside = ((cells >= lo) & (cells <= hi)).all(1)
+        assert net.estimate(np.array([lo]), np.array([hi]))[0] == pytest.approx(n[inside].sum(), rel=0.15, abs=60)
+
+
+def test_noise_of_rows_is_normal_and_theirs():
+    c = TabularVae((50, 60), 4, 8)
+    rows = np.stack(np.meshgrid(np.arange(50), np.arange(60)), -1).reshape(-1, 2).astype(float)
+    e = c.noise_of(rows)
+    assert e.shape == (3000, 4) and np.array_equal(e[7:9], c.noise_of(rows[7:9]))
+    assert abs(e.mean()) < 0.03 and abs(e.std() - 1) < 0.03 and abs(np.corrcoef(e.T) - np.eye(4)).max() < 0.07 and np.abs(e).max() > 3
