@@ -44,6 +44,14 @@ def band(c: Column, edges: list[float]) -> Column:
     return out
 
 
+def position(values: Column, n: int, x: Column) -> Column:
+    """How many of the ``n`` (or fewer) entries of a sorted array are at most ``x``, by halving: log2(n) steps, all in generated code."""
+    at = F.lit(0)
+    for k in reversed(range(max(1, n).bit_length())):
+        at = at + F.when(F.get(values, at + F.lit((1 << k) - 1)) <= x, F.lit(1 << k)).otherwise(F.lit(0))
+    return at
+
+
 def normal_cdf(z: Column) -> Column:
     """Standard normal distribution function by a rational approximation, absolute error below 7.5e-8.
 

@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from ..functions.columns import HASH_SPACE, cut, hash_sample, row_hash
+from ..functions.columns import HASH_SPACE, cut, hash_sample, position, row_hash
 
 
 def ind_batch(df: DataFrame, fraction: float = 0.2, seed: int = 1) -> DataFrame:
@@ -25,18 +26,20 @@ def permuted_batch(df: DataFrame, columns: tuple[str, ...], fraction: float = 0.
     sort = columns if sort is None else sort
     spark = df.sparkSession
     free = [c for c in columns if c not in sort]
-    counts = {c: {r[c]: r["count"] for r in df.groupBy(c).count().collect()} for c in sort}  # domain-sized
-    n = sum(next(iter(counts.values())).values()) if counts else df.count()
+    counts: dict[str, dict] = {c: {} for c in sort}
+    if sort:
+        named = F.explode(F.array(*[F.struct(F.lit(c).alias("c"), F.col(c).cast("int").alias("v")) for c in sort])).alias("s")
+        for r in df.select(named).groupBy("s.c", "s.v").count().collect():  # one pass, as many rows as the domains together
+            counts[r["c"]][r["v"]] = r["count"]
+    n = sum(counts[sort[0]].values()) if sort else df.count()
 
     def value(c: str) -> Column:
-        seen, out = 0, None
-        steps = []
-        for v in sorted(counts[c], reverse=c in descending):
-            seen += counts[c][v]
-            steps.append((seen, v))
-        for end, v in reversed(steps):
-            out = F.lit(v) if out is None else F.when(F.col("rank") < F.lit(end), F.lit(v)).otherwise(out)
-        return out.cast("int") if out is not None else F.lit(None).cast("int")
+        values = sorted(counts[c], key=lambda v: (v is not None, v or 0), reverse=c in descending)
+        if not values:
+            return F.lit(None).cast("int")
+        ends = np.cumsum([counts[c][v] for v in values]).tolist()
+        # a value's ranks run up to its running count
+        return F.get(F.array(*[F.lit(v).cast("int") for v in values]), position(F.array(*[F.lit(e).cast("long") for e in ends]), len(ends), F.col("rank")))
 
     picked = row_hash(F.col("rank").cast("string"), f"ood{seed}") < F.lit(cut(fraction))
     if free:

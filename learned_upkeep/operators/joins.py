@@ -31,19 +31,40 @@ def in_range(df: DataFrame, intervals: DataFrame, value: str, lo: str, hi: str,
     return df.withColumn("__b", cell(F.col(value))).join(spread, "__b").where(F.col(value).between(F.col(lo), F.col(hi))).drop("__b")
 
 
-def as_of(df: DataFrame, versions: DataFrame, by: list[str], time: str, value: str) -> DataFrame:
-    """Each row with the last version at or before its time, by a union and a running last value."""
-    r = df.withColumn("__v", F.lit(None).cast(versions.schema[value].dataType)).withColumn("__row", F.lit(1))
-    v = versions.select(*by, time, F.col(value).alias("__v"), F.lit(0).alias("__row"))
-    w = W.partitionBy(*by).orderBy(time, "__row").rowsBetween(W.unboundedPreceding, 0)
-    both = r.unionByName(v, allowMissingColumns=True)
-    return both.withColumn(value, F.last("__v", ignorenulls=True).over(w)).where("__row = 1").drop("__v", "__row")
+def as_of(df: DataFrame, versions: DataFrame, by: list[str], time: str, value: str, bucket: str = "1 day") -> DataFrame:
+    """Each row with the last version at or before its time, by a union and a running last value.
+
+    Keys are cut into buckets of time, so a hot key spreads over as many tasks as it has buckets.  The
+    value that holds at a bucket's start is carried into it: one small row for each key and bucket.
+    Of versions at one time the largest value holds; versions without time or value never do.
+    """
+    cut = F.window(time, bucket)["start"]
+    key = [*by, "__b"]
+    # a time window drops rows without a time, and those have no version
+    r = df.where(F.col(time).isNotNull()).withColumn("__b", cut).withColumn("__v", F.lit(None).cast(versions.schema[value].dataType)).withColumn("__row", F.lit(2))
+    v = versions.where(F.col(time).isNotNull() & F.col(value).isNotNull()).select(*by, time, F.col(value).alias("__v")).withColumn("__b", cut)
+    last = v.groupBy(*key).agg(F.max_by("__v", F.struct(time, "__v")).alias("__v"))
+    # one row a key and bucket; its own versions come after its start, so only earlier buckets count
+    met = last.unionByName(r.select(*key, "__v").distinct()).groupBy(*key).agg(F.max("__v").alias("__v"))
+    earlier = W.partitionBy(*by).orderBy("__b").rowsBetween(W.unboundedPreceding, -1)
+    carried = met.select(*key, F.last("__v", ignorenulls=True).over(earlier).alias("__v"), F.lit(0).alias("__row")).where(F.col("__v").isNotNull())
+    both = r.unionByName(v.withColumn("__row", F.lit(1)), allowMissingColumns=True).unionByName(carried, allowMissingColumns=True)
+    running = W.partitionBy(*key).orderBy(F.when(F.col("__row") > 0, F.col(time)).asc_nulls_first(), "__row", "__v").rowsBetween(W.unboundedPreceding, 0)
+    out = both.withColumn(value, F.last("__v", ignorenulls=True).over(running)).where("__row = 2").drop("__b", "__v", "__row")
+    return out.unionByName(df.where(F.col(time).isNull()).withColumn(value, F.lit(None).cast(versions.schema[value].dataType)))
 
 
 def interval(a: DataFrame, b: DataFrame, on: list[str], a_time: str, b_time: str, seconds: int) -> DataFrame:
-    """Pairs of equal keys where b's time lies within ``seconds`` after a's."""
+    """Pairs of equal keys where b's time lies within ``seconds`` after a's.
+
+    Buckets of that width join the keys: a row of ``a`` meets its own bucket and the next, so a hot key costs its close pairs only.
+    """
+    width = f"{max(1, seconds)} seconds"
+    near = F.explode(F.array("__b", F.col("__b") + F.make_interval(secs=F.lit(max(1, seconds)))))
+    left = a.withColumn("__b", F.window(a_time, width)["start"]).withColumn("__b", near)
+    right = b.withColumn("__b", F.window(b_time, width)["start"])
     later = F.col(b_time).between(F.col(a_time), F.col(a_time) + F.make_interval(secs=F.lit(seconds)))
-    return a.join(b, on).where(later)
+    return left.join(right, [*on, "__b"]).where(later).drop("__b")
 
 
 def grow(relation: DataFrame, batch: DataFrame) -> DataFrame:

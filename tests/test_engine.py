@@ -1,5 +1,6 @@
 """Invariants of the engine on Spark."""
 
+import datetime as dt
 import math
 
 import numpy as np
@@ -374,3 +375,30 @@ def test_policies_on_all_rows(spark, d1, ood):
     old, new = ({k: loss(df, m) for k, m in models.items()} for df in (d1, ood))
     assert new["kd"] < new["stale"] and new["retrain"] < new["stale"] and new["fine_tune"] < new["stale"]
     assert old["kd"] < old["fine_tune"] and all(m.rows == d1.count() + n for k, m in models.items() if k != "stale")
+
+
+def test_joins_in_time_meet_brute_force(spark):
+    at = lambda m: dt.datetime(2024, 3, 1) + dt.timedelta(minutes=m)
+    rng = np.random.default_rng(3)
+    rows = [(i, ("hot", "hot", "b", None)[rng.integers(4)], at(int(m))) for i, m in enumerate(rng.integers(0, 9_000, 300))] + [(900, "hot", None), (901, "alone", at(5)), (902, "hot", at(60))]
+    kept = [(str(k), at(int(m)), int(v)) for k, m, v in zip(rng.choice(["hot", "b", "unasked"], 40), rng.integers(0, 9_000, 40), range(40), strict=True)] + [("hot", at(60), 77), ("hot", at(60), 78), ("b", at(2), None), ("hot", None, 99), (None, at(30), 5)]
+    df = spark.createDataFrame(rows, "id int, k string, ts timestamp_ntz")
+    got = {r["id"]: r["v"] for r in joins.as_of(df, spark.createDataFrame(kept, "k string, ts timestamp_ntz, v int"), ["k"], "ts", "v").collect()}
+    want = {i: max(((t, v) for q, t, v in kept if q == k and ts and t and v is not None and t <= ts), default=(None, None))[1] for i, k, ts in rows}
+    assert got == want
+    later = spark.createDataFrame(kept, "k string, u timestamp_ntz, v int")
+    for seconds in (0, 3600):
+        pairs = sorted((r["id"], r["v"]) for r in joins.interval(df, later, ["k"], "ts", "u", seconds).where("v is not null").collect())
+        assert pairs == sorted((i, v) for i, k, ts in rows for q, t, v in kept if k and q == k and ts and t and v is not None and ts <= t <= ts + dt.timedelta(seconds=seconds))
+
+
+def test_aggregate_truths_meet_brute_force(spark):
+    rng = np.random.default_rng(4)
+    rows = [(int(c), float(v)) for c, v in zip(rng.integers(0, 3, 400), rng.integers(-6, 6, 400) / 2, strict=True)] + [(1, None), (7, 1.0)]
+    asked = [(i, int(c), float(a), float(b)) for i, (c, a, b) in enumerate(zip(rng.integers(0, 5, 60), rng.integers(-7, 7, 60) / 2, rng.integers(-7, 7, 60) / 2, strict=True))] + [(90, 1, -0.0, 0.0), (91, 1, 0.0, 9.0)]
+    q = spark.createDataFrame(asked, "qid int, c int, lo double, hi double")
+    df = spark.createDataFrame(rows, "c int, y double")
+    got = {r["qid"]: (r["count"], r["sum"]) for r in workload.aqp_truth(q, df, "c", "y").collect()}
+    inside = {i: [v for k, v in rows if k == c and v is not None and a <= v <= b] for i, c, a, b in asked}
+    assert got == {i: (len(x), sum(x)) for i, x in inside.items()}
+    assert workload.aqp_truth(q.limit(0), df, "c", "y").count() == 0
