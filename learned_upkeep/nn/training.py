@@ -19,6 +19,8 @@ from .tensor import Tensor
 Params = dict[str, np.ndarray]
 #: What a value outside its domain adds to a row's loss: that of probability 1e-12.
 UNSEEN_LOSS = 27.631021115928547
+#: Most rows of weights or gradients that the driver gathers in a round.
+GATHERED = 64
 
 
 class Component(Protocol):
@@ -144,6 +146,29 @@ def _shaped(flat: np.ndarray, like: Params) -> Params:
     return out
 
 
+def _summed(parts: DataFrame, size: int) -> tuple[float, np.ndarray, int]:
+    """Sums of loss and vector over rows (n, loss, vector), one for each task, all of which run at once.
+
+    At most ``GATHERED`` rows reach the driver; of more tasks, tasks add up vectors first.
+    """
+    import pandas as pd
+
+    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        total, vector, n = 0.0, np.zeros(size), 0
+        for pdf in frames:
+            for row in pdf.itertuples(index=False):
+                total, vector, n = total + row.loss, vector + row.vector, n + row.n
+        if n:
+            yield pd.DataFrame({"n": [n], "loss": [total], "vector": [vector.tolist()]})
+
+    if parts.rdd.getNumPartitions() > GATHERED:
+        parts = parts.repartition(GATHERED).mapInPandas(run, parts.schema)
+    total, vector, n = 0.0, np.zeros(size), 0
+    for row in parts.collect():
+        total, vector, n = total + row["loss"], vector + np.asarray(row["vector"]), n + row["n"]
+    return total, vector, n
+
+
 def full_gradient(df: DataFrame, component: Component, params: Params, columns: list[str]) -> tuple[float, Params, int]:
     """Exact mean loss and gradient over all rows: one small row from each partition."""
     import pandas as pd
@@ -159,12 +184,9 @@ def full_gradient(df: DataFrame, component: Component, params: Params, columns:
                 flat = _flat(g) * len(rows)
                 total, grad, n = total + value * len(rows), flat if grad is None else grad + flat, n + len(rows)
         if n:
-            yield pd.DataFrame({"n": [n], "loss": [total], "grad": [grad.tolist()]})
+            yield pd.DataFrame({"n": [n], "loss": [total], "vector": [grad.tolist()]})
 
-    parts = df.select(*columns).mapInPandas(run, "n long, loss double, grad array<double>").toLocalIterator()
-    total, grad, n = 0.0, np.zeros(_flat(params).size), 0
-    for r in parts:
-        total, grad, n = total + r["loss"], grad + np.asarray(r["grad"]), n + r["n"]
+    total, grad, n = _summed(df.select(*columns).mapInPandas(run, "n long, loss double, vector array<double>"), _flat(params).size)
     return total / max(1, n), _shaped(grad / max(1, n), params), n
 
 
@@ -215,11 +237,10 @@ def fit_by_partitions(df: DataFrame, component: Component, columns: list[str], s
                     own, _ = fit(component, update, own, Settings(settings.epochs, rate, settings.batch, settings.seed + r))
                     n += len(rows)
             if n:
-                yield pd.DataFrame({"n": [n], "weights": [_flat(own).tolist()]})
+                yield pd.DataFrame({"n": [n], "loss": [0.0], "vector": [(_flat(own) * n).tolist()]})
 
-        total, n = np.zeros(_flat(params).size), 0
-        for row in df.select(*columns, *["is_new"] * (teaching is not None)).mapInPandas(run, "n long, weights array<double>").toLocalIterator():
-            total, n = total + np.asarray(row["weights"]) * row["n"], n + row["n"]
+        rows = df.select(*columns, *["is_new"] * (teaching is not None))
+        _, total, n = _summed(rows.mapInPandas(run, "n long, loss double, vector array<double>"), _flat(params).size)
         if n:
             params = _shaped(total / n, params)
         shared.unpersist()
