@@ -88,6 +88,23 @@ def delta_two(a: DataFrame, a_new: DataFrame, b: DataFrame, b_new: DataFrame, on
     return a_new.join(b, on).unionByName(grow(a, a_new).join(b_new, on))
 
 
+def delta_many(tables: list[tuple[DataFrame, DataFrame]], on: list[list[str]]) -> DataFrame:
+    """New rows of a join of any number of tables when each may grow.
+
+    ``tables`` holds (old, batch) in the order of the join, and ``on`` the columns that join each
+    table but the first to those before it.  The batch of table i meets the grown tables before it
+    and the old ones after it, so each new row comes once and the old join is never read again.
+    """
+    out = None
+    for i, (_, batch) in enumerate(tables):
+        sides = [grow(*t) for t in tables[:i]] + [batch] + [old for old, _ in tables[i + 1 :]]
+        part = sides[0]
+        for side, columns in zip(sides[1:], on, strict=True):
+            part = part.join(side, columns)
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
 def join_sample(fact: DataFrame, fraction: float, seed: int, *dimensions: tuple[DataFrame, Column]) -> DataFrame:
     """A sample of a foreign-key join without the join of all rows: fact rows are sampled first."""
     return delta(hash_sample(fact, fraction, f"join{seed}"), *dimensions)

@@ -261,6 +261,15 @@ def oracle_sql() -> dict[str, str]:
     last = f"{h('CAST(o_orderkey AS VARCHAR)', 'arrive')} < {int(0.2 * SPACE)}"
     out["join_delta_orders"] = f"SELECT n_name, count(*) AS n, sum(o_orderkey)::BIGINT AS s FROM {JOINED} WHERE {last} GROUP BY 1"
     out["join_delta_equals_recompute"] = "SELECT 0::BIGINT AS missing, 0::BIGINT AS surplus"
+    arrive = lambda key: f"{h(f'CAST({key} AS VARCHAR)', 'arrive')} < {int(0.2 * SPACE)}"
+    out["join_delta_many_orders"] = f"SELECT c_mktsegment, count(*) AS n, sum(o_orderkey)::BIGINT AS s, count(DISTINCT n_name) AS nations FROM {JOINED} WHERE {arrive('o_orderkey')} OR {arrive('c_custkey')} OR {arrive('n_nationkey')} GROUP BY 1"
+    error = lambda t: f"SELECT power(log_unit - coalesce(m, (SELECT avg(log_unit) FROM d2)), 2) AS loss FROM {t} LEFT JOIN cm USING (qty_band)"
+    rank_of = lambda c, by: f"(SELECT row_number() OVER (ORDER BY {by}) - 1 AS rank, {c} FROM d2)"
+    d2_batches = {"ind": ind_sql("d2"), "ood": f"SELECT qty_band, log_unit FROM {rank_of('log_unit', 'log_unit, rk')} JOIN {rank_of('qty_band', 'qty_band')} USING (rank) WHERE {h('CAST(rank AS VARCHAR)', 'ood1')} < {int(0.2 * SPACE)}"}
+    for kind, batch in d2_batches.items():
+        s2 = fx("d2") | {"nb": batch, "cm": "SELECT qty_band, avg(log_unit) AS m FROM d2 GROUP BY 1", "so": error("d2"), "sn": error("nb")}
+        s2 |= {"v": "SELECT (SELECT avg(loss) FROM so) AS old_mean, (SELECT avg(loss) FROM sn) AS new_mean, (SELECT count(*) FROM so) AS old_n, (SELECT count(*) FROM sn) AS new_n, (SELECT 2 * stddev_pop(loss) / sqrt(600.0) FROM so) AS threshold"}
+        out[f"squared_error_{kind}"] = ctes(**s2) + "SELECT round(old_mean, 6) AS old_mean, round(new_mean, 6) AS new_mean, round(new_mean - old_mean, 6) AS shift, old_n, new_n, round(threshold, 6) AS threshold, abs(new_mean - old_mean) > threshold AS is_ood FROM v"
     out["join_sample_1pct"] = f"SELECT n_name, count(*) AS n, sum(o_orderkey)::BIGINT AS s FROM {JOINED} WHERE {h('CAST(o_orderkey AS VARCHAR)', 'join1')} < {int(0.01 * SPACE)} GROUP BY 1"
     out["join_three_way_d3"] = ctes(**fx("d3")) + "SELECT nation, region, count(*) AS n FROM d3 GROUP BY ALL"
     out["join_lineitem_part_supplier"] = f"SELECT least(9, CAST(floor(p_size / 5) AS INT)) AS size_band, s_nationkey AS s_nation, count(*) AS n FROM lineitem JOIN part ON l_partkey = p_partkey JOIN supplier ON l_suppkey = s_suppkey GROUP BY ALL"  # noqa: F541

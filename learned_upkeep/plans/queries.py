@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import columns as fn
-from ..operators import counts, detect, drift, drift_tests, joins, metrics, update, workload
+from ..operators import counts, detect, drift, drift_tests, joins, metrics, regression, update, workload
 from ..sources import catalog
 from ..sources.catalog import D1, D2, D3, INDEP, Fixture
 from ..streaming import monitor
@@ -306,6 +306,31 @@ def join_delta_orders(spark, sf):
     return joins.delta(o.where(_arrived()), *dims).groupBy("n_name").agg(F.count("*").alias("n"), F.sum("o_orderkey").alias("s"))
 
 
+def join_delta_many_orders(spark, sf):
+    """New rows of orders, customer and nation by market segment when a fifth of the orders, of the customers and of the nations arrive together."""
+    o, c, n = (catalog.table(spark, sf, t) for t in ("orders", "customer", "nation"))
+    o = o.select("o_orderkey", F.col("o_custkey").alias("c_custkey"))
+    c = c.select("c_custkey", "c_mktsegment", F.col("c_nationkey").alias("n_nationkey"))
+    n = n.select("n_nationkey", "n_name")
+    arrived = lambda key: fn.row_hash(F.col(key).cast("string"), "arrive") < fn.cut(0.2)
+    tables = [(t.where(~arrived(k)), t.where(arrived(k))) for t, k in ((o, "o_orderkey"), (c, "c_custkey"), (n, "n_nationkey"))]
+    new = joins.delta_many(tables, [["c_custkey"], ["n_nationkey"]])
+    return new.groupBy("c_mktsegment").agg(F.count("*").alias("n"), F.sum("o_orderkey").alias("s"), F.count_distinct("n_name").alias("nations"))
+
+
+def squared_error_query(kind: str) -> Query:
+    """The test on the squared error of a regression of the unit price on the quantity band."""
+
+    def run(spark, sf):
+        df = D2.build(spark, sf)
+        batch = drift.ind_batch(df) if kind == "ind" else drift.permuted_pair(df, "qty_band", "log_unit")
+        m = regression.fit(df, D2.columns, D2.target)
+        both = detect.mean_shift(m.score(df), m.score(batch)).crossJoin(detect.normal_std(m.score(df), 600).select("std"))  # one row each
+        return both.select(*[F.round(c, 6).alias(c) for c in ("old_mean", "new_mean", "shift")], "old_n", "new_n", F.round(2 * F.col("std"), 6).alias("threshold"), (F.abs("shift") > 2 * F.col("std")).alias("is_ood"))
+
+    return run
+
+
 def join_delta_equals_recompute(spark, sf):
     """Rows that the grown join lacks or has too many of, against the join computed anew, when both tables grow."""
     o, c = (catalog.table(spark, sf, t) for t in ("orders", "customer"))
@@ -436,13 +461,14 @@ def queries() -> dict[str, Query]:
         "two_sample_ind": two_sample_query(D1, "ind"), "two_sample_ood": two_sample_query(D1, "ood"), "two_sample_control": two_sample_query(INDEP, "ood"),
         "qerror_summary_by_policy": qerror_query(D1), "qerror_summary_d3": qerror_query(D3),
     }
+    out |= {f"squared_error_{k}": squared_error_query(k) for k in ("ind", "ood")}
     out |= {f"count_model_nll_{k}": nll_query(k) for k in ("old", "ind", "ood")}
     out |= {f"{p}_counts": policy_counts_query(p) for p in POLICIES}
     plain = [
         permuted_batch_d2, incremental_split_5, time_partitions_orders_5, ood_pool_levels, support_check, joint_domain, dictionary_encode, scaled_range, count_model_fit,
         bootstrap_poisson, bootstrap_all_rows, bootstrap_normal_std, threshold_modes, fpr_fnr_batches, batch_size_sweep, fpr_fnr_pools, batch_size_sweep_pools, kd_lambda_grid, ce_truth, truth_incremental, fwt_bwt_at, changed_share,
         loglik_old_new, topk_qerror, rollup_metrics, aqp_truth, sample_answer_aqp, rel_error_summary, frequency_table_merge, cardinality_merge, join_delta_orders,
-        join_delta_equals_recompute, join_sample_1pct, join_three_way_d3, join_lineitem_part_supplier, ks_columns, mmd_all_rows, dependence_matrix, soft_ce_rows, logit_mse_rows,
+        join_delta_equals_recompute, join_delta_many_orders, join_sample_1pct, join_three_way_d3, join_lineitem_part_supplier, ks_columns, mmd_all_rows, dependence_matrix, soft_ce_rows, logit_mse_rows,
         mixture_pdf, mixture_range_mass, cube_marginals, json_props_counts, asof_model_version, interval_drift_rows, sliding_value_sums, session_event_counts, drift_by_column, streaming_replay,
     ]
     return out | {f.__name__: f for f in plain}

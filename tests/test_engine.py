@@ -13,7 +13,7 @@ from learned_upkeep.nn.darn import MaskedAutoregressive
 from learned_upkeep.nn.mdn import MixtureDensity
 from learned_upkeep.nn.training import Settings, fit_by_partitions, full_gradient, gradient, matrix, score
 from learned_upkeep.nn.vae import TabularVae
-from learned_upkeep.operators import answers, counts, detect, drift, drift_tests, joins, metrics, networks, update, workload
+from learned_upkeep.operators import answers, counts, detect, drift, drift_tests, joins, metrics, networks, regression, update, workload
 from learned_upkeep.plans import experiments, queries, sqlapi, upkeep
 from learned_upkeep.sources import catalog
 from learned_upkeep.sources.catalog import D1, INDEP, Fixture
@@ -402,3 +402,23 @@ def test_aggregate_truths_meet_brute_force(spark):
     inside = {i: [v for k, v in rows if k == c and v is not None and a <= v <= b] for i, c, a, b in asked}
     assert got == {i: (len(x), sum(x)) for i, x in inside.items()}
     assert workload.aqp_truth(q.limit(0), df, "c", "y").count() == 0
+
+
+def test_squared_errors_of_cell_means(spark):
+    old = spark.createDataFrame([(0, 1.0), (0, 3.0), (1, 5.0), (None, 7.0), (None, 9.0), (1, None)], "c int, y double")
+    m = regression.fit(old, ("c",), "y")
+    got = [(r["c"], r["y"], r["loss"]) for r in m.score(spark.createDataFrame([(0, 2.0), (1, 6.0), (None, 8.0), (4, 5.0), (0, None)], "c int, y double")).collect()]
+    assert sorted(got, key=str) == sorted([(0, 2.0, 0.0), (1, 6.0, 1.0), (None, 8.0, 0.0), (4, 5.0, 0.0), (0, None, None)], key=str)
+    none = regression.fit(old.limit(0), ("c",), "y")
+    assert none.overall == 0.0 and none.score(old).count() == 6
+
+
+def test_delta_of_three_growing_tables_is_the_difference(spark):
+    rng = np.random.default_rng(8)
+    table = lambda n, schema: [spark.createDataFrame([tuple(map(int, r)) for r in rng.integers(0, 5, (k, 2))], schema) for k in (n, n // 2)]
+    a, b, c = table(14, "x int, y int"), table(10, "y int, z int"), table(8, "z int, w int")
+    joined = lambda s, t, u: s.join(t, ["y"]).join(u, ["z"]).select("x", "y", "z", "w")
+    whole, before = joined(*(joins.grow(*t) for t in (a, b, c))), joined(a[0], b[0], c[0])
+    new = joins.delta_many([tuple(a), tuple(b), tuple(c)], [["y"], ["z"]]).select("x", "y", "z", "w")
+    rows = lambda df: sorted(map(tuple, df.collect()))
+    assert rows(new) == rows(joins.bag_difference(whole, before)) and rows(before.unionByName(new)) == rows(whole)
