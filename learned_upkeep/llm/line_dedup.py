@@ -1,8 +1,9 @@
 """Operator 9, line deduplication with two Bloom filters.
 
 Pass 1 builds, per task, the bits of lines seen once and of lines seen in two documents, as sorted
-positions by segment of the filter.  Merging segments gives the twice-seen filter: a bit that two
-tasks have set, or that one task saw twice.  No repeated line can be missed; others may be suspected.
+positions by segment of the filter, or as bitmaps where these are shorter.  Merging segments gives the
+twice-seen filter: a bit that two tasks have set, or that one task saw twice.  Merging streams, in two
+rounds, so its tasks hold one segment however many tasks there were before.  No repeated line can be missed; others may be suspected.
 Pass 2 shuffles the suspected lines only, for exact counts and the document that keeps the line.
 Pass 3 drops the confirmed lines.
 
@@ -15,19 +16,19 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise, replicated, salted
+from .common import SALTS, materialise, replicated, salted
 from .words import blocks, per_document
 
 MIN_CHARS = 20
 MIN_DOCUMENTS = 3
 MAX_BITS = 1 << 29
 SEGMENT = 1 << 20
+SEGMENTS = "segment int, once binary, twice binary"
 #: Confirmed lines are broadcast up to so many bytes of keys; beyond, they are joined.
 BROADCAST_BYTES = 32 << 20
 
@@ -55,6 +56,45 @@ def _filter_bits(docs: DataFrame) -> int:
     return min(MAX_BITS, max(SEGMENT, 1 << (16 * lines - 1).bit_length()))
 
 
+def _packed(positions: np.ndarray) -> bytes:
+    """Sorted positions in a segment as they are (4 bytes each), or as a bitmap of SEGMENT / 8 bytes where that is no longer."""
+    if 4 * positions.size < SEGMENT // 8:
+        return positions.tobytes()
+    bits = np.zeros(SEGMENT, bool)
+    bits[positions] = True
+    return np.packbits(bits).tobytes()
+
+
+def _unpacked(packed: bytes) -> np.ndarray:
+    """An index (positions or a mask) of the bits of :func:`_packed`."""
+    return np.unpackbits(np.frombuffer(packed, "uint8")).view(bool) if len(packed) == SEGMENT // 8 else np.frombuffer(packed, "<u4")
+
+
+def _segment_rows(rows: list[tuple[int, bytes, bytes]]) -> Iterator[pa.RecordBatch]:
+    if rows:
+        kinds = (pa.int32(), pa.binary(), pa.binary())
+        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), kinds, strict=True)], ["segment", "once", "twice"])
+
+
+def _fold(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """One row for each run of rows of a segment: bits of any row, and bits of two rows or seen twice in one.  Holds one segment."""
+    at, once, twice = None, np.zeros(SEGMENT, bool), np.zeros(SEGMENT, bool)
+    row = lambda: [(at, _packed(np.flatnonzero(once).astype("<u4")), _packed(np.flatnonzero(twice).astype("<u4")))]
+    for batch in batches:
+        for segment, ones, twos in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+            if segment != at:
+                if at is not None:
+                    yield from _segment_rows(row())
+                at = segment
+                once[:] = twice[:] = False
+            own = _unpacked(ones)
+            twice[own] |= once[own]
+            once[own] = True
+            twice[_unpacked(twos)] = True
+    if at is not None:
+        yield from _segment_rows(row())
+
+
 def twice_seen(docs: DataFrame, bits: int) -> np.ndarray:
     """The filter of lines that two documents may share, as a bitmap of at most MAX_BITS bits."""
 
@@ -70,27 +110,22 @@ def twice_seen(docs: DataFrame, bits: int) -> np.ndarray:
         bit_of = lambda h: np.unique(np.concatenate([h & mask, (h >> np.uint64(32)) & mask]))
         once, twice = bit_of(hashes), bit_of(hashes[n > 1])
         for s in np.unique(once // SEGMENT):
-            part = lambda b, s=s: (b[np.searchsorted(b, s * SEGMENT) : np.searchsorted(b, (s + np.uint64(1)) * SEGMENT)] - s * SEGMENT).astype("<u4").tobytes()
+            part = lambda b, s=s: _packed((b[np.searchsorted(b, s * SEGMENT) : np.searchsorted(b, (s + np.uint64(1)) * SEGMENT)] - s * SEGMENT).astype("<u4"))
             rows.append((int(s), part(once), part(twice)))
-        if rows:
-            kinds = (pa.int32(), pa.binary(), pa.binary())
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), kinds, strict=True)], ["segment", "once", "twice"])
-
-    def merge(rows: pd.DataFrame) -> pd.DataFrame:
-        times = np.zeros(SEGMENT, "uint8")
-        for once in rows["once"]:
-            at = np.frombuffer(once, "<u4")
-            times[at] = np.minimum(times[at] + 1, 2)
-        for twice in rows["twice"]:
-            times[np.frombuffer(twice, "<u4")] = 2
-        return pd.DataFrame({"segment": [int(rows["segment"].iloc[0])], "bitmap": [np.packbits(times == 2).tobytes()]})
-
-    parts = per_document(docs, run, "segment int, once binary, twice binary", ("text",))
+        yield from _segment_rows(rows)
+
+    parts = per_document(docs, run, SEGMENTS, ("text",))
+    # tasks meet in SALTS folds a segment first, then those do; each fold streams its rows
+    spread = parts.withColumn("__salt", F.pmod(F.spark_partition_id(), F.lit(SALTS)))
+    folds = spread.repartition("segment", "__salt").sortWithinPartitions("segment").drop("__salt").mapInArrow(_fold, SEGMENTS)
+    whole = materialise(folds.repartition("segment").sortWithinPartitions("segment").mapInArrow(_fold, SEGMENTS).select("segment", "twice"), "filter")
     bitmap = np.zeros(bits // 8, "uint8")
     # at most MAX_BITS / SEGMENT = 512 rows of 128 KB
-    for r in parts.groupBy("segment").applyInPandas(merge, "segment int, bitmap binary").toLocalIterator():
+    for r in whole.toLocalIterator():
         at = r["segment"] * (SEGMENT // 8)
-        bitmap[at : at + SEGMENT // 8] = np.frombuffer(r["bitmap"], "uint8")
+        seen = np.zeros(SEGMENT, bool)
+        seen[_unpacked(r["twice"])] = True
+        bitmap[at : at + SEGMENT // 8] = np.packbits(seen)
     return bitmap
 
 

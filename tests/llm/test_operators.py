@@ -621,6 +621,28 @@ def test_line_dedup(edges, given, limit):
         assert Counter(map(tuple, line_dedup.without_repeated_lines(docs, limit).collect())) == brute_lines(plain(docs))
 
 
+def test_filter_segments_fold_like_counts():
+    """Dense and sparse rows of a segment, folded in two rounds, against counts of each bit."""
+    rng = np.random.default_rng(2)
+    size, rows, seen = line_dedup.SEGMENT, [], np.zeros((2, line_dedup.SEGMENT), int)
+    for n in (0, 1, 5_000, size // 32 - 1, size // 32, size // 2, size):
+        for segment in (0, 1):
+            once = np.sort(rng.choice(size, n, replace=False)).astype("<u4")
+            twice = once[rng.random(n) < 0.1]
+            seen[segment, once] += 1
+            seen[segment, twice] += 1
+            rows.append((segment, line_dedup._packed(once), line_dedup._packed(twice)))
+    batch = lambda some: list(line_dedup._segment_rows(sorted(some, key=lambda r: r[0])))
+    folds = [r for part in (rows[::3], rows[1::3], rows[2::3]) for b in line_dedup._fold(iter(batch(part))) for r in b.to_pylist()]
+    last = [r for b in line_dedup._fold(iter(batch([(r["segment"], r["once"], r["twice"]) for r in folds]))) for r in b.to_pylist()]
+    assert [r["segment"] for r in last] == [0, 1] and not list(line_dedup._fold(iter([])))
+    for r in last:
+        for name, least in (("once", 1), ("twice", 2)):
+            got = np.zeros(size, bool)
+            got[line_dedup._unpacked(r[name])] = True
+            assert (got == (seen[r["segment"]] >= least)).all()
+
+
 def check_shards(docs, rows, shards=8):
     sizes = Counter((i, len(t.encode()) + 1, zlib.crc32(t.encode())) for i, t in plain(docs))
     assert Counter((r["doc_id"], r["size"], r["text_crc32"]) for r in rows) == sizes
