@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from dataclasses import dataclass
 from functools import cached_property
 
 import numpy as np
 
-from .losses import soft_cross_entropy
-from .tensor import Tensor, log_softmax, masked_linear, relu
+from .losses import soft_cross_entropy, softmax
+from .tensor import Tensor, cross_entropy, log_softmax, masked_linear, relu
 from .training import Params
 
 
@@ -75,6 +76,24 @@ class MaskedAutoregressive:
             out = out + soft_cross_entropy(t[:, a:b], z[:, a:b], self.temperature)
         return out * (1 / len(self.sizes)) if self.reduction == "mean" else out
 
+    def counted(self, data: np.ndarray, likely: np.ndarray, like: np.ndarray, teacher: Params | None = None) -> Callable[[dict[str, Tensor]], Tensor]:
+        """The objective with ``likely`` as the weight of each row's loss and ``like`` as that of its imitation, in one pass of the network."""
+        x, t = self.encode(data), self.temperature
+        target, soft = x * likely[:, None], None
+        if teacher is not None and like.any():
+            z = self.logits({k: Tensor(v) for k, v in teacher.items()}, x).value
+            soft = np.hstack([softmax(z[:, a:b], t) for a, b in zip(self.starts, self.starts[1:], strict=False)]) * like[:, None]
+            soft = soft / len(self.sizes) if self.reduction == "mean" else soft
+            if t == 1:
+                target, soft = target + soft, None
+
+        def value(p: dict[str, Tensor]) -> Tensor:
+            z = self.logits(p, x)
+            out = cross_entropy(z, target, self.starts)
+            return out if soft is None else out + cross_entropy(z * (1 / t), soft, self.starts)
+
+        return value
+
     def conditional(self, params: Params, x: np.ndarray, i: int) -> np.ndarray:
         """Probabilities of column i given the one-hot columns before it."""
         z = self.logits({k: Tensor(v) for k, v in params.items()}, x).value[:, self.starts[i] : self.starts[i + 1]]

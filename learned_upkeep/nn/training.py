@@ -247,6 +247,35 @@ def fit_by_partitions(df: DataFrame, component: Component, columns: list[str], s
     return params
 
 
+#: Most steps of :func:`fit_counted` in an epoch; fewer rows take as many as they make mini-batches.
+STEPS_AN_EPOCH = 64
+
+
+def fit_counted(component: Component, cells: np.ndarray, new: np.ndarray, start: Params, settings: Settings, old: np.ndarray | None = None, teaching: Teaching | None = None) -> tuple[Params, int]:
+    """Training on all rows from the counts of their distinct values; returns parameters and the rows that gradients were taken of.
+
+    ``new`` and ``old`` (the transfer set) count the rows of each of ``cells``.  A loss depends on a
+    row's values only, so the weighted sum over cells is the mean over all rows, and each step takes
+    its exact gradient: the cost follows the cells, however many rows there are.  The rate falls
+    along a half cosine.  The component has ``counted``, the objective of weighted rows.
+    """
+    share = lambda n: n / n.sum() if n is not None and n.sum() else np.zeros(len(cells))
+    likely, like = share(new), np.zeros(len(cells))
+    if teaching:
+        kept = (1 - teaching.w_new) * share(old)
+        likely, like = teaching.w_new * likely + (1 - teaching.lam) * kept, teaching.lam * kept
+    met = likely + like > 0
+    if not met.any():
+        return start, 0
+    objective = component.counted(np.nan_to_num(cells[met]), likely[met], like[met], teaching.teacher if teaching else None)
+    batches = -int(-max(new.sum(), 0 if old is None else old.sum()) // settings.batch)
+    params, adam, steps = dict(start), Adam(start, settings.rate), settings.epochs * max(1, min(STEPS_AN_EPOCH, batches))
+    for t in range(steps):
+        adam.rate = settings.rate * (1 + np.cos(np.pi * t / steps)) / 2
+        adam.step(params, gradient(objective, params)[1])
+    return params, steps * int(met.sum())
+
+
 def losses(component: Component, params: Params, data: np.ndarray) -> np.ndarray:
     """The loss of each row.  A code outside its domain, or a missing one, adds ``UNSEEN_LOSS`` and is otherwise read as the nearest."""
     sizes = np.array(getattr(component, "sizes", None) or (component.categories,))

@@ -110,6 +110,17 @@ def offline(scored: DataFrame, iterations: int = BOOTSTRAPS, rows: int | None =
     return Baseline(float(means.mean()), float(means.std(ddof=1)), rows, float(sigma), n, tuple(np.sort(means)))
 
 
+def offline_counted(loss: np.ndarray, n: np.ndarray, iterations: int = BOOTSTRAPS, seed: int = 1) -> Baseline:
+    """:func:`offline` from the losses of cells and the counts of their rows; draws are multinomial counts of cells."""
+    total, met = int(n.sum()), n > 0
+    if not total:
+        raise ValueError("no old rows to bootstrap")
+    mean = np.average(loss, weights=n)
+    rows = max(LEAST_ROWS, int(OLD_FRACTION * total))
+    means = np.random.default_rng(seed).multinomial(rows, n[met] / total, size=iterations) @ loss[met] / rows
+    return Baseline(float(means.mean()), float(means.std(ddof=1)), rows, float(np.sqrt(np.average((loss - mean) ** 2, weights=n))), total, tuple(np.sort(means)))
+
+
 def factor(delta: float | None, tail: str = "two_sided") -> float:
     """The number of standard deviations for a significance level; the published 2 without one."""
     if delta is None:
@@ -159,6 +170,15 @@ def p_value(shift: float, base: Baseline, tail: str = "two_sided") -> tuple[floa
 def test_batch(scored_batch: DataFrame, base: Baseline, mode: str = "fixed", tail: str = "two_sided", k: float = FACTOR) -> Verdict:
     """One pass over the scored sample of the batch.  Fewer than two rows, or a loss that isn't a number, give no drift signal but an error."""
     n, mean = scored_batch.agg(F.count("*"), F.avg("loss")).first()
+    return _verdict(n, mean, base, mode, tail, k)
+
+
+def test_counted(loss: np.ndarray, n: np.ndarray, base: Baseline, mode: str = "fixed", tail: str = "two_sided", k: float = FACTOR) -> Verdict:
+    """:func:`test_batch` from the losses of cells and the counts of the batch's rows."""
+    return _verdict(int(n.sum()), float(np.average(loss, weights=n)) if n.sum() else None, base, mode, tail, k)
+
+
+def _verdict(n: int, mean: float | None, base: Baseline, mode: str, tail: str, k: float) -> Verdict:
     if n < 2 or mean is None or math.isnan(mean):
         raise ValueError(f"a batch of {n} rows with mean loss {mean} can't be tested")
     shift = mean - base.mean

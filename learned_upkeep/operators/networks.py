@@ -2,16 +2,16 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from contextlib import contextmanager
 from dataclasses import dataclass, replace
 
 import numpy as np
 from pyspark import StorageLevel
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..nn.training import Component, Params, Settings, Teaching, Update, fit, fit_by_partitions
+from ..nn.training import Component, Params, Settings, Teaching, Update, fit, fit_by_partitions, fit_counted
 from .update import LAMBDA, LAMBDA_GRID, new_weight
 
 
@@ -179,6 +179,37 @@ def policies_all(model: Model, old: DataFrame, batch: DataFrame, transfer: DataF
     return {k: makers[k]() for k in which}
 
 
+def train_counted(component: Component, cells: np.ndarray, n: np.ndarray, settings: Settings = Settings()) -> Model:  # noqa: B008
+    """:func:`train_all` from the counts ``n`` of the rows' distinct values."""
+    params, steps = fit_counted(component, cells, n, component.initial(np.random.default_rng(settings.seed)), settings)
+    return Model(component, params, int(n.sum()), steps=steps)
+
+
+def policies_counted(model: Model, cells: np.ndarray, old: np.ndarray, batch: np.ndarray, transfer: np.ndarray, settings: Settings = Settings(), lam: float = LAMBDA, alpha: str | float = "described", which: tuple[str, ...] = ("stale", "retrain", "fine_tune", "kd", "pooled")) -> dict[str, Model]:  # noqa: B008
+    """:func:`policies_all` from the counts of old, new and transfer rows in each of ``cells``."""
+    n_new = int(batch.sum())
+    rows, c = model.rows + n_new, model.component
+    version = {"version": model.version + 1, "parent": model.version}
+
+    def updated(transfer: np.ndarray | None = None, teaching: Teaching | None = None) -> Model:
+        params, steps = fit_counted(c, cells, batch, model.params, settings, transfer, teaching)
+        return Model(c, params, rows, **version, steps=steps)
+
+    makers = {
+        "stale": lambda: model,
+        "retrain": lambda: replace(train_counted(c, cells, old + batch, settings), rows=rows),
+        "fine_tune": updated,
+        "kd": lambda: updated(transfer, Teaching(model.params, lam, new_weight(n_new, model.rows, alpha))),
+        "pooled": lambda: replace(train_counted(c, cells, transfer + batch, settings), rows=rows),
+    }
+    return {k: makers[k]() for k in which}
+
+
+def at_once(spark: SparkSession, jobs: list[Callable]) -> list:
+    """Results of independent trainings, each in a task of its own; they hold counts and weights, no rows."""
+    return spark.sparkContext.parallelize(range(len(jobs)), len(jobs)).map(lambda i: jobs[i]()).collect()
+
+
 def tune_lambda(model: Model, batch: np.ndarray, transfer: np.ndarray, validation: np.ndarray, n_new: int, grid: tuple[float, ...] = LAMBDA_GRID, settings: Settings = Settings()) -> tuple[float, dict[float, float]]:  # noqa: B008
     """The lambda with the least validation loss on old and new rows."""
     losses = {lam: float(model.component.row_loss(distil(model, batch, transfer, n_new, lam, settings=settings).params, validation).mean()) for lam in grid}

@@ -10,13 +10,13 @@ from collections.abc import Callable
 from dataclasses import replace
 
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.columns import cut, hash_sample, q_error, row_hash
 from ..nn.darn import MaskedAutoregressive
 from ..nn.mdn import MixtureDensity
-from ..nn.training import Settings, matrix, score
+from ..nn.training import Settings, losses, matrix, score
 from ..nn.vae import TabularVae
 from ..operators import answers, counts, detect, drift, metrics, networks, spn, workload
 from ..operators.update import merge_frequencies
@@ -172,82 +172,127 @@ def generation(spark: SparkSession, sf_dir: str, f: Fixture = D6, target: str =
     return _frame(spark, rows, "fixture string, policy string, real_f1 double, synthetic_f1 double")
 
 
+def _counted(df: DataFrame, columns: tuple[str, ...], samples: dict[str, Column]) -> tuple[np.ndarray, dict[str, np.ndarray]]:
+    """(cells, counts of each sample's rows in them): one pass over rows of any number, a row of the driver for each cell that occurs."""
+    table = df.groupBy(*columns).agg(*[F.count_if(c).alias(name) for name, c in samples.items()]).orderBy(*columns).toPandas()
+    return table[list(columns)].to_numpy("float64"), {name: table[name].to_numpy("float64") for name in samples}
+
+
+def _boxes(q: DataFrame, f: Fixture, cells: np.ndarray, old: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(query numbers, lower and upper codes, cells inside) of the queries that old rows answer with more than 0."""
+    table = q.orderBy("qid").toPandas()
+    lo, hi = (table[[f"{c}_{e}" for c in f.columns]].to_numpy(int) for e in ("lo", "hi"))
+    met = np.stack([((cells >= a) & (cells <= b)).all(1) for a, b in zip(lo, hi, strict=True)]) if len(lo) else np.zeros((0, len(cells)), bool)
+    some = met @ old > 0
+    return table["qid"].to_numpy(int)[some], lo[some], hi[some], met[some]
+
+
+def _error_quantiles(estimate: np.ndarray, truth: np.ndarray) -> tuple[float, float]:
+    """Median and 95th percentile of the q-error."""
+    e, t = np.maximum(estimate, 1.0), np.maximum(truth, 1.0)
+    return tuple(float(x) for x in np.quantile(np.maximum(e, t) / np.minimum(e, t), (0.5, 0.95)))
+
+
 def incremental(spark: SparkSession, sf_dir: str, f: Fixture = D1, steps: int = 5, kind: str = "ood", settings: Settings = QUICK, n_queries: int = N_QUERIES, which: tuple[str, ...] = ("stale", "retrain", "fine_tune", "kd")) -> DataFrame:
-    """Five insertions: p95 q-error and plain average log-likelihood of old and new rows at each step."""
+    """Five insertions: p95 q-error and plain average log-likelihood of old and new rows at each step.
+
+    All rows are counted by cell once, those of each batch and of each step's transfer set; training,
+    truths and likelihoods are exact on the counts.
+    """
     old, ind, ood, cols = _tables(f, "darn", spark, sf_dir)
-    batches = drift.split_batches(ood if kind == "ood" else ind, steps).persist()
-    q = workload.ce_queries(old, f, n_queries).persist()
-    truth = workload.truth(q, old, f).where("truth > 0").persist()
-    q = workload.without_empty(q, truth).persist()
-    seen = old.select("rk", *cols)
-    base = networks.train_all(autoregressive(f), seen, cols, settings)
-    models, rows = dict.fromkeys(which, base), []
-    grid = counts.grid(spark, f.columns, f.sizes)
-    for s in range(steps):
-        batch = batches.where(F.col("batch_id") == s)
-        n_new = batch.count()
-        truth = workload.truth_added(truth, workload.truth(q, batch, f)).persist()
-        transfer = hash_sample(seen, 0.1, f"transfer{s}")
-        for name in which:
-            models[name] = networks.policies_all(models[name], seen, batch, transfer, cols, n_new, settings, which=(name,))[name]
-            m = models[name]
-            est = workload.over_cells(q, answers.cell_masses(grid, m.component, m.params, f.columns), f.columns, "prob", "p").select("qid", (F.col("p") * F.lit(float(m.rows))).alias("estimate"))
-            e = metrics.q_errors(est, truth).agg(F.expr("percentile(q_error, array(0.5D, 0.95D))").alias("q")).first()[0]
-            ll = -sum(score(d.select(*cols), m.component, m.params, cols).agg(F.avg("loss")).first()[0] for d in (old, batch)) / 2
-            rows.append((s + 1, name, float(e[0]), float(e[1]), float(ll)))
-        seen = seen.unionByName(batch.select("rk", *cols))
-    for df in (batches, q, truth):
-        df.unpersist()
+    batches = drift.split_batches(ood if kind == "ood" else ind, steps)
+    q = workload.ce_queries(old, f, n_queries)
+    rows_all = old.select("rk", *cols).withColumn("batch_id", F.lit(-1)).unionByName(batches.select("rk", *cols, "batch_id"))
+    at = F.col("batch_id")
+    samples = {f"n{k}": at == k for k in range(-1, steps)} | {f"t{s}": (at < s) & (row_hash("rk", f"transfer{s}") < F.lit(cut(0.1))) for s in range(steps)}
+    cells, n = _counted(rows_all, f.columns, samples)
+    grid = counts.grid(spark, f.columns, f.sizes).toPandas().to_numpy("float64")
+    _, lo, hi, met = _boxes(q, f, cells, n["n-1"])
+    on_grid = np.stack([((grid >= a) & (grid <= b)).all(1) for a, b in zip(lo, hi, strict=True)])
+    base = networks.train_counted(autoregressive(f), cells, n["n-1"], settings)
+    seen = np.cumsum([n[f"n{k}"] for k in range(-1, steps)], axis=0)
+
+    def chain(name: str, first: int, last: int) -> list[tuple[int, str, networks.Model]]:
+        m, out = base, []
+        for s in range(first, last):
+            m = networks.policies_counted(m, cells, seen[s], n[f"n{s}"], n[f"t{s}"], settings, which=(name,))[name]
+            out.append((s, name, m))
+        return out
+
+    # a retrained model doesn't depend on the one before, so its steps are jobs of their own
+    spans = [(name, *span) for name in which for span in ([(s, s + 1) for s in range(steps)] if name == "retrain" else [(0, steps)])]
+    spans.sort(key=lambda span: span[1] - span[2])  # the longest first
+    made = networks.at_once(spark, [lambda span=span: chain(*span) for span in spans])
+    rows = []
+    for s, name, m in sorted((x for part in made for x in part), key=lambda x: (x[0], which.index(x[1]))):
+        rows_known = m.rows if name == "stale" else int(seen[s + 1].sum())
+        e = _error_quantiles(rows_known * (on_grid @ m.component.cell_mass(m.params, grid)), met @ seen[s + 1])
+        loss = losses(m.component, m.params, cells)
+        ll = -(np.average(loss, weights=n["n-1"]) + np.average(loss, weights=n[f"n{s}"])) / 2
+        rows.append((s + 1, name, *e, float(ll)))
     return _frame(spark, rows, "step int, policy string, median double, p95 double, loglik double")
 
 
-def _order_parts(spark: SparkSession, sf_dir: str, drifted: bool) -> list[DataFrame]:
+def _order_parts(spark: SparkSession, sf_dir: str, drifted: bool) -> DataFrame:
     """Orders with customers and nations in five parts by time; with ``drifted`` the customers of later parts come from two regions only."""
     parts = drift.time_partitions(catalog.orders_with_nation(spark, sf_dir), "o_orderdate")
-    return [catalog.code_orders(parts.where((F.col("batch_id") == k) & ((F.col("n_regionkey") < 2) if drifted and k else F.lit(True)))) for k in range(5)]
+    return catalog.code_orders(parts.where((F.col("batch_id") == 0) | (F.col("n_regionkey") < 2)) if drifted else parts, "batch_id")
 
 
-def _line_parts(spark: SparkSession, sf_dir: str, drifted: bool) -> list[DataFrame]:
+def _line_parts(spark: SparkSession, sf_dir: str, drifted: bool) -> DataFrame:
     """Lines with parts and suppliers in five parts by time; with ``drifted`` later parts sell small quantities only."""
     parts = drift.time_partitions(catalog.J2.build(spark, sf_dir), "l_shipdate")
-    return [parts.where((F.col("batch_id") == k) & ((F.col("qty_band") < 3) if drifted and k else F.lit(True))).select("rk", *catalog.J2.columns) for k in range(5)]
+    return (parts.where((F.col("batch_id") == 0) | (F.col("qty_band") < 3)) if drifted else parts).select("rk", *catalog.J2.columns, "batch_id")
 
 
 def joined_partitions(spark: SparkSession, sf_dir: str, drifted: bool = False, f: Fixture = D3, settings: Settings = QUICK, n_queries: int = 100) -> DataFrame:
     """A three-table join, its fact table in five parts by time: a verdict and q-errors for each later part.
 
-    The verdict is that of the distilled model, whose baseline is renewed after each update.
+    The verdict is that of the distilled model, whose baseline is renewed after each update.  All rows
+    of the join are counted by cell once, those of each part and sample; training, losses and truths
+    are exact on the counts.
     """
-    cols = list(f.columns)
-    parts = [p.persist() for p in (_order_parts if f is D3 else _line_parts)(spark, sf_dir, drifted)]
-    old = seen = parts[0]
-    q = workload.ce_queries(old, f, n_queries).persist()
-    truth = workload.truth(q, old, f).where("truth > 0").persist()
-    q = workload.without_empty(q, truth).persist()
-    base = networks.train_all(autoregressive(f), old, cols, settings)
-    models, rows = dict.fromkeys(("stale", "retrain", "fine_tune", "kd", "fast_retrain"), base), []
-    scored = lambda df, m: score(df.select("rk", *cols), m.component, m.params, cols)
-    baseline = detect.offline(scored(old, base))
-    for k in range(1, 5):
-        batch = parts[k]
-        n_new = batch.count()
-        v = detect.test_batch(scored(batch, models["kd"]), baseline, "size_matched")
-        truth = workload.truth_added(truth, workload.truth(q, batch, f)).persist()
-        whole = seen.unionByName(batch)
-        for name, m in models.items():
-            if name == "fast_retrain":  # a light training on 1 % of the join, 100 rows at least
-                some = hash_sample(whole, min(1.0, max(0.01, 100 / (m.rows + n_new))), f"light{k}")
-                new = replace(networks.train_all(m.component, some, cols, settings), rows=m.rows + n_new)
+    parts = (_order_parts if f is D3 else _line_parts)(spark, sf_dir, drifted).persist()
+    q = workload.ce_queries(parts.where("batch_id = 0"), f, n_queries)
+    sizes = dict(parts.groupBy("batch_id").count().collect())
+    upto = np.cumsum([sizes.get(k, 0) for k in range(5)])
+    at = F.col("batch_id")
+    picked = lambda what, share: row_hash("rk", what) < F.lit(cut(share))
+    samples = {f"n{k}": at == k for k in range(5)} | {f"t{k}": (at < k) & picked(f"transfer{k}", 0.1) for k in range(1, 5)}
+    # a light training on 1 % of the join, 100 rows at least
+    samples |= {f"l{k}": (at <= k) & picked(f"light{k}", min(1.0, max(0.01, 100 / int(upto[k])))) for k in range(1, 5)}
+    cells, n = _counted(parts, f.columns, samples)
+    qid, lo, hi, met = _boxes(q, f, cells, n["n0"])
+    parts.unpersist()
+    seen = np.cumsum([n[f"n{k}"] for k in range(5)], axis=0)
+    base = networks.train_counted(autoregressive(f), cells, n["n0"], settings)
+
+    def estimates(m: networks.Model) -> np.ndarray:
+        return m.rows * np.array([m.component.box_mass(m.params, a, b, 100, np.random.default_rng((1, int(i)))) for i, a, b in zip(qid, lo, hi, strict=True)])
+
+    def chain(name: str, first: int, last: int) -> list[tuple[int, str, networks.Model, np.ndarray]]:
+        m, out = base, []
+        for k in range(first, last):
+            if name == "fast_retrain":
+                m = replace(networks.train_counted(m.component, cells, n[f"l{k}"], settings), rows=int(upto[k]))
             else:
-                new = networks.policies_all(m, seen, batch, hash_sample(seen, 0.1, f"transfer{k}"), cols, n_new, settings, which=(name,))[name]
-            models[name] = new
-            est = answers.estimate_counts(q, new.component, new.params, f.columns, new.rows, 100)
-            e = metrics.q_errors(est, truth).agg(F.expr("percentile(q_error, array(0.5D, 0.95D))").alias("q")).first()[0]
-            rows.append((k, name, bool(v.is_ood), float(v.shift), float(e[0]), float(e[1]), new.steps))
-        seen = whole
-        baseline = detect.offline(scored(seen, models["kd"]))
-    for df in (*parts, q, truth):
-        df.unpersist()
+                m = networks.policies_counted(m, cells, seen[k - 1], n[f"n{k}"], n[f"t{k}"], settings, which=(name,))[name]
+            if name == "retrain":
+                m = replace(m, rows=int(upto[k]))
+            out.append((k, name, m, estimates(m)))
+        return out
+
+    names = ("stale", "retrain", "fine_tune", "kd", "fast_retrain")
+    # models trained afresh don't depend on the one before, so their parts are jobs of their own
+    spans = [(name, *span) for name in names for span in ([(k, k + 1) for k in range(1, 5)] if name.endswith("retrain") else [(1, 5)])]
+    spans.sort(key=lambda span: span[1] - span[2])  # the longest first
+    made = {(k, name): (m, est) for part in networks.at_once(spark, [lambda span=span: chain(*span) for span in spans]) for k, name, m, est in part}
+    rows, kept = [], base
+    for k in range(1, 5):
+        loss = losses(kept.component, kept.params, cells)
+        v = detect.test_counted(loss, n[f"n{k}"], detect.offline_counted(loss, seen[k - 1]), "size_matched")
+        kept = made[k, "kd"][0]
+        rows += [(k, name, v.is_ood, v.shift, *_error_quantiles(made[k, name][1], met @ seen[k]), made[k, name][0].steps) for name in names]
     return _frame(spark, rows, "part int, policy string, is_ood boolean, shift double, median double, p95 double, row_epochs long")
 
 

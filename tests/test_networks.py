@@ -10,7 +10,8 @@ from learned_upkeep.nn.darn import MaskedAutoregressive
 from learned_upkeep.nn.mdn import MixtureDensity
 from learned_upkeep.nn.tensor import Tensor
 from learned_upkeep.nn.vae import TabularVae
-from learned_upkeep.operators import networks, spn
+from learned_upkeep.operators import detect, networks, spn
+from learned_upkeep.plans import experiments
 
 SIZES = (4, 3, 5)
 RNG = np.random.default_rng(0)
@@ -155,3 +156,51 @@ def test_noise_of_rows_is_normal_and_theirs():
     e = c.noise_of(rows)
     assert e.shape == (3000, 4) and np.array_equal(e[7:9], c.noise_of(rows[7:9]))
     assert abs(e.mean()) < 0.03 and abs(e.std() - 1) < 0.03 and abs(np.corrcoef(e.T) - np.eye(4)).max() < 0.07 and np.abs(e).max() > 3
+
+
+def test_counted_objective_is_that_of_the_rows():
+    """Weighted cells give the loss, the imitation and the gradient of all rows."""
+    data, old = correlated(700, 1), correlated(400, 2)
+    cells = np.unique(np.concatenate([data, old]), axis=0)
+    of = lambda rows: np.array([(rows == c).all(1).sum() for c in cells], float)
+    for c in (MaskedAutoregressive((6, 6), 16, temperature=1.0, reduction="sum"), MaskedAutoregressive((6, 6), 16)):
+        teacher, params = c.initial(np.random.default_rng(1)), c.initial(np.random.default_rng(2))
+        rows = training.Update(data, old, teacher, 0.25, 0.6).objective(c, np.arange(700), np.arange(400), np.random.default_rng(0))
+        counted = c.counted(cells, 0.6 * of(data) / 700 + 0.3 * of(old) / 400, 0.1 * of(old) / 400, teacher)
+        (a, ga), (b, gb) = training.gradient(rows, params), training.gradient(counted, params)
+        assert a == pytest.approx(b) and all(np.allclose(ga[k], gb[k]) for k in ga)
+
+
+def test_training_from_counts():
+    cells, n = np.unique(correlated(6000, 1), axis=0, return_counts=True)
+    n, c = n.astype(float), MaskedAutoregressive((6, 6), 32, temperature=1.0, reduction="sum")
+    m = networks.train_counted(c, cells, 1000 * n, training.Settings(epochs=8, rate=3e-3))
+    best = -np.average(np.log(n / n.sum()), weights=n)
+    assert m.rows == 6_000_000 and np.average(c.row_loss(m.params, cells), weights=n) - best < 0.01
+    none = networks.policies_counted(m, cells, n, 0 * n, 0 * n, training.Settings(epochs=1), which=("fine_tune",))["fine_tune"]
+    assert all(np.array_equal(none.params[k], m.params[k]) for k in m.params)
+    loss = c.row_loss(m.params, cells)
+    base = detect.offline_counted(loss, n)
+    assert not detect.test_counted(loss, n, base, "size_matched").is_ood and detect.test_counted(loss, n[::-1] * (loss > loss.mean()), base, "size_matched").is_ood
+
+
+@pytest.fixture
+def no_rows_in_python(monkeypatch):
+    """Experiments on small domains count rows in Spark: none is trained on or scored one by one."""
+
+    def refused(*args, **kwargs):
+        raise AssertionError("rows went through Python")
+
+    monkeypatch.setattr(networks, "fit_by_partitions", refused)
+    monkeypatch.setattr(experiments, "score", refused)
+
+
+def _incremental(spark, sf, kind):
+    got = experiments.incremental(spark, sf, kind=kind).toPandas()
+    assert len(got) == 20 and got.notna().all().all()
+    return got.set_index(["policy", "step"])
+
+
+def test_insertions_without_drift_are_counted(spark, sf, no_rows_in_python):
+    got = _incremental(spark, sf, "ind")
+    assert got.loc["kd"]["median"].max() < 1.3 and abs(got.loc[("stale", 5), "median"] - 1.2) < 0.15
