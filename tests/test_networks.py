@@ -204,3 +204,9 @@ def _incremental(spark, sf, kind):
 def test_insertions_without_drift_are_counted(spark, sf, no_rows_in_python):
     got = _incremental(spark, sf, "ind")
     assert got.loc["kd"]["median"].max() < 1.3 and abs(got.loc[("stale", 5), "median"] - 1.2) < 0.15
+
+
+def test_drifted_insertions_are_counted(spark, sf, no_rows_in_python):
+    got = _incremental(spark, sf, "ood")
+    assert got.loc["kd"]["loglik"].min() > got.loc["stale"]["loglik"].max()
+    assert (got.loc["fine_tune"]["p95"] > 5 * got.loc["kd"]["p95"]).all()
