@@ -16,15 +16,13 @@ from functools import cached_property, lru_cache
 
 #: Chunks that one worker remembers: half of them since the last change of generations, half before it.
 MEMORY = 800_000
+#: The same for vocabularies that keep white space and case, whose workers stand near their executor's limit.
+SPACED_MEMORY = 500_000
 _BOUNDARY = re.compile(r"(?<=\S) (?=\S)")
 #: Letters with a tail of ASCII punctuation.
 _TAIL = re.compile(r"([^!-@\[-`{-~]+)([!-/:-@\[-`{-~]+)")
 #: Characters that Python takes for white space and the vocabularies don't.
 _SEPARATORS = re.compile("[\x1c-\x1f]")
-#: White space at an end of the text, or two in a row.
-_ODD = re.compile(r"\A[ \n]|[ \n]\Z|[ \n][ \n]")
-#: White space other than the space and the line feed.
-_RARE = re.compile("[\t\x0b\x0c\r\x1c-\x1f\x85\xa0  -     　]")
 
 
 def _packed(ids: list[int]) -> bytes:
@@ -35,6 +33,12 @@ def _packed(ids: list[int]) -> bytes:
     return a.tobytes()
 
 
+def single_spaced(text: str) -> list[str] | None:
+    """The words of a text whose only white space is single spaces and line feeds between other characters; None of any other text."""
+    words = text.split()
+    return words if words and " ".join(words) == text.replace("\n", " ") else None
+
+
 def vocabulary_path(name: str) -> str:
     import public_tokenizers
 
@@ -44,12 +48,12 @@ def vocabulary_path(name: str) -> str:
 class _Memory(dict):
     """Identifiers of chunks, learnt when first asked for; chunks that a whole generation didn't ask for are forgotten."""
 
-    def __init__(self, learn) -> None:
+    def __init__(self, learn, most: int = MEMORY) -> None:
         super().__init__()
-        self.learn, self.older = learn, {}
+        self.learn, self.older, self.most = learn, {}, most
 
     def __missing__(self, chunk: str) -> bytes:
-        if len(self) >= MEMORY // 2:
+        if len(self) >= self.most // 2:
             self.older = dict(self)
             self.clear()
         ids = self.older.get(chunk)
@@ -80,7 +84,7 @@ class Encoder:
         #: Pre-tokens of an ASCII chunk; the vocabularies differ in their digits.
         self.runs = re.compile("[A-Za-z]+|[0-9]|[^A-Za-z0-9]+" if self.plain else "[A-Za-z]+|[0-9]+|[^A-Za-z0-9]+")
         self.bare = _Memory(lambda c: self._learn("", c))
-        self.spaced = self.bare if self.plain else _Memory(lambda c: self._learn(" ", c))
+        self.spaced = self.bare if self.plain else _Memory(lambda c: self._learn(" ", c), SPACED_MEMORY)
 
     @cached_property
     def _byte_names(self) -> list[str]:
@@ -126,15 +130,16 @@ class Encoder:
             return self.end
         if self.plain and not _SEPARATORS.search(text):
             return b"".join(map(self.bare.__getitem__, text.split())) + self.end
-        if _ODD.search(text) or _RARE.search(text):
+        words = single_spaced(text)
+        if words is None:
             at = [0, *[m.start() for m in _BOUNDARY.finditer(text)], len(text)]
             parts = [self._odd(text[a:b]) for a, b in zip(at, at[1:], strict=False)]
             return b"".join(parts) + self.end
-        # single spaces and line feeds between other characters only: a line feed is a token of its own
-        bare, spaced, lines = self.bare.__getitem__, self.spaced.__getitem__, []
-        for line in text.split("\n"):
-            first, _, rest = line.partition(" ")
-            lines.append(bare(first) + b"".join(map(spaced, rest.split(" "))) if rest else bare(first))
+        bare, spaced, lines, at = self.bare.__getitem__, self.spaced.__getitem__, [], 0
+        for line in text.split("\n"):  # a line feed is a token of its own
+            upto = at + line.count(" ") + 1
+            lines.append(bare(words[at]) + b"".join(map(spaced, words[at + 1 : upto])))
+            at = upto
         return self.bare["\n"].join(lines) + self.end
 
     def _odd(self, part: str) -> bytes:

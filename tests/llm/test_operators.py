@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 
 from learned_upkeep.llm import exact_dedup, line_dedup, mixing, near_dedup, packing, personal_data, quality_rules, sharding, token_counts, token_files
 from learned_upkeep.llm.common import documents
-from learned_upkeep.llm.vocabulary import Encoder, vocabulary_path
+from learned_upkeep.llm.vocabulary import Encoder, single_spaced, vocabulary_path
 
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long, size int, kept string, `group` int, rep int, n int"
 WS = "[^\\x20\\x09-\\x0D]+"
@@ -669,3 +669,17 @@ def test_sharding_splits_a_group_beyond_its_quota(spark):
     df = spark.range(900).selectExpr("id as doc_id", "if(id < 400, repeat('same text ', 10), concat('own text ', id, repeat(' x', cast(id % 50 as int)))) as text")
     loads = check_shards(df, sharding.assign(df).collect())
     assert max(loads) - min(loads) < 0.02 * sum(loads)
+
+
+def test_single_spaced_texts_are_told_by_their_white_space():
+    """The quick way of the encoder is open to texts without rare, repeated or outer white space only."""
+    for i in [*range(0x3100), 0xFEFF, 0x1F600]:
+        c = chr(i)
+        assert (single_spaced(f"a{c}b c\nd") is not None) == (c in " \n" or not c.isspace()), hex(i)
+    for odd in ("", " ", "\n", " a", "a ", "a\n", "\na", "a  b", "a \nb", "a\n b", "a\n\nb", "a\t b", "a \xa0b"):
+        assert single_spaced(odd) is None
+    e = Encoder(vocabulary_path("byte_bpe_50k.json"))
+    rng = np.random.default_rng(5)
+    for _ in range(2000):
+        text = "".join(rng.choice(list("aB1.'é \n\t\x1c\xa0\u2003"), rng.integers(1, 30), p=[0.15, 0.1, 0.1, 0.05, 0.05, 0.1, 0.25, 0.12, 0.02, 0.02, 0.02, 0.02]))
+        assert np.frombuffer(e.encode(text), "<u4").tolist() == [*e.tokenizer.encode(text, add_special_tokens=False).ids, 0]
