@@ -422,3 +422,19 @@ def test_delta_of_three_growing_tables_is_the_difference(spark):
     new = joins.delta_many([tuple(a), tuple(b), tuple(c)], [["y"], ["z"]]).select("x", "y", "z", "w")
     rows = lambda df: sorted(map(tuple, df.collect()))
     assert rows(new) == rows(joins.bag_difference(whole, before)) and rows(before.unionByName(new)) == rows(whole)
+
+
+@pytest.mark.parametrize("name", ["logit_mse_rows"])
+def test_measures_of_logits_and_mixtures_read_a_given_table(spark, sf, name):
+    assert any(f.endswith("lineitem.parquet") for f in queries.queries()[name](spark, sf).inputFiles())
+
+
+def test_measures_of_logits_at_their_edges(spark):
+    """Equal and shifted logits, one-hot-like ones, a single one and very large ones."""
+    pairs = [([1.0, 2.0, 3.0], [1.0, 2.0, 3.0]), ([1.0, 2.0, 3.0], [2.0, 3.0, 4.0]), ([10.0, 0.0, 0.0], [0.0, 10.0, 0.0]), ([0.5], [0.1]), ([500.0, 400.0], [400.0, 500.0])]
+    df = spark.createDataFrame([(i, t, s, 2.0) for i, (t, s) in enumerate(pairs)], "id int, t array<double>, s array<double>, temperature double")
+    ce, gap = fn.soft_cross_entropy(F.col("t"), F.col("s"), F.col("temperature")), fn.squared_logit_gap(F.col("t"), F.col("s"))
+    for r in df.select("t", "s", ce.alias("ce"), gap.alias("gap")).collect():
+        t, s = np.array(r["t"]), np.array(r["s"])
+        p, log_q = np.exp((t - t.max()) / 2), (s - s.max()) / 2
+        assert r["gap"] == ((t - s) ** 2).sum() and r["ce"] == pytest.approx(-(p / p.sum()) @ (log_q - np.log(np.exp(log_q).sum())), abs=1e-9)
