@@ -424,7 +424,7 @@ def test_delta_of_three_growing_tables_is_the_difference(spark):
     assert rows(new) == rows(joins.bag_difference(whole, before)) and rows(before.unionByName(new)) == rows(whole)
 
 
-@pytest.mark.parametrize("name", ["logit_mse_rows", "mixture_pdf", "mixture_range_mass"])
+@pytest.mark.parametrize("name", ["logit_mse_rows", "mixture_pdf", "mixture_range_mass", "soft_ce_rows"])
 def test_measures_of_logits_and_mixtures_read_a_given_table(spark, sf, name):
     assert any(f.endswith("lineitem.parquet") for f in queries.queries()[name](spark, sf).inputFiles())
 
