@@ -12,6 +12,7 @@ from learned_upkeep.nn.tensor import Tensor
 from learned_upkeep.nn.vae import TabularVae
 from learned_upkeep.operators import detect, networks, spn
 from learned_upkeep.plans import experiments
+from learned_upkeep.sources import catalog
 
 SIZES = (4, 3, 5)
 RNG = np.random.default_rng(0)
@@ -210,3 +211,14 @@ def test_drifted_insertions_are_counted(spark, sf, no_rows_in_python):
     got = _incremental(spark, sf, "ood")
     assert got.loc["kd"]["loglik"].min() > got.loc["stale"]["loglik"].max()
     assert (got.loc["fine_tune"]["p95"] > got.loc["kd"]["p95"]).all()
+
+
+def _joined(spark, sf, f):
+    got = experiments.joined_partitions(spark, sf, f=f).toPandas()
+    assert len(got) == 20 and got.notna().all().all() and (got.groupby("part")["is_ood"].nunique() == 1).all()
+    return got.set_index(["policy", "part"])
+
+
+def test_joins_of_orders_over_time_are_counted(spark, sf, no_rows_in_python):
+    got = _joined(spark, sf, catalog.D3)
+    assert got.loc[("retrain", 4), "p95"] < got.loc[("stale", 4), "p95"]
