@@ -222,3 +222,8 @@ def _joined(spark, sf, f):
 def test_joins_of_orders_over_time_are_counted(spark, sf, no_rows_in_python):
     got = _joined(spark, sf, catalog.D3)
     assert got.loc[("retrain", 4), "p95"] < got.loc[("stale", 4), "p95"]
+
+
+def test_joins_of_lines_over_time_are_counted(spark, sf, no_rows_in_python):
+    got = _joined(spark, sf, catalog.J2)
+    assert got.loc[("kd", 4), "p95"] < got.loc[("stale", 4), "p95"]
