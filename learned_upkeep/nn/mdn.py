@@ -5,11 +5,12 @@ Data: column 0 the category's code, column 1 the number scaled to [-1, 1].
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from dataclasses import dataclass
 
 import numpy as np
 
-from .losses import logit_gap, soft_cross_entropy
+from .losses import logit_gap, soft_cross_entropy, softmax
 from .tensor import Tensor, exp, log, log_softmax, log_sum_exp, relu, square
 from .training import Params
 
@@ -59,6 +60,21 @@ class MixtureDensity:
         w, m, s = self.heads(p, data[:, 0])
         return soft_cross_entropy(tw, w, self.temperature) + logit_gap(tm, m) + logit_gap(ts, s)
 
+    def counted(self, data: np.ndarray, likely: np.ndarray, like: np.ndarray, teacher: Params | None = None) -> Callable[[dict[str, Tensor]], Tensor]:
+        """The objective with ``likely`` as the weight of each row's loss and ``like`` as that of its imitation."""
+        t, each = self.temperature, like[:, None]
+        told = None if teacher is None or not like.any() else [x.value for x in self.heads({k: Tensor(v) for k, v in teacher.items()}, data[:, 0])]
+
+        def value(p: dict[str, Tensor]) -> Tensor:
+            out = (self._row_loss(p, data) * likely).sum()
+            if told is None:
+                return out
+            w, m, s = self.heads(p, data[:, 0])
+            soft = (log_softmax(w * (1 / t)) * (softmax(told[0], t) * each)).sum()
+            return out - soft + (square(m - told[1]) * each).sum() + (square(s - told[2]) * each).sum()
+
+        return value
+
     def table(self, params: Params) -> list[tuple[int, list[float], list[float], list[float]]]:
         """(category, omega, mu, sigma): the whole model, since its input is finite."""
         w, m, s = (t.value for t in self.heads({k: Tensor(v) for k, v in params.items()}, np.arange(self.categories)))

@@ -13,10 +13,10 @@ import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..functions.columns import cut, hash_sample, q_error, row_hash
+from ..functions.columns import HASH_SPACE, cut, hash_sample, q_error, row_hash
 from ..nn.darn import MaskedAutoregressive
 from ..nn.mdn import MixtureDensity
-from ..nn.training import Settings, losses, matrix, score
+from ..nn.training import Settings, losses, score
 from ..nn.vae import TabularVae
 from ..operators import answers, counts, detect, drift, metrics, networks, spn, workload
 from ..operators.update import merge_frequencies
@@ -349,22 +349,37 @@ def spn_comparison(spark: SparkSession, sf_dir: str, f: Fixture = D1, n_queries:
     return metrics.summary(e)
 
 
-def toy(spark: SparkSession, sf_dir: str = "", updates: int = 50, per_category: int = 1000, settings: Settings = Settings(epochs=30, rate=5e-3), update_settings: Settings = Settings(epochs=2, rate=1e-3)) -> DataFrame:  # noqa: B008
-    """Ten categories with five peaks, then many batches with two other means: the density near all seven at the end."""
-    old_means, new_means = (-0.8, -0.4, 0.0, 0.4, 0.8), (-0.6, 0.6)
-    cols = ["x", "y"]
-    old = matrix(workload.toy_mixture(spark, 1, per_category, old_means), cols)
-    base = networks.train(MixtureDensity(10, 10, 32), old, len(old), settings)
-    kd = ft = base
-    seen = old
-    for u in range(updates):
-        batch = matrix(workload.toy_mixture(spark, 100 + u, per_category // 10, new_means), cols)
-        transfer = seen[np.random.default_rng(u).permutation(len(seen))[: max(200, len(seen) // 10)]]
-        kd = networks.distil(kd, batch, transfer, len(batch), alpha="described", settings=update_settings)
-        ft = networks.fine_tune(ft, batch, len(batch), update_settings, update_settings.rate)
-        seen = np.concatenate([seen, batch])
-    rows = [(name, m, bool(m in new_means), float(model.component.density(model.params, 3, np.array([m]))[0])) for name, model in (("base", base), ("kd", kd), ("fine_tune", ft)) for m in (*old_means, *new_means)]
-    return _frame(spark, rows, "policy string, mean double, is_new boolean, density double")
+def toy(spark: SparkSession, sf_dir: str, updates: int = 50, settings: Settings = Settings(epochs=30, rate=5e-3), update_settings: Settings = Settings(epochs=2, rate=1e-3)) -> DataFrame:  # noqa: B008
+    """Ten categories with five peaks, then many batches with two other peaks: the density near all seven at the end.
+
+    The rows are parts: the band of the key is the category, and the place of the price within the
+    band's range is scaled to [-1, 1].  Old rows lie within 0.1 of five peaks and new ones within 0.1
+    of two others; a hash deals new rows to batches and all rows to ten slices, of which each update
+    takes one as its transfer set.  Rows are counted by value, and training is exact on the counts.
+    """
+    old_means, new_means, f = (-0.8, -0.4, 0.0, 0.4, 0.8), (-0.6, 0.6), catalog.D4
+    x, price = f.columns[0], F.col(f.target)
+    y = F.round((price - F.lit(900.0) - F.lit(10.0) * F.col(x)) / F.lit(5.0) - F.lit(1.0), 6)
+    near = lambda means: F.exists(F.array(*[F.lit(m) for m in means]), lambda m: F.abs(F.col("y") - m) < F.lit(0.1))
+    rows = f.build(spark, sf_dir).select("rk", x, y.alias("y"))
+    parts = drift.split_batches(rows, updates).withColumn("batch_id", F.when(near(old_means), -1).when(near(new_means), F.col("batch_id")))
+    tenth = F.floor(row_hash("rk", "transfer") * F.lit(10) / F.lit(HASH_SPACE)).cast("int")
+    table = parts.where("batch_id is not null").groupBy(x, "y", "batch_id", tenth.alias("slice")).count().toPandas()  # by value, not by row
+    values = table.groupby([x, "y"]).ngroup().to_numpy()
+    cells = table[[x, "y"]].groupby(values).first().to_numpy("float64")
+    batch, part, n = table["batch_id"].to_numpy(), table["slice"].to_numpy(), table["count"].to_numpy("float64")
+    of = lambda rows: np.bincount(values, np.where(rows, n, 0.0), minlength=len(cells))
+    base = networks.train_counted(MixtureDensity(10, 10, 32), cells, of(batch < 0), settings)
+
+    def chain(name: str) -> networks.Model:
+        m = base
+        for u in range(updates):
+            m = networks.policies_counted(m, cells, of(batch < u), of(batch == u), of((batch < u) & (part == u % 10)), update_settings, which=(name,))[name]
+        return m
+
+    kd, ft = networks.at_once(spark, [lambda name=name: chain(name) for name in ("kd", "fine_tune")])
+    found = [(name, m, bool(m in new_means), float(model.component.density(model.params, 3, np.array([m]))[0])) for name, model in (("base", base), ("kd", kd), ("fine_tune", ft)) for m in (*old_means, *new_means)]
+    return _frame(spark, found, "policy string, mean double, is_new boolean, density double")
 
 
 def registered() -> dict[str, Callable[[SparkSession, str], DataFrame]]:

@@ -227,3 +227,25 @@ def test_joins_of_orders_over_time_are_counted(spark, sf, no_rows_in_python):
 def test_joins_of_lines_over_time_are_counted(spark, sf, no_rows_in_python):
     got = _joined(spark, sf, catalog.J2)
     assert got.loc[("kd", 4), "p95"] < got.loc[("stale", 4), "p95"]
+
+
+def test_counted_mixture_objective_is_that_of_the_rows():
+    rng = np.random.default_rng(3)
+    cells = np.column_stack([rng.integers(0, 3, 40), rng.uniform(-1, 1, 40)])
+    data, old = cells[rng.integers(0, 40, 500)], cells[rng.integers(0, 40, 300)]
+    of = lambda rows: np.array([(rows == c).all(1).sum() for c in cells], float)
+    c = MixtureDensity(3, 4, 16)
+    teacher, params = c.initial(np.random.default_rng(1)), c.initial(np.random.default_rng(2))
+    rows = training.Update(data, old, teacher, 0.25, 0.6).objective(c, np.arange(500), np.arange(300), rng)
+    counted = c.counted(cells, 0.6 * of(data) / 500 + 0.3 * of(old) / 300, 0.1 * of(old) / 300, teacher)
+    (a, ga), (b, gb) = training.gradient(rows, params), training.gradient(counted, params)
+    assert a == pytest.approx(b) and all(np.allclose(ga[k], gb[k]) for k in ga)
+
+
+def test_peaks_come_from_the_parts_given(spark, sf, tmp_path):
+    """Other parts, other densities: the rows are those of the table."""
+    parts = spark.read.parquet(f"{sf}/part.parquet")
+    parts.where("p_partkey % 2 = 0").write.parquet(str(tmp_path / "part.parquet"))
+    few = training.Settings(epochs=2, rate=5e-3)
+    whole, half = (experiments.toy(spark, d, 3, few, few).toPandas() for d in (sf, str(tmp_path)))
+    assert len(whole) == 21 and whole["density"].notna().all() and not np.allclose(whole["density"], half["density"])
