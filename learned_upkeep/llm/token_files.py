@@ -20,8 +20,10 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from .vocabulary import encoder
-from .words import blocks, texts_of
+from .words import blocks
 
+#: Bytes of text that are encoded at once: with 8 MB a worker took 100 MB more, in the same time.
+ENCODED_BYTES = 2 << 20
 SCHEMA = "doc_id long, file_no int, start_in_file long, n_tokens long, ids array<int>"
 LAYOUT = {
     "parquet.block.size": str(32 << 20),
@@ -40,12 +42,11 @@ def write_tokens(docs: DataFrame, path: str, vocabulary: str, end: int = 0, file
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encode, start, part = encoder(vocabulary, end).encode, 0, TaskContext.get().partitionId()
-        for batch in blocks(batches):
-            encoded = [encode(t) for t in texts_of(batch)]
-            lengths = np.array([len(e) // 4 for e in encoded], "int64")
-            ends = np.cumsum(lengths)
-            ids = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], ends]), pa.int32()), pa.array(np.frombuffer(b"".join(encoded), "<i4")))
+        encode, start, part = encoder(vocabulary, end).encode_all, 0, TaskContext.get().partitionId()
+        for batch in blocks(batches, most=ENCODED_BYTES):
+            ids = encode(batch.column("text"))
+            ends = ids.offsets.to_numpy()[1:].astype("int64")
+            lengths = np.diff(ends, prepend=0)
             starts = start + ends - lengths
             start += int(ends[-1])
             yield pa.RecordBatch.from_arrays(

@@ -4,16 +4,23 @@ Both vocabularies cut a text before a space that stands between two other charac
 crosses it.  So the identifiers of a text are those of its chunks in order, and a bounded memory of
 chunks replaces most calls of the library.  Chunks of letters alone go straight to the library's
 model, since they are one pre-token.  Identifiers are kept as little-endian uint32 bytes.
+
+A column of texts is encoded at once (:meth:`Encoder.encode_all`): Arrow cuts it into chunks and tells
+the distinct ones, so Python sees each distinct chunk of a block once instead of every word.
 """
 
 from __future__ import annotations
 
 import re
+import string
 import sys
 import unicodedata
 from array import array
 from functools import cached_property, lru_cache
 
+import numpy as np
+import pyarrow as pa
+
 #: Chunks that one worker remembers: half of them since the last change of generations, half before it.
 MEMORY = 800_000
 #: The same for vocabularies that keep white space and case, whose workers stand near their executor's limit.
@@ -23,6 +30,14 @@ _BOUNDARY = re.compile(r"(?<=\S) (?=\S)")
 _TAIL = re.compile(r"([^!-@\[-`{-~]+)([!-/:-@\[-`{-~]+)")
 #: Characters that Python takes for white space and the vocabularies don't.
 _SEPARATORS = re.compile("[\x1c-\x1f]")
+#: White space that cuts a column of texts, by its byte.
+_WHITE = np.isin(np.arange(256), [9, 10, 13, 32])
+#: ASCII letters, digits and punctuation, by their byte: no pre-token holds two of them.  An apostrophe may start a contraction.
+_KIND = np.zeros(256, "uint8")
+for _k, _c in enumerate((string.ascii_letters, string.digits, string.punctuation.replace("'", "")), 1):
+    _KIND[list(_c.encode())] = _k
+#: Stands for the identifiers of a chunk that can't be read by itself; no identifiers have its length.
+_ODD = b"?"
 
 
 def _packed(ids: list[int]) -> bytes:
@@ -83,6 +98,7 @@ class Encoder:
         self.plain = self.tokenizer.normalizer is not None
         #: Pre-tokens of an ASCII chunk; the vocabularies differ in their digits.
         self.runs = re.compile("[A-Za-z]+|[0-9]|[^A-Za-z0-9]+" if self.plain else "[A-Za-z]+|[0-9]+|[^A-Za-z0-9]+")
+        self.chunks = _Memory(self._alone, SPACED_MEMORY)
         self.bare = _Memory(lambda c: self._learn("", c))
         self.spaced = self.bare if self.plain else _Memory(lambda c: self._learn(" ", c), SPACED_MEMORY)
 
@@ -103,7 +119,7 @@ class Encoder:
                 return self._tokens(space + chunk)
         elif "'" not in chunk:  # else contractions are cut in another way
             if (m := _TAIL.fullmatch(chunk)) and m[1].isalpha() and (m[1].isascii() or not self.plain or self._letters(m[1])):
-                return (self.spaced if space else self.bare)[m[1]] + self._tokens(m[2])
+                return (self.bare[m[1]] if self.plain else self.chunks[space + m[1]]) + self._tail(m[2])
             if chunk.isascii() and chunk.isprintable() and " " not in chunk:
                 first, *more = self.runs.findall(chunk.lower() if self.plain else chunk)
                 return self._tokens(first if self.plain else space + first) + b"".join(map(self._tokens, more))
@@ -122,6 +138,9 @@ class Encoder:
             name = "".join([names[b] for b in word.encode()])
         return _packed([t.id for t in self.model.tokenize(name)])
 
+    def _tail(self, marks: str) -> bytes:
+        return self.bare[marks] if len(marks) == 1 else self._tokens(marks)
+
     def _whole(self, text: str) -> bytes:
         return _packed(self.tokenizer.encode(text, add_special_tokens=False).ids)
 
@@ -142,5 +161,68 @@ class Encoder:
             at = upto
         return self.bare["\n"].join(lines) + self.end
 
+    def encode_all(self, texts: pa.Array) -> pa.ListArray:
+        """For each text of an Arrow column of strings (null: empty) what :meth:`encode` gives, as a list of int32.
+
+        Of a run of white space all but the last character are one pre-token; a last space belongs to
+        the word behind it, any other last character is a pre-token.  So chunks cut there, and between
+        ASCII letters, digits and punctuation, are read alike alone and in their text.  Texts with
+        other white space go to :meth:`encode`.
+        """
+        if self.plain:  # white space is dropped, which encode does in one split
+            return self._lists([self.encode(t or "") for t in texts.to_pylist()])
+        texts = texts.fill_null("").cast(pa.string())
+        n = len(texts)
+        at = np.frombuffer(texts.buffers()[1], "int32", n + 1, 4 * texts.offset) if n else np.zeros(1, "int32")
+        body = texts.buffers()[2] if at[-1] > at[0] else None
+        if body is None:
+            return self._lists([self.end] * n)
+        body, at = body.slice(int(at[0]), int(at[-1] - at[0])), at - at[0]
+        raw = np.frombuffer(body, "uint8")
+        cut = np.zeros(raw.size + 1, bool)
+        cut[at] = True
+        white = _WHITE[raw]
+        last = white.copy()
+        last[:-1] &= ~(white[1:] | cut[1:-1])  # before another character of the same text
+        last[-1] = False
+        cut[:-1] |= last
+        cut[1:] |= last & (raw != 32)
+        white[1:] &= ~white[:-1]
+        cut[:-1] |= white  # the first of a run
+        kind = _KIND[raw]
+        cut[1:-1] |= (kind[1:] != kind[:-1]) & (kind[1:] > 0) & (kind[:-1] > 0)
+        marks = np.flatnonzero(cut).astype("int32")
+        coded = pa.StringArray.from_buffers(marks.size - 1, pa.py_buffer(marks), body).dictionary_encode()
+        found = list(map(self.chunks.__getitem__, coded.dictionary.to_numpy(zero_copy_only=False).tolist()))
+        which, upto = coded.indices.to_numpy(), np.searchsorted(marks, at)
+        ends = np.full(n, len(found))
+        odd = np.fromiter((x is _ODD for x in found), bool, len(found))
+        found.append(self.end)
+        if odd.any():
+            bad = np.unique(np.searchsorted(upto, np.flatnonzero(odd[which]), "right") - 1)
+            ends[bad] = len(found) + np.arange(bad.size)
+            found = [b"" if x is _ODD else x for x in found]
+            found += [self.encode(t) for t in texts.take(pa.array(bad)).to_pylist()]
+            sizes = np.diff(upto)
+            which = which[~np.repeat(np.isin(np.arange(n), bad), sizes)]
+            sizes[bad] = 0
+            upto = np.concatenate([[0], np.cumsum(sizes)])
+        whole = self._lists(found).take(pa.array(np.insert(which, upto[1:], ends)))
+        return pa.ListArray.from_arrays(whole.offsets.take(pa.array(upto + np.arange(n + 1))), whole.values)
+
+    @staticmethod
+    def _lists(encoded: list[bytes]) -> pa.ListArray:
+        ends = np.cumsum([0, *map(len, encoded)]) // 4
+        return pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(np.frombuffer(b"".join(encoded), "<i4")))
+
+    def _alone(self, chunk: str) -> bytes:
+        """Identifiers of a chunk of :meth:`encode_all`: a word or a part of one, with or without a space before it, or white space."""
+        space, word = (" ", chunk[1:]) if chunk[0] == " " else ("", chunk)
+        if word.isalpha():
+            return self._tokens(chunk)
+        if word.split() == [word]:
+            return self._learn(space, word)
+        return _ODD if chunk.strip(" \t\n\r") else self._whole(chunk)
+
     def _odd(self, part: str) -> bytes:
         return self.spaced[part[1:]] if part[0] == " " and len(part) > 1 and not part[1].isspace() else self.bare[part]

@@ -12,15 +12,16 @@ from pyspark.sql import DataFrame
 BLOCK_BYTES = 8 << 20
 
 
-def blocks(batches: Iterator[pa.RecordBatch], text: str = "text") -> Iterator[pa.RecordBatch]:
-    """Slices of the batches with at most BLOCK_BYTES of text each (one row at least)."""
+def blocks(batches: Iterator[pa.RecordBatch], text: str = "text", most: int | None = None) -> Iterator[pa.RecordBatch]:
+    """Slices of the batches with at most ``most`` (else BLOCK_BYTES) bytes of text each (one row at least)."""
+    most = most or BLOCK_BYTES
     for batch in batches:
         if not batch.num_rows:
             continue
         lengths = pc.fill_null(pc.binary_length(batch.column(text)), 0).to_pylist()
         start, total = 0, 0
         for i, n in enumerate(lengths):
-            if total and total + n > BLOCK_BYTES:
+            if total and total + n > most:
                 yield batch.slice(start, i - start)
                 start, total = i, 0
             total += n

@@ -601,6 +601,27 @@ def test_encoder_agrees_with_the_library_on_random_strings():
             assert np.frombuffer(e.encode(t), "<u4").tolist() == [*e.tokenizer.encode(t, add_special_tokens=False).ids, 0], (name, t)
 
 
+def test_columns_are_encoded_like_texts():
+    """White space of all kinds, nulls and slices; each distinct chunk of a column is looked up once."""
+    import pyarrow as pa
+
+    rng = np.random.default_rng(13)
+    pieces = ["İ", "Σ", "ß", "é", "e\u0301", "中文", "٣", "²", "🙂", "\xa0", "\u2003", "\u3000", "'s", "'", "’", '"', "#", ".", ",", "!?", "-", "_", "a", "B", "Word", "12", "3.14", " ", " ", "  ", "\n", "\n\n", "\t", "\r\n", "\x0b", "\x0c", "\x1c", "<|endoftext|>"]
+    for name in ("word_bpe_49k.json", "byte_bpe_50k.json"):
+        e = Encoder(vocabulary_path(name))
+        for _ in range(60):
+            texts = ["cut off", None, "", *["".join(pieces[k] for k in rng.integers(len(pieces), size=int(rng.integers(1, 10)))) for _ in range(80)]]
+            for column in (pa.array(texts)[1:], pa.array(texts[3:])[2:-1], pa.array(texts[:0], pa.string())):
+                want = [[*e.tokenizer.encode(t or "", add_special_tokens=False).ids, 0] for t in column.to_pylist()]
+                assert e.encode_all(column).to_pylist() == want, name
+    e, asked = Encoder(vocabulary_path("byte_bpe_50k.json")), Counter()
+    column = pa.array(["one two, one two,\none" for _ in range(500)])
+    want = np.frombuffer(e.encode(column[0].as_py()), "<i4").tolist()
+    e.chunks = type("Counted", (dict,), {"__getitem__": lambda _, c: asked.update([c]) or e._alone(c)})()
+    assert e.encode_all(column).to_pylist() == [want] * 500
+    assert set(asked) == {"one", " one", " two", ",", "\n"} and set(asked.values()) == {1}
+
+
 def brute_lines(rows):
     key = lambda x: re.sub("[A-Z]", lambda m: m[0].lower(), x.strip(" \t\n\r\x0b\x0c"))
     holders = defaultdict(set)
