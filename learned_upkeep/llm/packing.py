@@ -12,14 +12,15 @@ from __future__ import annotations
 import zlib
 from collections.abc import Iterable, Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import materialise
-from .vocabulary import encoder, vocabulary_path
-from .words import blocks, per_document, texts_of
+from .vocabulary import ENCODED_BYTES, encoder, vocabulary_path
+from .words import blocks, per_document
 
 CAPACITY = 2048
 OPEN_BINS = 1024
@@ -35,14 +36,15 @@ def pieces(docs: DataFrame, vocabulary: str, capacity: int = CAPACITY, end: int
     """(doc_id, piece, start, length, ids_crc32): each document's identifiers, cut only where longer than ``capacity``."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encode = encoder(vocabulary, end).encode
-        for batch in blocks(batches):
+        encode = encoder(vocabulary, end).encode_all
+        for batch in blocks(batches, most=ENCODED_BYTES):
+            lists = encode(batch.column("text"))
+            at, ids = lists.offsets.to_pylist(), np.ascontiguousarray(lists.values.to_numpy(), "<u4")
             rows: list[tuple] = []
-            for doc, text in zip(batch.column("doc_id").to_pylist(), texts_of(batch), strict=True):
-                ids = encode(text)
-                for k, at in enumerate(range(0, len(ids), 4 * capacity)):
-                    cut = ids[at : at + 4 * capacity]
-                    rows.append((doc, k, at // 4, len(cut) // 4, zlib.crc32(cut)))
+            for doc, first, last in zip(batch.column("doc_id").to_pylist(), at, at[1:], strict=False):
+                for k, a in enumerate(range(first, last, capacity)):
+                    b = min(a + capacity, last)
+                    rows.append((doc, k, a - first, b - a, zlib.crc32(ids[a:b])))
             kinds = (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64())
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), kinds, strict=True)], ["doc_id", "piece", "start", "length", "ids_crc32"])
 

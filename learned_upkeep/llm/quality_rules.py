@@ -15,9 +15,10 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .common import materialise
-from .words import blocks, per_document
+from .words import blocks
 
 WINDOW = 8
 SYMBOLS = b"#*$%&|<>"
@@ -69,18 +70,24 @@ def document_counts(raw: bytes) -> tuple[int, ...]:
 
 
 def counts(docs: DataFrame, carry: bool = False) -> DataFrame:
-    """doc_id and :data:`COUNTS` of every row; with ``carry`` all columns of ``docs`` in a struct __row besides (the text once more in memory, not on disk)."""
-    kept = docs.select("doc_id", "text", F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("__row")) if carry else docs.select("doc_id", "text")
+    """doc_id and :data:`COUNTS` of every row; with ``carry`` all columns of ``docs`` in a struct __row besides.
+
+    Each column goes to Python once: a second copy of the texts would double an executor's Arrow buffers.
+    """
+    columns = docs.columns if carry else ["doc_id", "text"]
+    kept = docs.select(*[F.col(f"`{c}`") for c in columns])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in blocks(batches):
             rows = [document_counts(t or b"") for t in batch.column("text").cast(pa.binary()).to_pylist()]
             arrays = [pa.array(c, pa.int64()) for c in zip(*rows, strict=True)]
-            extra = [batch.column("__row")] if carry else []
+            extra = [pa.StructArray.from_arrays(batch.columns, fields=[*batch.schema])] if carry else []
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), *extra, *arrays], ["doc_id", *["__row"] * carry, *COUNTS])
 
-    schema = "doc_id long, " + (f"__row {kept.schema['__row'].dataType.simpleString()}, " if carry else "") + ", ".join(f"{c} long" for c in COUNTS)
-    return per_document(kept, run, schema, tuple(kept.columns))
+    schema = T.StructType().add("doc_id", "long")
+    for name, kind in [("__row", kept.schema)] * carry + [(c, "long") for c in COUNTS]:
+        schema = schema.add(name, kind)
+    return kept.mapInArrow(run, schema)
 
 
 def _ratio(a: str, b: str) -> Column:

@@ -19,11 +19,9 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .vocabulary import encoder
+from .vocabulary import ENCODED_BYTES, encoder
 from .words import blocks
 
-#: Bytes of text that are encoded at once: with 8 MB a worker took 100 MB more, in the same time.
-ENCODED_BYTES = 2 << 20
 SCHEMA = "doc_id long, file_no int, start_in_file long, n_tokens long, ids array<int>"
 LAYOUT = {
     "parquet.block.size": str(32 << 20),

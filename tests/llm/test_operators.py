@@ -316,6 +316,16 @@ def test_quality_counts_and_verdicts(edges, given):
     assert {6, 7, 8, 9, 20} <= kept and not kept & {1, 2, 17, 18, 19}
 
 
+def test_accepted_rows_send_their_texts_once(spark):
+    """No column goes to Python twice, and rows come back as they were, nested columns too."""
+    rows = [(k, PROSE + f" number {k}", {"a": k}, f"x{k}") for k in range(9)] + [(9, "short", {}, None), (10, None, None, "y")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, more map<string,int>, b string")
+    sent = quality_rules.counts(docs, carry=True)._jdf.queryExecution().optimizedPlan().toString()
+    assert "struct(" not in sent
+    assert sorted(map(tuple, quality_rules.accepted(docs).collect())) == rows[:9]
+    assert quality_rules.accepted(docs).schema == docs.schema
+
+
 def test_quality_verdicts_agree_with_labels(spark):
     sf = "/root/testdata/sf0.01"
     labels = spark.read.parquet(f"{sf}/labels.parquet")
