@@ -135,8 +135,9 @@ def fit(patterns: np.ndarray, weights: np.ndarray, iterations: int = ITERATIONS)
     bad_rules = np.flatnonzero((patterns == 0).any(axis=0))
     votes_cast = (patterns != 1).astype(float)
     kinds, rules = 1 + bad_rules.size, patterns.shape[1]
-    start = np.where(np.isin(np.arange(rules), bad_rules), 0.05, 0.3) * np.ones((kinds, rules))
-    start[0] = np.where(np.isin(np.arange(rules), bad_rules), 0.005, 0.95)
+    good_rules = (patterns == 2).any(axis=0)  # a rule that always abstains speaks for no kind
+    start = np.where(good_rules, 0.3, 0.05) * np.ones((kinds, rules))
+    start[0] = np.where(good_rules, 0.95, 0.005)
     start[np.arange(1, kinds), bad_rules] = 0.9
     cast, share = start.copy(), np.array([0.9, *[0.1 / max(1, kinds - 1)] * (kinds - 1)]) if kinds > 1 else np.ones(1)
     w, before = weights.astype(float), -np.inf

@@ -346,6 +346,12 @@ def test_small_vocabularies_of_any_length_look_bad(spark):
     assert not kept[999] and kept[0]
 
 
+def test_silent_rules_do_not_reject_good_texts():
+    """Rules that always abstain say nothing, so good texts stay where a single rule votes bad."""
+    patterns = np.array([[1] * 8 + [2, 2], [1] * 7 + [0, 2, 2]])
+    assert quality_rules.fit(patterns, np.array([200, 1]))["posterior"][0] > 0.99
+
+
 def test_em_separates_planted_kinds():
     """A good kind, and bad kinds that one, two or three rules see; one rule is wrong now and then."""
     rng = np.random.default_rng(0)
